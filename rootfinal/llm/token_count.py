@@ -27,7 +27,7 @@ from .vocabulary import byte_letters, library_tokenizer, vocabulary
 
 CHUNK = 1 << 16
 # fixed values: the characters of Unicode's White_Space property
-_SPACE = r"\t-\r \x85\xa0  -     　"
+_SPACE = r"\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 _UNIT = re.compile(f"[{_SPACE}]*[^{_SPACE}]+|[{_SPACE}]+")
 _SURE = re.compile(f"(?<=[^{_SPACE}])[{_SPACE}]")
 
