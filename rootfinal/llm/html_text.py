@@ -24,6 +24,7 @@ from pyspark.sql import types as T
 # fixed values: HTML element names by role
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr b bdi bdo cite code data dfn em font i kbd mark q s samp small span strong sub sup time tt u var wbr del ins label big strike acronym".split())
+FORMAT = (INLINE - {"a"}) | {"br", "wbr", "img"}
 DROPPED = frozenset("script style head noscript template svg nav footer form button select textarea iframe object aside menu dialog".split())
 CLOSES_P = frozenset("address article aside blockquote div dl fieldset figure footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul".split())
 # fixed values: class and id words of page furniture
@@ -95,7 +96,7 @@ def _score(root: Node) -> list[Node]:
             elif not c.drop:
                 n.chars += c.chars
                 n.links += c.links
-                n.tags += c.tags + 1
+                n.tags += c.tags + (c.tag not in FORMAT)
                 n.link_tags += c.link_tags + (c.tag == "a")
         if n.tag == "a":
             n.links = n.chars
@@ -106,7 +107,9 @@ def _score(root: Node) -> list[Node]:
             plain = max(1, n.chars - n.links)
             base = math.log(n.chars / plain * n.links + share * n.chars + math.e)
             n.density = n.chars / max(1, n.tags) * max(0.0, math.log(1 + n.chars / max(1, n.links) * max(1, n.tags) / max(1, n.link_tags)) / max(1.0, math.log(base + 1)))
-        n.total = sum(c.density for c in n.children if isinstance(c, Node)) + (n.density if any(isinstance(c, str) and c.strip() for c in n.children) else 0.0)
+        # text formatting makes no node of its own: a block that holds text adds its density once
+        own = any(c.strip() if isinstance(c, str) else c.chars and c.tag in INLINE for c in n.children)
+        n.total = sum(c.density for c in n.children if isinstance(c, Node) and c.tag not in INLINE) + (n.density if own else 0.0)
     return order
 
 
@@ -115,10 +118,6 @@ def _main(root: Node) -> Node:
     usable = [n for n in order if not n.drop and n.chars and n.tag not in INLINE]
     if not usable:
         return root
-    # an element that the page itself names its article is the container of highest rank
-    named = [n for n in usable if n.tag == "article"] or [n for n in usable if n.tag == "main"]
-    if named:
-        return max(named, key=lambda n: (n.total, n.chars))
     best = max(usable, key=lambda n: n.density)
     least, n = best.density, best
     while n is not None and n.tag != "#root":
