@@ -32,35 +32,42 @@ def _keys(unit: np.ndarray) -> np.ndarray:
     rng = np.random.default_rng([SEED, unit.shape[1]])
     a = rng.standard_normal((unit.shape[1], TABLES * PROJECTIONS))
     b = rng.uniform(0, WIDTH, TABLES * PROJECTIONS)
-    q = np.floor((unit @ a + b) / WIDTH).astype(np.int64).astype(np.uint64).reshape(len(unit), TABLES, PROJECTIONS)
+    # row by row, so that a vector's keys never depend on which others stand in its batch
+    moved = np.stack([u @ a for u in unit]) + b
+    q = np.floor(moved / WIDTH).astype(np.int64).astype(np.uint64).reshape(len(unit), TABLES, PROJECTIONS)
     mixed = (q + np.uint64(0x51ED27)) * _ODD
     mixed ^= mixed >> np.uint64(29)
     return (mixed.sum(axis=2, dtype=np.uint64) * np.uint64(0xBF58476D1CE4E5B9)).view(np.int64)
 
 
+def _unit(x: np.ndarray) -> np.ndarray:
+    x = x.astype(np.float64)
+    x = x / np.abs(x).max(axis=1, keepdims=True)
+    return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+
+
 def _hash_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
+        dtype = np.float32 if pa.types.is_float32(batch.column("embedding").type.value_type) else np.float64
         by_size: dict[int, list] = {}
         for i, v in zip(batch.column("vec_id").to_pylist(), batch.column("embedding").to_pylist(), strict=True):
             if i is None or not v or None in v:
                 continue
-            x = np.array(v, np.float64)
+            x = np.array(v, dtype)
             if np.isfinite(x).all() and x.any():
                 by_size.setdefault(len(v), []).append((i, x))
         for rows in by_size.values():
             ids = np.array([i for i, _ in rows], np.int64)
             x = np.stack([x for _, x in rows])
-            x /= np.abs(x).max(axis=1, keepdims=True)
-            unit = x / np.linalg.norm(x, axis=1, keepdims=True)
-            keys = _keys(unit)
-            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([u.tobytes() for u in unit], pa.binary()), pa.array(list(keys), pa.list_(pa.int64()))], names=["vec_id", "unit", "keys"])
+            keys = _keys(_unit(x))
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([u.tobytes() for u in x], pa.binary()), pa.array([np.dtype(dtype).itemsize] * len(x), pa.int32()), pa.array(list(keys), pa.list_(pa.int64()))], names=["vec_id", "vec", "width", "keys"])
 
 
 def _compare(ids, unit, side, table: int, threshold: float):
-    """Counts and forest edges of one cell; `side` tells the two blocks of a mixed cell apart."""
+    """Counts and forest edges of one cell; `side` tells the two blocks of a mixed cell apart, None for a single block."""
     linked = unit @ unit.T >= threshold
     linked &= ids[:, None] != ids[None, :]
-    if side.any() and not side.all():
+    if side is not None:
         linked &= side[:, None] != side[None, :]
     rows = np.flatnonzero(linked.any(axis=1))
     if not len(rows):
@@ -94,12 +101,13 @@ def _cells(threshold: float):
             cuts = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1
             edges = [0, *cuts.tolist(), t.num_rows]
             ids, mine = t.column("vec_id").to_numpy(), t.column("mine").to_numpy()
-            units = t.column("unit").to_pylist()
+            vecs, widths = t.column("vec").to_pylist(), t.column("width").to_numpy()
             out = []
             for a, b in zip(edges, edges[1:], strict=False):
-                if b - a > 1 and len({len(u) for u in units[a:b]}) == 1:
-                    unit = np.frombuffer(b"".join(units[a:b]), np.float64).reshape(b - a, -1)
-                    got = _compare(ids[a:b], unit, mine[a:b] != cols[2][a:b], int(cols[0][a]), threshold)
+                if b - a > 1 and len({len(u) for u in vecs[a:b]}) == 1:
+                    unit = _unit(np.frombuffer(b"".join(vecs[a:b]), np.float32 if widths[a] == 4 else np.float64).reshape(b - a, -1))
+                    side = mine[a:b] != cols[2][a:b] if cols[2][a] != cols[3][a] else None
+                    got = _compare(ids[a:b], unit, side, int(cols[0][a]), threshold)
                     if got:
                         out.append(got)
             if out:
@@ -129,7 +137,7 @@ def _cells(threshold: float):
 def link(spark: SparkSession, vectors: DataFrame, threshold: float = 0.9) -> DataFrame:
     """vec_id, n_links, component_id, kept: one row for each row of `vectors`."""
     base = vectors.select("vec_id", "embedding")
-    hashed = written(spark, base.mapInArrow(_hash_rows, "vec_id long, unit binary, keys array<long>"), "vec-hash")
+    hashed = written(spark, base.mapInArrow(_hash_rows, "vec_id long, vec binary, width int, keys array<long>"), "vec-hash")
     entries = hashed.select("vec_id", F.posexplode("keys").alias("t", "k"))
     sizes = entries.groupBy("t", "k").count().where("count > 1")
     many = sizes.select("t", "k", F.ceil(F.col("count") / CELL).cast("int").alias("blocks"))
@@ -137,8 +145,8 @@ def link(spark: SparkSession, vectors: DataFrame, threshold: float = 0.9) -> Dat
     met = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     cells = met.select("vec_id", "t", "k", "mine", F.least("mine", "other").alias("bi"), F.greatest("mine", "other").alias("bj"))
     width = max(shuffle_width(spark), 2)
-    loaded = cells.join(hashed.select("vec_id", "unit"), "vec_id").repartition(width, "t", "k", "bi", "bj").sortWithinPartitions("t", "k", "bi", "bj", "vec_id")
-    found = written(spark, loaded.select("vec_id", "unit", "t", "k", "mine", "bi", "bj").mapInArrow(_cells(threshold), "vec_id long, n long, root long"), "vec-links")
+    loaded = cells.join(hashed.select("vec_id", "vec", "width"), "vec_id").repartition(width, "t", "k", "bi", "bj").sortWithinPartitions("t", "k", "bi", "bj", "vec_id")
+    found = written(spark, loaded.select("vec_id", "vec", "width", "t", "k", "mine", "bi", "bj").mapInArrow(_cells(threshold), "vec_id long, n long, root long"), "vec-links")
     counts = found.groupBy("vec_id").agg(F.sum("n").alias("n"))
     parts = components(spark, found.select(F.col("vec_id").alias("a"), F.col("root").alias("b")))
     joined = base.select("vec_id").join(counts, "vec_id", "left").join(parts.withColumnRenamed("v", "vec_id"), "vec_id", "left")
