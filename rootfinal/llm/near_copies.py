@@ -1,13 +1,14 @@
 """Near-duplicate texts by order MinHash, verified by banded alignment.
 
 Words are runs without ASCII white space; a k-mer is five words, labelled with its occurrence number within the text. A
-sketch takes the two k-mers of least hash and keeps their text order; eight sketches are eight band keys. Texts of equal
-word sequence form one class at once and only their least doc_id goes on.
+sketch takes the three k-mers of least hash and keeps their text order; twelve sketches are twelve band keys. Texts of
+equal word sequence form one class at once and only their least doc_id goes on.
 
-In a bucket every text is compared with the bucket's least doc_id; those that do not link stay, and the next least
-leads the rest, until no bucket holds two. Buckets of two or of thousands so take pairs in number of their rows,
-never of its square. A pair links if its labelled k-mers have a Jaccard similarity of at least 0.8 and its word
-alignment, within the band that this similarity allows, keeps at least 0.8 of the longer text.
+In a bucket every text is first compared with the bucket's least doc_id. Where one does not link, the bucket goes into
+cells: blocks of its texts, every two blocks together in one task, and every pair there gets its exact k-mer overlap.
+So a bucket of copies alone takes pairs in number of its rows, and no link of a mixed bucket is lost. A pair links if
+its labelled k-mers have a Jaccard similarity of at least 0.8 and its word alignment, within the band that this
+similarity allows, keeps at least 0.8 of the longer text.
 
 A text of fewer than five words is one k-mer. Texts without words (null, empty, blank) link with nothing. Links chain:
 a class is a connected component, named by its least doc_id. Rows that repeat a doc_id share its class; a null doc_id is
@@ -26,9 +27,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import written
+from .shared import shuffle_width, written
 
-K, LEAST, SKETCHES, SIMILAR, SEED = 5, 2, 8, 0.8, 10
+K, LEAST, SKETCHES, SIMILAR, SEED = 5, 3, 12, 0.8, 10
+CELL = 512
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _SEEDS = np.random.default_rng(SEED).integers(1, 1 << 63, SKETCHES, dtype=np.uint64)
 
@@ -66,15 +68,14 @@ def _kmers(words: np.ndarray) -> np.ndarray:
 
 
 def _bands(kmers: np.ndarray) -> list[int]:
-    out = []
-    for seed in _SEEDS:
-        h = _mix(kmers ^ seed)
-        least = np.sort(np.argpartition(h, LEAST - 1)[:LEAST]) if len(h) > LEAST else np.arange(len(h))
-        key = seed.copy().reshape(1)
-        for x in h[least]:
-            key = _mix(key * _M1 + x)
-        out.append(int(key.view(np.int64)[0]))
-    return out
+    h = _mix(kmers[None, :] ^ _SEEDS[:, None])
+    if len(kmers) > LEAST:
+        at = np.sort(np.argpartition(h, LEAST - 1, axis=1)[:, :LEAST], axis=1)
+        h = np.take_along_axis(h, at, axis=1)
+    key = _SEEDS.copy()
+    for column in h.T:
+        key = _mix(key * _M1 + column)
+    return key.view(np.int64).tolist()
 
 
 def edit_distance_within(a: np.ndarray, b: np.ndarray, most: int) -> bool:
@@ -101,7 +102,10 @@ def similar(a: np.ndarray, b: np.ndarray) -> bool:
     """Both similarities of two texts given as word hashes."""
     if min(len(a), len(b)) < K:
         return np.array_equal(a, b)
-    ka, kb = _kmers(a), _kmers(b)
+    return _alike(a, b, _kmers(a), _kmers(b))
+
+
+def _alike(a: np.ndarray, b: np.ndarray, ka: np.ndarray, kb: np.ndarray) -> bool:
     shared, ia, ib = np.intersect1d(ka, kb, assume_unique=True, return_indices=True)
     if len(shared) < SIMILAR * (len(ka) + len(kb) - len(shared)):
         return False
@@ -118,6 +122,60 @@ def similar(a: np.ndarray, b: np.ndarray) -> bool:
     return edit_distance_within(a, b, most)
 
 
+def _cell_links(ids: np.ndarray, words: list[bytes], side: np.ndarray | None) -> list[tuple[int, int]]:
+    """A spanning forest of all links of one cell, from exact k-mer overlaps of every pair that it holds."""
+    texts = [np.frombuffer(w, np.uint64) for w in words]
+    kmers = [_kmers(t) if len(t) >= K else np.zeros(0, np.uint64) for t in texts]
+    sizes = np.array([len(k) for k in kmers])
+    owner = np.repeat(np.arange(len(ids)), sizes)
+    _, code, times = np.unique(np.concatenate(kmers), return_inverse=True, return_counts=True)
+    many = times > 1
+    column = np.cumsum(many) - 1
+    held = many[code]
+    owner, code = owner[held], column[code[held]]
+    order = np.argsort(code, kind="stable")
+    owner, code = owner[order], code[order]
+    shared = np.zeros((len(ids), len(ids)), np.float64)
+    width = 8192
+    for low in range(0, int(many.sum()), width):
+        a, b = np.searchsorted(code, [low, low + width])
+        part = np.zeros((len(ids), width), np.float32)
+        part[owner[a:b], code[a:b] - low] = 1
+        shared += part @ part.T
+    close = np.triu((shared >= SIMILAR * (sizes[:, None] + sizes[None, :] - shared)) & (shared > 0), 1)
+    if side is not None:
+        close &= side[:, None] != side[None, :]
+    root = np.arange(len(ids))
+    out = []
+    for i, j in np.argwhere(close).tolist():
+        if root[i] != root[j] and _alike(texts[i], texts[j], kmers[i], kmers[j]):
+            root[root == root[j]] = root[i]
+            out.append((int(ids[i]), int(ids[j])))
+    return out
+
+
+def _cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def done(key, rows):
+        ids, words, mine = zip(*rows, strict=True)
+        side = np.array(mine) != key[2] if key[2] != key[3] else None
+        return _cell_links(np.array(ids), list(words), side) if len(ids) > 1 else []
+
+    key, rows = None, []
+    for batch in batches:
+        out = []
+        for *k, doc, words, mine in zip(*(batch.column(c).to_pylist() for c in ("band", "key", "bi", "bj", "doc", "words", "mine")), strict=True):
+            if k != key:
+                if rows:
+                    out += done(key, rows)
+                key, rows = k, []
+            rows.append((doc, words, mine))
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
+    out = done(key, rows) if rows else []
+    if out:
+        yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
+
+
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     table = _Words()
     for batch in batches:
@@ -154,25 +212,23 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     first = written(spark, first, "omh-first")
     copies = sketched.join(first.select("print", "rep"), "print").where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     entries = first.select(F.col("rep").alias("doc"), F.posexplode("bands").alias("band", "key")).distinct()
-    shared = entries.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("doc").alias("lead")).where("n > 1")
-    members = written(spark, entries.join(shared.select("band", "key", "lead"), ["band", "key"]), "omh-members")
+    shared = entries.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("doc").alias("lead"), F.bit_xor(F.xxhash64("doc")).alias("x"), F.bit_xor(F.xxhash64("doc", F.lit(1))).alias("y")).where("n > 1")
+    # buckets of the same texts in several bands are one bucket
+    shared = shared.groupBy("n", "lead", "x", "y").agg(F.min(F.struct("band", "key")).alias("first")).select("first.band", "first.key", "n", "lead")
+    members = written(spark, entries.join(shared, ["band", "key"]), "omh-members")
     wanted = members.select(F.col("doc").alias("doc_id")).distinct()
     words = written(spark, known.join(wanted, "doc_id", "left_semi").mapInArrow(_word_rows, "doc_id long, words binary").dropDuplicates(["doc_id"]), "omh-words")
-    links = []
-    while True:
-        pairs = members.where("doc <> lead").select(F.col("lead").alias("a"), F.col("doc").alias("b")).distinct()
-        loaded = pairs.join(words.select(F.col("doc_id").alias("a"), F.col("words").alias("wa")), "a").join(words.select(F.col("doc_id").alias("b"), F.col("words").alias("wb")), "b")
-        checked = written(spark, loaded.select("a", "b", "wa", "wb").mapInArrow(_verify, "a long, b long, ok boolean"), "omh-checked")
-        links.append(checked.where("ok").select("a", "b"))
-        failed = checked.where("NOT ok").select(F.col("a").alias("lead"), F.col("b").alias("doc"))
-        left = members.join(failed, ["lead", "doc"], "left_semi").select("band", "key", "doc")
-        again = left.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("doc").alias("lead")).where("n > 1")
-        members = written(spark, left.join(again.select("band", "key", "lead"), ["band", "key"]), "omh-members")
-        if members.isEmpty():
-            break
-    edges = copies
-    for part in links:
-        edges = edges.unionByName(part)
+    pairs = members.where("doc <> lead").select(F.col("lead").alias("a"), F.col("doc").alias("b")).distinct()
+    loaded = pairs.join(words.select(F.col("doc_id").alias("a"), F.col("words").alias("wa")), "a").join(words.select(F.col("doc_id").alias("b"), F.col("words").alias("wb")), "b")
+    checked = written(spark, loaded.select("a", "b", "wa", "wb").mapInArrow(_verify, "a long, b long, ok boolean"), "omh-checked")
+    failed = checked.where("NOT ok").select(F.col("a").alias("lead"), F.col("b").alias("doc"))
+    mixed = members.join(failed, ["lead", "doc"], "left_semi").select("band", "key").distinct()
+    rest = members.join(mixed, ["band", "key"], "left_semi").where("n > 2").withColumn("blocks", F.ceil(F.col("n") / CELL).cast("int"))
+    rest = rest.withColumn("mine", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rest = rest.select("band", "key", "doc", "mine", F.least("mine", "other").alias("bi"), F.greatest("mine", "other").alias("bj"))
+    dealt = rest.join(words.withColumnRenamed("doc_id", "doc"), "doc").repartition(max(2, shuffle_width(spark)), "band", "key", "bi", "bj").sortWithinPartitions("band", "key", "bi", "bj", "doc")
+    inner = written(spark, dealt.mapInArrow(_cells, "a long, b long"), "omh-cells")
+    edges = copies.unionByName(checked.where("ok").select("a", "b")).unionByName(inner)
     found = components(spark, edges)
     out = base.select("doc_id").join(found.withColumnRenamed("v", "doc_id"), "doc_id", "left")
     out = out.select("doc_id", F.coalesce("component", "doc_id").alias("class_id"))
