@@ -41,7 +41,7 @@ class ChunkMap(NamedTuple):
 
 
 class TokenTransducer:
-    def __init__(self, path: str, limit: int = 1_000_000):
+    def __init__(self, path: str, limit: int = 300_000):
         self.library, self.automaton = library_tokenizer(path), automaton(path)
         self.special = vocabulary(path).special
         self.cut = re.compile("|".join(map(re.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None

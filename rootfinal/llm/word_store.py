@@ -17,7 +17,7 @@ class WordStore:
     It only saves work: past `limit` words it starts anew, and results never depend on it.
     """
 
-    def __init__(self, encode: Callable[[list[str]], Iterable], limit: int = 600_000):
+    def __init__(self, encode: Callable[[list[str]], Iterable], limit: int = 200_000):
         self.encode, self.limit = encode, limit
         self._clear()
 
