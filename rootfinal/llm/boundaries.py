@@ -20,7 +20,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .shared import shuffle_width, written
-from .vocabulary import library_tokenizer
+from .vocabulary import library_tokenizer, vocabulary
+from .word_store import WordStore, encode_texts
 
 BLOCK_IDS = 1 << 20
 BLOCK_SCHEMA = "range_no int, block_no int, ids_before long, n_docs int, n_ids long, low_bits int, width int, doc_ids array<long>, low binary, high binary, ids binary"
@@ -65,6 +66,26 @@ class EliasFano:
         return upper << self.low_bits | low
 
 
+def _encoder(path: str):
+    """Ids and counts of a string array by the library. A vocabulary with word ends drops white space, so that there
+    each distinct word goes to the library once; any other gets whole texts."""
+    tokenizer, vocab = library_tokenizer(path), vocabulary(path)
+
+    def whole(texts: list[str]) -> list[list[int]]:
+        return [e.ids for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    if vocab.suffix:
+        store = WordStore(whole)
+        return lambda texts: encode_texts(store, texts, vocab.special)
+
+    def plain(texts: pa.Array):
+        found = whole(texts.to_pylist())
+        counts = np.array([len(f) for f in found], np.int64)
+        return np.concatenate([np.array(f, np.int64) for f in found]), counts
+
+    return plain
+
+
 def write_blocks(spark: SparkSession, docs: DataFrame, path: str, end_id: int, block_ids: int = BLOCK_IDS) -> DataFrame:
     """Encodes every whole text, appends `end_id`, and writes blocks in ascending doc_id order; returns the written table."""
     ranges = shuffle_width(spark)
@@ -74,6 +95,7 @@ def write_blocks(spark: SparkSession, docs: DataFrame, path: str, end_id: int, b
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokenizer = library_tokenizer(path)
         dtype = np.uint16 if tokenizer.get_vocab_size() <= 1 << 16 and end_id < 1 << 16 else np.uint32
+        encode = _encoder(path)
         docs_in, parts, ends, before, block_no, range_no = [], [], [], 0, 0, 0
 
         def flush():
@@ -88,9 +110,10 @@ def write_blocks(spark: SparkSession, docs: DataFrame, path: str, end_id: int, b
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text")
             range_no = batch.column("range_no")[0].as_py() if len(batch) else range_no
             for low in range(0, len(ids), 64):
-                found = tokenizer.encode_batch_fast([t.as_py() for t in texts[low : low + 64]], add_special_tokens=False)
-                for doc, e in zip(ids[low : low + 64], found, strict=True):
-                    own = np.array([*e.ids, end_id], dtype)
+                flat, counts = encode(texts[low : low + 64])
+                stops = np.cumsum(counts)
+                for doc, a, b in zip(ids[low : low + 64], (stops - counts).tolist(), stops.tolist(), strict=True):
+                    own = np.append(flat[a:b], end_id).astype(dtype)
                     docs_in.append(doc)
                     parts.append(own)
                     ends.append((ends[-1] if ends else 0) + len(own))
