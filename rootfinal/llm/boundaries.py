@@ -13,13 +13,14 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import shuffle_width, written
+from .shared import shuffle_width, slices, written
 from .vocabulary import library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
@@ -71,19 +72,15 @@ def _encoder(path: str):
     each distinct word goes to the library once; any other gets whole texts."""
     tokenizer, vocab = library_tokenizer(path), vocabulary(path)
 
-    def whole(texts: list[str]) -> list[list[int]]:
-        return [e.ids for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def whole(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        found = [e.ids for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        counts = np.fromiter(map(len, found), np.int64, len(found))
+        return np.fromiter(chain.from_iterable(found), np.int64, int(counts.sum())), counts
 
-    if vocab.suffix:
-        store = WordStore(whole)
-        return lambda texts: encode_texts(store, texts, vocab.special)
-
-    def plain(texts: pa.Array):
-        found = whole(texts.to_pylist())
-        counts = np.array([len(f) for f in found], np.int64)
-        return np.concatenate([np.array(f, np.int64) for f in found]), counts
-
-    return plain
+    if not vocab.suffix:
+        return lambda texts: whole(texts.to_pylist())
+    store = WordStore(whole)
+    return lambda texts: encode_texts(store, texts, vocab.special)
 
 
 def write_blocks(spark: SparkSession, docs: DataFrame, path: str, end_id: int, block_ids: int = BLOCK_IDS) -> DataFrame:
@@ -109,10 +106,10 @@ def write_blocks(spark: SparkSession, docs: DataFrame, path: str, end_id: int, b
         for batch in batches:
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text")
             range_no = batch.column("range_no")[0].as_py() if len(batch) else range_no
-            for low in range(0, len(ids), 64):
-                flat, counts = encode(texts[low : low + 64])
+            for low, high in slices(texts):
+                flat, counts = encode(texts[low:high])
                 stops = np.cumsum(counts)
-                for doc, a, b in zip(ids[low : low + 64], (stops - counts).tolist(), stops.tolist(), strict=True):
+                for doc, a, b in zip(ids[low:high], (stops - counts).tolist(), stops.tolist(), strict=True):
                     own = np.append(flat[a:b], end_id).astype(dtype)
                     docs_in.append(doc)
                     parts.append(own)

@@ -27,7 +27,7 @@ def word_encoder(path: str):
     """Encodes white-space free words: the library's normalizer and splitter, then the automaton's arcs."""
     tokenizer, auto, special = library_tokenizer(path), automaton(path), vocabulary(path).special
 
-    def encode(words: list[str]) -> list[np.ndarray]:
+    def encode(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         pieces: list[bytes] = []
         counts = []
         for w in words:
@@ -46,7 +46,7 @@ def word_encoder(path: str):
             else:
                 out.append(tokens[ends[at] : ends[at + c]])
                 at += c
-        return out
+        return np.concatenate(out) if out else np.zeros(0, np.int64), np.fromiter(map(len, out), np.int64, len(out))
 
     return encode
 

@@ -12,12 +12,12 @@ from .shared import ragged, sums_by_run
 
 
 class WordStore:
-    """Ids of words met so far. `encode(words)` gives the ids of new words, one list or array each.
+    """Ids of words met so far. `encode(words)` gives the ids of new words, concatenated, and the number of each word's.
 
     It only saves work: past `limit` words it starts anew, and results never depend on it.
     """
 
-    def __init__(self, encode: Callable[[list[str]], Iterable], limit: int = 200_000):
+    def __init__(self, encode: Callable[[list[str]], tuple[np.ndarray, np.ndarray]], limit: int = 200_000):
         self.encode, self.limit = encode, limit
         self._clear()
 
@@ -37,18 +37,15 @@ class WordStore:
         missing = np.flatnonzero(at < 0)
         if len(missing):
             new = [words[i] for i in missing]
-            found = [np.asarray(x, np.int32) for x in self.encode(new)]
+            flat, counts = self.encode(new)
             first = len(self.index)
             self.index.update(zip(new, range(first, first + len(new)), strict=True))
             at[missing] = np.arange(first, first + len(new))
-            counts = np.fromiter(map(len, found), np.int64, len(found))
-            self._grow(first + len(new), self.used + int(counts.sum()))
+            self._grow(first + len(new), self.used + len(flat))
             self.counts[first : first + len(new)] = counts
             self.starts[first : first + len(new)] = self.used + np.cumsum(counts) - counts
-            if found:
-                flat = np.concatenate(found)
-                self.ids[self.used : self.used + len(flat)] = flat
-                self.used += len(flat)
+            self.ids[self.used : self.used + len(flat)] = flat
+            self.used += len(flat)
         return at
 
     def _grow(self, words: int, ids: int) -> None:
