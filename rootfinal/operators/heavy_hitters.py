@@ -2,18 +2,23 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..summary import MisraGries, SpaceSaving
+from ..summary import CountMin, MisraGries, SpaceSaving, StreamSummary
 from ..tree import finished
 
-METHODS = {"space_saving": SpaceSaving, "misra_gries": MisraGries}
+METHODS = {"space_saving": SpaceSaving, "stream_summary": StreamSummary, "misra_gries": MisraGries}
 
 
-def heavy_hitters(df: DataFrame, col: str, k: int, method: str = "space_saving", root: str = "finalize", capacity: int | None = None, depth: int = 2) -> DataFrame:
-    """rank, item, estimate, error, guaranteed, lost, survivors; at most k rows."""
-    x = df.select(F.col(col).alias("item")).where("item IS NOT NULL")
+def heavy_hitters(df: DataFrame, col: str, k: int, method: str = "space_saving", root: str = "finalize", capacity: int | None = None, depth: int = 2, weight_col: str | None = None) -> DataFrame:
+    """rank, item, estimate, error, guaranteed, lost, survivors; at most k rows. Weights are positive integers."""
+    if weight_col and method == "stream_summary":
+        raise ValueError("stream_summary counts single items")
+    weight = [F.coalesce(F.col(weight_col).cast("long"), F.lit(0)).alias("w")] if weight_col else []
+    x = df.select(F.col(col).alias("item"), *weight).where("item IS NOT NULL")
     kind = x.schema["item"].dataType.simpleString()
     return finished(x, METHODS[method](k, capacity or 5 * k, kind), depth, root)
 
@@ -40,3 +45,28 @@ def measures(found: DataFrame, df: DataFrame, col: str, k: int) -> DataFrame:
     got = hit.agg(F.count("*").alias("n"), F.count_if(F.col("strict") <= k).alias("right"), F.count_if(F.col("first") <= k).alias("right_tied"), F.avg(F.abs(F.col("strict") - F.col("rank"))).alias("rank_mae"), F.avg(gap).alias("rank_mae_tied"))
     frontier = ranges.where(F.col("first") <= k).agg(F.max("last").alias("truth_tied"))
     return got.crossJoin(frontier).select((F.col("right") / F.col("n")).alias("precision"), (F.col("right") / F.lit(k)).alias("recall"), "rank_mae", (F.col("right_tied") / F.col("n")).alias("precision_tied"), (F.col("right_tied") / F.col("truth_tied")).alias("recall_tied"), "rank_mae_tied")
+
+
+def hh_status(found: DataFrame, k: int) -> DataFrame:
+    """returned, survivors, decremented, collapsed: whether fewer rows came back than were asked for."""
+    return found.agg(F.count("*").alias("returned"), F.coalesce(F.max("survivors"), F.lit(0)).alias("survivors"), F.max("lost").alias("decremented"), (F.count("*") < k).alias("collapsed"))
+
+
+def count_min_estimate(df: DataFrame, col: str, items: list, eps: float = 0.001, confidence: float = 0.99, depth: int = 2) -> DataFrame:
+    """item, estimate, total: never under the true count, over it by at most eps * total with this confidence.
+
+    Counters are merged up the tree and only the looked-up items leave the root.
+    """
+    spark = df.sparkSession
+    width, rows = math.ceil(math.e / eps), max(1, math.ceil(math.log(1 / (1 - confidence))))
+    kind = df.schema[col].dataType.simpleString()
+    places = [F.pmod(F.xxhash64(F.col("item"), F.lit(i)), F.lit(width)).cast("int").alias(f"h{i}") for i in range(rows)]
+    asked = spark.createDataFrame([(i, v) for i, v in enumerate(items)], f"item_no int, item {kind}")
+    lookups = [tuple(r)[1:] for r in asked.select("item_no", *places).orderBy("item_no").collect()]  # the caller's own list
+    found = finished(df.select(F.col(col).alias("item")).where("item IS NOT NULL").select(*places), CountMin(width, rows, lookups), depth)
+    return found.join(asked, "item_no").select("item", "estimate", "total")
+
+
+def frequent_items(df: DataFrame, col: str, support: float) -> DataFrame:
+    """Baseline: the built-in candidate list of items above a share of the rows."""
+    return df.freqItems([col], support).select(F.explode(f"{col}_freqItems").alias("item"))

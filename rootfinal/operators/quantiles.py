@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import math
+from decimal import Decimal
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..summary import GKSummary, NearestValues, rank_of
+from ..summary import GKSummary, NearestValues, WindowSummary, rank_of
 from ..tree import depth_for_fan_in, finished
 
 
@@ -101,3 +103,90 @@ def rank_error(df: DataFrame, col: str, value, k: int) -> int:
     x, _ = _one(df, col)
     r = x.agg(F.count_if(F.col("x") < F.lit(value)).alias("b"), F.count_if(F.col("x") == F.lit(value)).alias("e")).first()
     return max(0, r.b + 1 - k, k - r.b - r.e)
+
+
+def _around(q: float, n: int, k: int, eps: float) -> list[float]:
+    """Two quantiles whose sketched values enclose rank k."""
+    slack = 2 * eps + 1 / n
+    return [max(0.0, k / n - slack), min(1.0, k / n + slack)]
+
+
+def gk_select_two_round(df: DataFrame, col: str, q: float, eps: float = 0.01, depth: int = 2) -> DataFrame:
+    """q, k, n, value: the sketch gives a window sure to hold the answer, one more pass counts below it and keeps it."""
+    spark = df.sparkSession
+    x, kind = _one(df, col)
+    n = x.count()
+    if not n:
+        return spark.createDataFrame([], f"q double, k long, n long, value {kind}")
+    k = rank_of(q, n)
+    low, high = (r.value for r in finished(x, GKSummary(_around(q, n, k, eps), eps, kind), 2).orderBy("q").collect())
+    answer = finished(x, WindowSummary(low, high, k, kind), depth)
+    return answer.select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n"), "value")
+
+
+def gk_select_narrowing(df: DataFrame, col: str, q: float, eps: float = 0.01, max_candidates: int = 1_000_000, depth: int = 2) -> DataFrame:
+    """q, k, n, value: the window around the rank is sketched again until it holds at most `max_candidates` rows.
+
+    Each round shrinks it to about 4 * eps of itself; a window of one value ends the search whatever its size.
+    """
+    spark = df.sparkSession
+    x, kind = _one(df, col)
+    n = inside = x.count()
+    if not n:
+        return spark.createDataFrame([], f"q double, k long, n long, value {kind}")
+    k = left = rank_of(q, n)
+    window, low, high = x, None, None
+    while inside > max_candidates and (low is None or low != high):
+        low, high = (r.value for r in finished(window, GKSummary(_around(q, inside, left, eps), eps, kind), 2).orderBy("q").collect())
+        counts = window.agg(F.count_if(F.col("x") < F.lit(low)).alias("below"), F.count_if(F.col("x").between(F.lit(low), F.lit(high))).alias("inside")).first()
+        if counts.inside == inside:
+            break
+        left, inside = left - counts.below, counts.inside
+        window = x.where(F.col("x").between(F.lit(low), F.lit(high)))
+    answer = spark.createDataFrame([(low,)], f"value {kind}") if low is not None and low == high else finished(window, NearestValues(left, True, kind), depth)
+    return answer.select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n"), "value")
+
+
+def gk_select_by(df: DataFrame, keys: list[str], col: str, q: float, eps: float = 0.001) -> DataFrame:
+    """keys, k, n, value: exact for each group, all in the JVM.
+
+    A sketch for each group encloses its rank; values inside are counted by value before one window over each
+    group's few distinct candidates finds the rank, so a hot group costs about 4 * eps of its rows there.
+    """
+    x, _ = _one(df.select(F.col(col)), col)
+    rows = df.select(*keys, F.col(col).cast(x.schema["x"].dataType).alias("x")).where("x IS NOT NULL")
+    ends = [max(0.0, q - 2 * eps), min(1.0, q + 2 * eps)]
+    sketch = rows.groupBy(*keys).agg(F.count("*").alias("n"), F.percentile_approx("x", ends, int(1 / eps)).alias("e"), F.min("x").alias("least"), F.max("x").alias("most"))
+    k = F.greatest(F.lit(1), F.ceil(F.lit(Decimal(str(q))) * F.col("n"))).cast("long")
+    low = F.when(F.lit(q - 2 * eps) * F.col("n") < 1, F.col("least")).otherwise(F.col("e")[0])
+    high = F.when(F.lit(1 - q - 2 * eps) * F.col("n") < 1, F.col("most")).otherwise(F.col("e")[1])
+    bounds = sketch.select(*[F.col(c).alias(f"__{c}") for c in keys], "n", k.alias("k"), low.alias("low"), high.alias("high"))
+    both = rows.join(bounds, reduce(lambda a, b: a & b, [rows[c].eqNullSafe(bounds[f"__{c}"]) for c in keys]))
+    # rows below the window are counted as one value, its row comes first by order
+    spot = F.when(F.col("x") < F.col("low"), F.lit(None)).otherwise(F.col("x"))
+    counted = both.where("x <= high").groupBy(*keys, "n", "k", spot.alias("value")).count()
+    running = F.sum("count").over(Window.partitionBy(*keys).orderBy(F.col("value").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, 0))
+    reached = counted.withColumn("upto", running).where("upto >= k AND upto - count < k")
+    return reached.select(*keys, "k", "n", "value")
+
+
+def kll_quantile(df: DataFrame, col: str, q: float) -> DataFrame:
+    """Baseline: the built-in KLL sketch, its answer read in the JVM."""
+    x, kind = _one(df, col)
+    form = "bigint" if kind == "bigint" else "double"
+    return x.agg(F.expr(f"kll_sketch_get_quantile_{form}(kll_sketch_agg_{form}(CAST(x AS {form})), {float(q)}D)").alias("value")).select(F.lit(float(q)).alias("q"), "value")
+
+
+def choose_epsilon(n: int, partitions: int, budget_bytes: int, tuple_bytes: int = 24) -> float:
+    """The eps that balances the sketch's (1/eps) * log(eps * n / P) tuples with the eps * n candidates.
+
+    Raises if neither fits the budget at the balance; then the window must be narrowed in more rounds.
+    """
+    low, high = 1.0 / max(n, 2), 0.5
+    for _ in range(60):
+        eps = math.sqrt(low * high)
+        sketch, candidates = tuple_bytes / eps * max(1.0, math.log(max(eps * n / partitions, math.e))), 8 * eps * n
+        low, high = (eps, high) if sketch > candidates else (low, eps)
+    if max(sketch, candidates) > budget_bytes:
+        raise ValueError("no eps keeps both the sketch and the candidates within the budget")
+    return eps

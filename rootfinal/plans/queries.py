@@ -2,14 +2,21 @@
 
 from __future__ import annotations
 
-from functools import partial
+import uuid
+from functools import partial, reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import heavy_hitters as hh
+from ..operators import measures as ms
 from ..operators import quantiles as qt
-from ..tree import plan_tree
+from ..sources.tables import grown, logistic_bands, work_dir
+from ..streaming.windows import event_stream, running_sketch, windowed_counts
+from ..summary import NearestValues, SpaceSaving
+from ..tree import checkpointed_states, finish_states, plan_tree, state_sizes, tagged_tree_aggregate, tree_reduce, tree_reduce_finalize
+from . import relational
 
 QS = [0.0, 0.01, 0.25, 0.5, 0.75, 0.9, 0.99, 1.0]
 PARTS = 12
@@ -58,11 +65,30 @@ def _exact(spark, sf_dir, table="lineitem", col="l_suppkey", k=20):
     return hh.exact_top_k(_table(spark, sf_dir, table, col), col, k)
 
 
+def _shuffled(spark, sf_dir, table="lineitem", col="l_partkey", keys=("l_orderkey", "l_linenumber"), parts=100, seed=0):
+    """Rows dealt by the hash of their keys. A plain repartition sorts rows first and so deals each label evenly,
+    which leaves no partition a label that it rarely sees."""
+    t = _table(spark, sf_dir, table, col, *[k for k in keys if k != col])
+    return t.repartition(parts, F.xxhash64(*keys, F.lit(seed))).select(col)
+
+
 def _accuracy(spark, sf_dir, method="space_saving", k=100, capacity=None):
-    x = _dealt(spark, sf_dir, "lineitem", "l_partkey")
+    x = _shuffled(spark, sf_dir)
     return hh.measures(hh.heavy_hitters(x, "l_partkey", k, method, capacity=capacity), x, "l_partkey", k)
 
 
+def _accuracy_sweep(spark, sf_dir, method="space_saving", ks=(5, 20, 50, 100, 200, 400)):
+    """One row of measures for each k, with five counters a hitter."""
+    rows = [_accuracy(spark, sf_dir, method, k).select(F.lit(k).alias("k"), "*") for k in ks]
+    return reduce(DataFrame.unionByName, rows)
+
+
+def _rising(spark, sf_dir):
+    """Space-Saving's precision rises with k and reaches one where the counters cover all labels."""
+    found = _accuracy_sweep(spark, sf_dir, ks=(20, 100, 20_000)).select("k", "precision")
+    return found.agg((F.max_by("precision", "k") == 1).alias("covered_is_exact"), (F.min_by("precision", "k") < F.max_by("precision", "k")).alias("rises"))
+
+
 def _bounds(spark, sf_dir, k=100):
     """Space-Saving's promise on a wide frontier: the true count lies between estimate less error and estimate."""
     x = _dealt(spark, sf_dir, "lineitem", "l_partkey")
@@ -78,6 +104,99 @@ def _collapse(spark, sf_dir):
     return found.agg((F.count("*") < 5).alias("collapsed"))
 
 
+def _price(spark, sf_dir):
+    return _dealt(spark, sf_dir, "lineitem", "l_extendedprice")
+
+
+def _two_round(spark, sf_dir):
+    return qt.gk_select_two_round(_price(spark, sf_dir), "l_extendedprice", 0.5)
+
+
+def _narrowing(spark, sf_dir):
+    return qt.gk_select_narrowing(_price(spark, sf_dir), "l_extendedprice", 0.5, max_candidates=2000)
+
+
+def _by_flag(spark, sf_dir):
+    return qt.gk_select_by(_table(spark, sf_dir, "lineitem", "l_returnflag", "l_extendedprice"), ["l_returnflag"], "l_extendedprice", 0.5)
+
+
+def _kll(spark, sf_dir):
+    """Whether the built-in sketch's answer lies within two hundredths of the rows of its rank."""
+    x = _table(spark, sf_dir, "lineitem", "l_extendedprice")
+    n = x.count()
+    value = qt.kll_quantile(x, "l_extendedprice", 0.5).first().value
+    return spark.createDataFrame([(qt.rank_error(x, "l_extendedprice", value, qt.rank_of(0.5, n)) <= 0.02 * n,)], "within boolean")
+
+
+def _tagged(spark, sf_dir):
+    x = _dealt(spark, sf_dir, "orders", "o_totalprice")
+    done = tagged_tree_aggregate(x, NearestValues(20, False, "double", every=True), x.count())
+    return spark.createDataFrame([tuple(r.values()) for r in done.to_pylist()], "value double")
+
+
+def _reduce(spark, sf_dir, finalize=True):
+    x = _dealt(spark, sf_dir, "lineitem", "l_quantity")
+    if finalize:
+        return tree_reduce_finalize(x, "l_quantity", max, lambda v: pa.table({"value": [v]}), "value double")
+    return spark.createDataFrame([(tree_reduce(x, "l_quantity", max),)], "value double")
+
+
+def _resumed(spark, sf_dir):
+    """The answer finished twice from the same checkpointed levels; the second call finds every level written."""
+    x = _dealt(spark, sf_dir, "orders", "o_totalprice")
+    s, folder = NearestValues(20, False, "double", every=True), f"{work_dir(spark)}/levels-{uuid.uuid4().hex}"
+    checkpointed_states(x, s, folder)
+    return finish_states(checkpointed_states(x, s, folder), s)
+
+
+def _ratio(spark, sf_dir):
+    """The states that reach the root hold more bytes than the answer exported at eight bytes an item."""
+    x = _dealt(spark, sf_dir, "lineitem", "l_partkey").select(F.col("l_partkey").alias("item"))
+    return state_sizes(x, SpaceSaving(20, 1000, "bigint")).agg((F.sum("state_bytes") > ms.export_bytes(20)).alias("result_smaller"))
+
+
+def _roots_equal(spark, sf_dir):
+    found = [_hitters(spark, sf_dir, "space_saving", root) for root in ("driver", "executor", "finalize")]
+    return found[0].exceptAll(found[1]).unionAll(found[2].exceptAll(found[0])).agg((F.count("*") == 0).alias("equal"))
+
+
+def _grown(spark, sf_dir, copies=4):
+    x = grown(_table(spark, sf_dir, "lineitem", "l_extendedprice"), "l_extendedprice", copies, 0.0).repartition(PARTS)
+    return qt.gk_select(x, "x", 0.5)
+
+
+def _weighted(spark, sf_dir):
+    """Suppliers by ordered quantity."""
+    x = _table(spark, sf_dir, "lineitem", "l_suppkey", "l_quantity").repartition(PARTS)
+    return hh.heavy_hitters(x, "l_suppkey", 20, capacity=20_000, weight_col="l_quantity").select("item", F.col("estimate").alias("count"))
+
+
+def _count_min(spark, sf_dir):
+    """Whether every estimate lies between the true count and it plus eps of the rows."""
+    x, items = _dealt(spark, sf_dir, "lineitem", "l_suppkey"), list(range(1, 11))
+    true = x.where(F.col("l_suppkey").isin(items)).groupBy(F.col("l_suppkey").alias("item")).count()
+    found = hh.count_min_estimate(x, "l_suppkey", items, eps=0.001).join(true, "item")
+    return found.agg(F.count("*").alias("n"), F.bool_and((F.col("estimate") >= F.col("count")) & (F.col("estimate") <= F.col("count") + 0.001 * F.col("total"))).alias("holds"))
+
+
+def _bands(spark, sf_dir):
+    return spark.createDataFrame([b for b in logistic_bands() if b[0] in (1, 2, 30)], "count int, last_rank long")
+
+
+def _costs(spark, sf_dir, n=9_000_000_000, parts=120):
+    rows = [(m, float(c["driver_memory"]), float(c["executor_memory"]), float(c["network"]), c["full_shuffles"], c["rounds"], c["exact"]) for m in ms.METHODS for c in [ms.cost(m, n, parts)]]
+    return spark.createDataFrame(rows, "method string, driver_memory double, executor_memory double, network double, full_shuffles int, rounds int, exact boolean")
+
+
+def _stream_daily(spark, sf_dir):
+    return windowed_counts(event_stream(spark, sf_dir), f"{work_dir(spark)}/daily-{uuid.uuid4().hex}")
+
+
+def _stream_top(spark, sf_dir):
+    found = running_sketch(event_stream(spark, sf_dir), "user_id", SpaceSaving(20, 20_000, "bigint"), f"{work_dir(spark)}/running-{uuid.uuid4().hex}")
+    return found.select("item", F.col("estimate").alias("count"))
+
+
 def _shapes(spark, sf_dir):
     rows = [(d, p.scale, p.root_fan_in, p.root_combines) for d in (1, 2, 4, 6) for p in [plan_tree(120, d)]]
     return spark.createDataFrame(rows, "depth int, fan_in int, root_states int, root_combines int")
@@ -108,23 +227,67 @@ QUERIES = {
     "misra_gries_accuracy": partial(_accuracy, method="misra_gries"),
     "misra_gries_collapse": _collapse,
     "tree_shapes": _shapes,
-}
-
-
-def _quantile_sql(col: str, table: str = "lineitem") -> str:
+    "gk_select_two_round": _two_round,
+    "gk_select_narrowing": _narrowing,
+    "gk_select_by_flag": _by_flag,
+    "gk_select_shipdate": partial(_select, col="l_shipdate"),
+    "gk_select_user_value": partial(_select, table="events", col="value"),
+    "gk_select_grown": _grown,
+    "kll_bound": _kll,
+    "tagged_top_values": _tagged,
+    "resumed_top_values": _resumed,
+    "tree_reduce_finalize": _reduce,
+    "tree_reduce": partial(_reduce, finalize=False),
+    "stream_summary_finalize": partial(_hitters, method="stream_summary", root="finalize"),
+    "space_saving_weighted": _weighted,
+    "space_saving_roots_equal": _roots_equal,
+    "space_saving_sweep": _accuracy_sweep,
+    "space_saving_precision_rises": _rising,
+    "misra_gries_sweep": partial(_accuracy_sweep, method="misra_gries"),
+    "count_min_bound": _count_min,
+    "state_result_ratio": _ratio,
+    "logistic_profile": _bands,
+    "cost_model": _costs,
+    "stream_daily_counts": _stream_daily,
+    "stream_running_top": _stream_top,
+} | relational.QUERIES
+
+
+def _quantile_sql(col: str, table: str = "lineitem", qs=QS) -> str:
     one = "SELECT CAST({q} AS double) AS q, greatest(CAST(ceil(CAST({q} AS decimal(9,4)) * n) AS bigint), 1) AS k, n, (SELECT quantile_disc({c}, {q}) FROM {t}) AS value FROM (SELECT count(*) AS n FROM {t})"
-    return " UNION ALL ".join(one.format(q=q, c=col, t=table) for q in QS)
+    return " UNION ALL ".join(one.format(q=q, c=col, t=table) for q in qs)
 
 
 _PRICE = _quantile_sql("l_extendedprice")
 _SUPPLIERS = "SELECT l_suppkey AS item, count(*) AS count FROM lineitem GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 20"
-ORACLE_SQL = {name: _PRICE for name in QUERIES if name.startswith("gk_select_") and name not in ("gk_select_ties", "gk_select_bigint")} | {
+_MEDIAN = _quantile_sql("l_extendedprice", qs=(0.5,))
+ORACLE_SQL = {name: _PRICE for name in QUERIES if name.startswith("gk_select_")} | {
     "gk_select_ties": _quantile_sql("l_discount"),
     "gk_select_bigint": _quantile_sql("l_orderkey"),
+    "gk_select_user_value": _quantile_sql("value", "events"),
+    "gk_select_shipdate": _quantile_sql("l_shipdate").replace("(SELECT quantile_disc(l_shipdate", "(SELECT epoch_us(quantile_disc(l_shipdate").replace(") FROM lineitem) AS value", ")) FROM lineitem) AS value"),
+    "gk_select_two_round": _MEDIAN,
+    "gk_select_narrowing": _MEDIAN,
+    "gk_select_by_flag": "SELECT l_returnflag, CAST(ceil(CAST(0.5 AS decimal(9,4)) * count(*)) AS bigint) AS k, count(*) AS n, quantile_disc(l_extendedprice, 0.5) AS value FROM lineitem GROUP BY 1",
+    "gk_select_grown": "SELECT CAST(0.5 AS double) AS q, 2 * count(*) AS k, 4 * count(*) AS n, (SELECT quantile_disc(l_extendedprice, 0.5) FROM (SELECT l_extendedprice FROM lineitem, range(4))) AS value FROM lineitem",
+    "kll_bound": "SELECT true AS within",
+    "tree_reduce_finalize": "SELECT max(l_quantity) AS value FROM lineitem",
+    "tree_reduce": "SELECT max(l_quantity) AS value FROM lineitem",
+    "tagged_top_values": "SELECT o_totalprice AS value FROM orders ORDER BY 1 DESC LIMIT 20",
+    "resumed_top_values": "SELECT o_totalprice AS value FROM orders ORDER BY 1 DESC LIMIT 20",
+    "space_saving_weighted": "SELECT l_suppkey AS item, CAST(sum(l_quantity) AS bigint) AS count FROM lineitem GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 20",
+    "space_saving_roots_equal": "SELECT true AS equal",
+    "space_saving_precision_rises": "SELECT true AS covered_is_exact, true AS rises",
+    "count_min_bound": "SELECT CAST(10 AS bigint) AS n, true AS holds",
+    "state_result_ratio": "SELECT true AS result_smaller",
+    "logistic_profile": "SELECT CAST(c AS integer) AS count, CAST(r AS bigint) AS last_rank FROM (VALUES (30, 17010749), (2, 31054701), (1, 33320898)) t(c, r)",
+    "tree_shapes": "SELECT CAST(d AS integer) AS depth, CAST(f AS integer) AS fan_in, CAST(s AS integer) AS root_states, CAST(c AS integer) AS root_combines FROM (VALUES (1, 120, 120, 119), (2, 11, 10, 9), (4, 4, 1, 0), (6, 3, 4, 3)) t(d, f, s, c)",
+    "stream_daily_counts": "SELECT date_trunc('day', ts)::timestamp AS window_start, event_type, count(*) AS count FROM events GROUP BY 1, 2",
+    "stream_running_top": "SELECT user_id AS item, count(*) AS count FROM events GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 20",
     "full_sort_quantile": "SELECT CAST(0.5 AS double) AS q, CAST(ceil(0.5 * count(*)) AS bigint) AS k, count(*) AS n, quantile_disc(l_extendedprice, 0.5) AS value FROM lineitem",
     "builtin_percentile_disc": "SELECT CAST(0.5 AS double) AS q, quantile_disc(l_extendedprice, 0.5) AS value FROM lineitem",
     "gk_sketch_bound": " UNION ALL ".join(f"SELECT CAST({q} AS double) AS q, count(*) AS n, true AS within FROM lineitem" for q in QS),
     "top_values": "SELECT o_totalprice AS value FROM orders ORDER BY 1 DESC LIMIT 20",
     "space_saving_bounds": "SELECT CAST(100 AS bigint) AS n, true AS holds",
     "misra_gries_collapse": "SELECT true AS collapsed",
-} | {name: _SUPPLIERS for name in ("space_saving_finalize", "space_saving_executor_root", "space_saving_driver_root", "misra_gries_finalize", "exact_top_k")}
+} | {name: _SUPPLIERS for name in ("stream_summary_finalize", "space_saving_finalize", "space_saving_executor_root", "space_saving_driver_root", "misra_gries_finalize", "exact_top_k")} | relational.ORACLE_SQL

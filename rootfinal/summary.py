@@ -57,6 +57,79 @@ class ReduceSummary(Summary):
         return self.finish(state)
 
 
+class TaggedSummary(Summary):
+    """Finishes inside a merge, found by counting rows: ("open", rows, state) or ("finished", rows, answer)."""
+
+    def __init__(self, inner: Summary, total: int):
+        self.inner, self.total = inner, total
+
+    def zero(self):
+        return ("open", 0, self.inner.zero())
+
+    def _tag(self, rows, state):
+        return ("finished", rows, self.inner.finalize(state)) if rows == self.total else ("open", rows, state)
+
+    def fold(self, state, batch):
+        tag, rows, own = state
+        if tag == "finished":
+            raise ValueError("a finished state takes no more rows")
+        return self._tag(rows + batch.num_rows, self.inner.fold(own, batch))
+
+    def merge(self, a, b):
+        if not a[1] or not b[1]:
+            return b if not a[1] else a
+        if "finished" in (a[0], b[0]):
+            raise ValueError("a finished state cannot be merged")
+        return self._tag(a[1] + b[1], self.inner.merge(a[2], b[2]))
+
+
+class WindowSummary(Summary):
+    """Counts values below `low` and keeps those up to `high`; finishes with the value of rank `k`."""
+
+    def __init__(self, low, high, k: int, value_type: str):
+        self.low, self.high, self.k = low, high, k
+        self.result_schema = f"value {value_type}"
+
+    def zero(self):
+        return 0, np.zeros(0)
+
+    def fold(self, state, batch):
+        x = _values(batch)
+        inside = x[(x >= self.low) & (x <= self.high)]
+        return state[0] + int((x < self.low).sum()), np.concatenate([state[1], inside]) if len(state[1]) else inside
+
+    def merge(self, a, b):
+        return a[0] + b[0], np.concatenate([x for x in (a[1], b[1]) if len(x)] or [a[1]])
+
+    def finalize(self, state):
+        at = self.k - state[0] - 1
+        return pa.table({"value": pa.array([np.partition(state[1], at)[at].item()])})
+
+
+class CountMin(Summary):
+    """Rows of counters at hashed places; the batch's columns are one hash for each row. Finishes with point lookups."""
+
+    result_schema = "item_no int, estimate long, total long"
+
+    def __init__(self, width: int, depth: int, lookups: list[tuple[int, ...]]):
+        self.width, self.depth, self.lookups = width, depth, lookups
+
+    def zero(self):
+        return np.zeros((self.depth, self.width), np.int64)
+
+    def fold(self, state, batch):
+        for i in range(self.depth):
+            state[i] += np.bincount(batch.column(i).to_numpy(), minlength=self.width)
+        return state
+
+    def merge(self, a, b):
+        return a + b
+
+    def finalize(self, state):
+        found = [min(int(state[i, at]) for i, at in enumerate(places)) for places in self.lookups]
+        return pa.table({"item_no": pa.array(range(len(found)), pa.int32()), "estimate": pa.array(found, pa.int64()), "total": pa.array([int(state[0].sum())] * len(found), pa.int64())})
+
+
 class GKSummary(Summary):
     """Rank sketch: values with rank gains `g` and slack `delta`, g + delta <= 2 * eps * n; n is kept beside.
 
@@ -184,10 +257,12 @@ class CounterSummary(Summary):
         return (u, *out)
 
     def fold(self, state, batch):
-        x = _values(batch)
-        if not len(x):
+        if batch.num_columns == 2:  # label and weight
+            u, n = self._sum(batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False))
+        else:
+            u, n = np.unique(_values(batch), return_counts=True)
+        if not len(u):
             return state
-        u, n = np.unique(x, return_counts=True)
         own = self.shrink(u, n.astype(np.int64), np.zeros(len(u), np.int64), 0)
         return own if state is None else self.merge(state, own)
 
@@ -223,6 +298,49 @@ class SpaceSaving(CounterSummary):
         return (*out[:3], max(out[3], a[3] + b[3]))
 
 
+class StreamSummary(SpaceSaving):
+    """Space-Saving one item at a time: labels hang in buckets of equal count, so raising and evicting cost O(1)."""
+
+    def fold(self, state, batch):
+        counts, errors, buckets, lost = {}, {}, {}, 0
+        if state is not None:
+            lost = state[3]
+            for label, c, e in zip(state[0].tolist(), state[1].tolist(), state[2].tolist(), strict=True):
+                counts[label], errors[label] = c, e
+                buckets.setdefault(c, {})[label] = None
+        least = min(buckets, default=0)
+
+        def move(label, old, new):
+            if old is not None:
+                del buckets[old][label]
+                if not buckets[old]:
+                    del buckets[old]
+            counts[label] = new
+            buckets.setdefault(new, {})[label] = None
+
+        for label in _values(batch).tolist():
+            if label in counts:
+                c = counts[label]
+                move(label, c, c + 1)
+                least = least if least in buckets else c + 1
+            elif len(counts) < self.capacity:
+                errors[label] = lost
+                move(label, None, lost + 1)
+                least = min(least, lost + 1) if len(counts) > 1 else lost + 1
+            else:
+                out = next(iter(buckets[least]))
+                errors[label] = lost = least
+                del errors[out], counts[out], buckets[least][out]
+                if not buckets[least]:
+                    del buckets[least]
+                move(label, None, lost + 1)
+                least = least if least in buckets else lost + 1
+        if not counts:
+            return state
+        labels = list(counts)
+        return np.array(labels), np.array([counts[x] for x in labels], np.int64), np.array([errors[x] for x in labels], np.int64), lost
+
+
 class MisraGries(CounterSummary):
     """Over capacity all counts fall by the first one past it, and those not positive go."""
 

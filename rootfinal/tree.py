@@ -15,7 +15,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .summary import Summary
+from .sources.tables import exists
+from .summary import ReduceSummary, Summary, TaggedSummary
 
 STATE_SCHEMA = "slot int, state binary, rows long"
 
@@ -103,11 +104,7 @@ def partial_states(df: DataFrame, summary: Summary, depth: int = 2) -> DataFrame
 
 def tree_aggregate_finalize(df: DataFrame, summary: Summary, depth: int = 2) -> DataFrame:
     """The answer's rows, finished once on the root's executor; no row for empty input."""
-
-    def run(t):
-        return summary.finalize(_merged(summary, t.column("state").to_pylist()))
-
-    return partial_states(df, summary, depth).groupBy(F.pmod("slot", F.lit(1)).alias("node")).applyInArrow(run, summary.result_schema)
+    return finish_states(partial_states(df, summary, depth), summary)
 
 
 def tree_aggregate(df: DataFrame, summary: Summary, depth: int = 2, root: str = "driver", finalize: bool | None = None):
@@ -129,3 +126,57 @@ def finished(df: DataFrame, summary: Summary, depth: int = 2, root: str = "final
     state = tree_aggregate(df, summary, depth, root)
     rows = summary.finalize(state).to_pylist() if state is not None else []
     return df.sparkSession.createDataFrame([tuple(r.values()) for r in rows], summary.result_schema)
+
+
+def tree_reduce(df: DataFrame, col: str, f, depth: int = 2, root: str = "driver"):
+    """The reduced value on the driver, None for no rows."""
+    return tree_aggregate(df.select(col), ReduceSummary(f, None, ""), depth, root)
+
+
+def tree_reduce_finalize(df: DataFrame, col: str, f, finish, result_schema: str, depth: int = 2) -> DataFrame:
+    """Same-type reduce whose root finishes on its executor; `finish` turns the value into an Arrow table."""
+    return tree_aggregate_finalize(df.select(col), ReduceSummary(f, finish, result_schema), depth)
+
+
+def tagged_tree_aggregate(df: DataFrame, summary: Summary, total_rows: int, depth: int = 2, root: str = "executor") -> pa.Table | None:
+    """The workaround without a finishing hook: every merge carries the rows seen and finishes at `total_rows`."""
+    done = tree_aggregate(df, TaggedSummary(summary, total_rows), depth, root)
+    if done is None:
+        return None
+    if done[0] != "finished":
+        raise ValueError(f"the last merge saw {done[1]} rows of {total_rows}")
+    return done[2]
+
+
+def state_sizes(df: DataFrame, summary: Summary, depth: int = 2) -> DataFrame:
+    """slot, rows, state_bytes of the states that reach the root."""
+    return partial_states(df, summary, depth).select("slot", "rows", F.length("state").cast("long").alias("state_bytes"))
+
+
+def checkpointed_states(df: DataFrame, summary: Summary, folder: str, depth: int = 2) -> DataFrame:
+    """States after the planned levels, each level written under `folder`; complete levels are not run again.
+
+    A restarted driver that calls this with the same folder goes on from the last complete level, and other
+    answers may be finished from the same states without another scan.
+    """
+    spark = df.sparkSession
+
+    def level(i: int, build) -> DataFrame:
+        path = f"{folder}/level-{i}"
+        if not exists(spark, f"{path}/_SUCCESS"):
+            build().write.mode("overwrite").parquet(path)
+        return spark.read.schema(STATE_SCHEMA).parquet(path)
+
+    states = level(0, lambda: _fold(df, summary))
+    for i, width in enumerate(plan_tree(max(1, df.rdd.getNumPartitions()), depth).levels, 1):
+        states = level(i, lambda below=states, width=width: _merge_level(below, width, summary))
+    return states
+
+
+def finish_states(states: DataFrame, summary: Summary) -> DataFrame:
+    """The answer from stored states: one merge and the finishing step on an executor."""
+
+    def run(t):
+        return summary.finalize(_merged(summary, t.column("state").to_pylist()))
+
+    return states.groupBy(F.pmod("slot", F.lit(1)).alias("node")).applyInArrow(run, summary.result_schema)
