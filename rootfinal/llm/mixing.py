@@ -6,7 +6,8 @@ capped sources are a prefix, so one pass of running sums finds them.
 
 Within a source documents stand in the order of md5(doc_id), doc_id and are read in passes; a pass takes a document whose middle
 word lies within the target. A source's weight moves over the run as 1 + slope * (2t - 1); the cumulative demand
-t + slope * (t*t - t) is inverted at the document's middle word, which is its training position in [0, 1].
+t + slope * (t*t - t) is inverted at the middle word of each copy, one pass further for each further copy, which is
+the copy's training position in [0, 1].
 
 Null texts have size 0 and are never short of their source; identical rows tie and fare alike up to their order, which changes no row.
 Running sums are two-level (blocks of a source by leading hash digits), so a hot source is spread over tasks.
@@ -40,7 +41,7 @@ def targets(sized: DataFrame) -> DataFrame:
 
 
 def assign(docs: DataFrame, slope: float = 0.5, payload: list[str] = ()) -> DataFrame:
-    """doc_id, source, size, source_size, target, copies, taken, position (of the first copy; null if not taken)."""
+    """doc_id, source, size, source_size, target, copies, taken, positions (one for each copy, ascending)."""
     size = F.coalesce(F.expr(r"regexp_count(text, '[^\\x20\\x09-\\x0D]+')"), F.lit(0)).cast("long")
     h = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
     sized = docs.select("doc_id", "source", size.alias("size"), h.alias("h"), F.substring(h, 1, BLOCK_DIGITS).alias("block"), *payload)
@@ -58,15 +59,24 @@ def assign(docs: DataFrame, slope: float = 0.5, payload: list[str] = ()) -> Data
     placed = placed.withColumn("mid", mid).withColumn("copies", F.least(copies, F.lit(CAP).cast("long")))
     # demand runs up for a source of odd weight and down for an even one
     a = F.when(F.col("weight") % 2 == 1, F.lit(slope)).otherwise(F.lit(-slope))
-    d = F.col("mid") / F.col("target")
-    t = (a - 1 + F.sqrt((1 - a) * (1 - a) + 4 * a * d)) / (2 * a)
-    return placed.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), F.when(F.col("copies") > 0, t).alias("position"), *payload)
+    d = lambda copy: (F.col("mid") + (copy - 1) * F.col("source_size")) / F.col("target")
+    t = lambda copy: 2 * d(copy) / (1 - a + F.sqrt((1 - a) * (1 - a) + 4 * a * d(copy)))
+    positions = F.when(F.col("copies") > 0, F.transform(F.sequence(F.lit(1).cast("long"), F.col("copies")), t)).otherwise(F.array().cast("array<double>"))
+    return placed.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), positions.alias("positions"), *payload)
+
+
+def schedule(docs: DataFrame, slope: float = 0.5, payload: list[str] = ()) -> DataFrame:
+    """assign's columns but positions, and copy, position: one row for each copy, range-sorted by position.
+
+    A document that is not taken keeps one row, of copy 0 and a null position, before the others.
+    """
+    placed = assign(docs, slope, payload)
+    rows = placed.select(*[c for c in placed.columns if c != "positions"], F.posexplode_outer("positions").alias("at", "position"))
+    return rows.withColumn("copy", F.coalesce(F.col("at") + 1, F.lit(0)).cast("long")).drop("at").orderBy("position", "doc_id", "copy")
 
 
 def mix(docs: DataFrame, slope: float = 0.5) -> DataFrame:
     """The columns of `docs`, one row for each copy taken, range-sorted by training position."""
     names = docs.columns
     whole = F.struct(*[F.col(f"`{c}`") for c in names]).alias("__doc")
-    taken = assign(docs.select("doc_id", "source", "text", whole), slope, ["__doc"])
-    copies = taken.where("copies > 0").select("__doc", "position", "doc_id", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("__copy"))
-    return copies.orderBy(F.col("__copy"), "position", "doc_id").select("__doc.*")
+    return schedule(docs.select("doc_id", "source", "text", whole), slope, ["__doc"]).where("copy > 0").select("__doc.*")

@@ -47,7 +47,13 @@ def op7_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.assign(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+    """One row for each document, read off the ranged schedule; op8_schedule has its positions."""
+    return mixing.schedule(table(spark, sf_dir, "documents")).where("copy <= 1").select("doc_id", "size", "source_size", "target", "taken")
+
+
+def op8_schedule(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row for each copy taken, in training order."""
+    return mixing.schedule(table(spark, sf_dir, "documents")).where("copy > 0").select("doc_id", "source", "size", "copy", "position")
 
 
 def op9_vector_links(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -58,7 +64,7 @@ def op10_near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_copies.classes(spark, table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_token_ids, op2_personal_data, op3_bpe_codec, op4_quality_rules, op5_token_counts, op6_sharding, op7_html_text, op8_mixing, op9_vector_links, op10_near_copies)}
+QUERIES = {f.__name__: f for f in (op1_token_ids, op2_personal_data, op3_bpe_codec, op4_quality_rules, op5_token_counts, op6_sharding, op7_html_text, op8_mixing, op8_schedule, op9_vector_links, op10_near_copies)}
 
 ORACLE_SQL = {
     "op8_mixing": r"""
@@ -78,3 +84,12 @@ SELECT p.doc_id, p.size, t.source_size, t.target,
 FROM p JOIN t ON p.source IS NOT DISTINCT FROM t.source
 """,
 }
+# the shares of op8_mixing, carried on to each copy's position
+ORACLE_SQL["op8_schedule"] = ORACLE_SQL["op8_mixing"].rsplit("SELECT p.doc_id", 1)[0].rstrip() + r""",
+e AS (SELECT p.doc_id, p.source, p.size, p.mid, t.source_size, t.target, CAST(CASE WHEN w.weight % 2 = 1 THEN 0.5 ELSE -0.5 END AS double) AS a,
+    CAST(CASE WHEN p.size = 0 OR p.mid > t.target THEN 0 ELSE least(3, floor((t.target - p.mid) / t.source_size) + 1) END AS bigint) AS copies
+    FROM p JOIN t ON p.source IS NOT DISTINCT FROM t.source JOIN w ON p.source IS NOT DISTINCT FROM w.source),
+k AS (SELECT *, unnest(generate_series(1, copies)) AS copy FROM e),
+m AS (SELECT *, (mid + (copy - 1) * source_size) / target AS d FROM k)
+SELECT doc_id, source, size, copy, 2 * d / (1 - a + sqrt((1 - a) * (1 - a) + 4 * a * d)) AS position FROM m
+"""

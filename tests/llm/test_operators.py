@@ -125,6 +125,23 @@ def test_mixing(spark):
     assert mixing.assign(df.limit(0)).count() == 0
 
 
+def test_every_copy_has_its_position(spark):
+    # a tenth of the words, half of the demand: its copies must run through the whole of the run
+    rows = [(i, "w " * 10, "b" if i < 10 else "a") for i in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = mixing.schedule(df).where("copy > 0").collect()
+    assert [r.position for r in got] == sorted(r.position for r in got)
+    small = [r for r in got if r.source == "b"]
+    assert max(r.copy for r in small) == 3
+    for c in (1, 2, 3):
+        own = [r.position for r in small if r.copy == c]
+        assert (c - 1) / 3 - 0.15 < min(own) and max(own) < c / 3 + 0.15
+    order = [r.source for r in mixing.mix(df).collect()]
+    assert order == [r.source for r in got] and "a" in order[-10:] and "b" in order[:10]
+    flat = mixing.schedule(df, slope=0.0).where("source = 'b' AND copy > 0").collect()
+    assert abs(flat[0].position - 5 / 300) < 1e-9 and abs(flat[-1].position - 295 / 300) < 1e-9
+
+
 def test_vectors(spark):
     rng = np.random.default_rng(5)
     base = rng.normal(size=(20, 16))
