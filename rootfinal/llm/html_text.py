@@ -2,8 +2,13 @@
 
 For each DOM node: characters of text, characters inside links, tags, and link tags below it. Density is characters per
 tag, lowered as the share of link characters rises relative to the body's. A node's density sum adds those of its
-children. The threshold is the least density on the path from the densest node to the body; among nodes above it
-that are not furniture, the one of the largest sum is the main subtree.
+children. The threshold is the least density on the path from the densest node to the body. Of the nodes above it,
+the one of the largest sum is climbed from to the node that holds every block of text of a quarter or more of its
+own blocks' mean density, and the page's heading. Containers outgrow their blocks, so blocks are held against blocks.
+
+Class words make a node furniture only if its blocks' mean density is below half of that of the page's other blocks,
+it holds less than half of the page's text and no h1; where an article or main element of another name stands, they
+do so outside of it at any density and size. A block of text inside a node so named is no reason to climb.
 
 Null and empty pages give an empty text. Broken markup is read as a browser would: unclosed paragraphs end at the next
 block, stray end tags are passed over.
@@ -33,10 +38,10 @@ _BLANK = re.compile(r"\s+")
 
 
 class Node:
-    __slots__ = ("tag", "parent", "children", "drop", "chars", "links", "tags", "link_tags", "density", "total")
+    __slots__ = ("tag", "parent", "children", "drop", "named", "chars", "links", "tags", "link_tags", "density", "total")
 
-    def __init__(self, tag: str, parent: Node | None, drop: bool):
-        self.tag, self.parent, self.drop = tag, parent, drop
+    def __init__(self, tag: str, parent: Node | None, drop: bool, named: bool = False):
+        self.tag, self.parent, self.drop, self.named = tag, parent, drop, named
         self.children: list[Node | str] = []
         self.chars = self.links = self.tags = self.link_tags = 0
         self.density = self.total = 0.0
@@ -56,8 +61,8 @@ class _Tree(HTMLParser):
         named = " ".join(v for k, v in attrs if k in ("class", "id", "role") and v)
         # a page's header is furniture, an article's own header is not
         head = tag == "header" and not self.open.get("article")
-        drop = self.at.drop or tag in DROPPED or head or bool(named and tag not in ("html", "body", "article", "main") and FURNITURE.search(named))
-        node = Node(tag, self.at, drop)
+        drop = self.at.drop or tag in DROPPED or head
+        node = Node(tag, self.at, drop, bool(named and tag not in ("html", "body", "article", "main") and FURNITURE.search(named)))
         self.at.children.append(node)
         if tag not in VOID:
             self.at = node
@@ -113,19 +118,105 @@ def _score(root: Node) -> list[Node]:
     return order
 
 
-def _main(root: Node) -> Node:
+def _path(n: Node | None) -> list[Node]:
+    """`n` and its ancestors, the root last."""
+    out = []
+    while n is not None:
+        out.append(n)
+        n = n.parent
+    return out
+
+
+def _usable(order: list[Node]) -> list[Node]:
+    return [n for n in order if not n.drop and n.chars and n.tag not in INLINE]
+
+
+def _is_block(n: Node) -> bool:
+    return any(c.strip() if isinstance(c, str) else c.tag in INLINE and c.chars and not c.drop for c in n.children)
+
+
+def _mean_density(blocks: list[Node]) -> float:
+    """By characters, so that short lines weigh little."""
+    return sum(n.density * n.chars for n in blocks) / (sum(n.chars for n in blocks) or 1)
+
+
+def _inside(order: list[Node], tops: set[Node]) -> set[Node]:
+    out: set[Node] = set()
+    for n in order:
+        if n in tops or n.parent in out:
+            out.add(n)
+    return out
+
+
+def _blocks_of(top: Node) -> list[Node]:
+    out, todo = [], [top]
+    while todo:
+        n = todo.pop()
+        if not n.drop and n.chars and n.tag not in INLINE and _is_block(n):
+            out.append(n)
+        todo.extend(c for c in n.children if isinstance(c, Node))
+    return out
+
+
+def _drop_named(root: Node) -> list[Node]:
+    """Scored nodes in page order once the furniture by class words is dropped."""
     order = _score(root)
-    usable = [n for n in order if not n.drop and n.chars and n.tag not in INLINE]
+    named = [n for n in order if n.named and not n.drop]
+    if not named:
+        return order
+    usable = _usable(order)
+    blocks = [n for n in usable if _is_block(n)]
+    marked = _inside(order, set(named))
+    least = 0.5 * _mean_density([n for n in blocks if n not in marked] or blocks)
+    tops = {n for n in usable if n.tag in ("article", "main") and n not in marked}
+    core = _inside(order, tops)
+    kept = {p for n in usable if n in tops or n.tag == "h1" for p in _path(n)}
+    for n in named:
+        if n not in kept:
+            outside = bool(core) and n not in core
+            n.drop = outside or 2 * n.chars < root.chars and _mean_density(_blocks_of(n)) < least
+    for n in order:
+        n.drop = n.drop or n.parent is not None and n.parent.drop
+        n.chars = n.links = n.tags = n.link_tags = 0
+        n.density = n.total = 0.0
+    return _score(root)
+
+
+def _main(root: Node) -> list[Node]:
+    """The tops of the main text, in page order."""
+    order = _drop_named(root)
+    usable = _usable(order)
     if not usable:
-        return root
-    best = max(usable, key=lambda n: n.density)
-    least, n = best.density, best
+        return [root]
+    n = max(usable, key=lambda n: n.density)
+    least = n.density
     while n is not None and n.tag != "#root":
         least = min(least, n.density)
         if n.tag == "body":
             break
         n = n.parent
-    return max((n for n in usable if n.density >= least and n.tag not in ("#root", "html")), key=lambda n: (n.total, n.chars), default=root)
+    best = max((n for n in usable if n.density >= least and n.tag not in ("#root", "html")), key=lambda n: (n.total, n.chars), default=root)
+    trail = _path(best)
+    place = {n: i for i, n in enumerate(trail)}
+
+    def held(n: Node) -> int:
+        """How far to climb for a node that holds `n` too."""
+        while n not in place:
+            n = n.parent
+        return place[n]
+
+    blocks = [n for n in usable if _is_block(n)]
+    enough = 0.25 * _mean_density([n for n in blocks if not held(n)])
+    aside = _inside(order, {n for n in order if n.named and n not in place})
+    up = max((held(n) for n in blocks if n.density >= enough and n not in aside), default=0)
+    heads = [n for n in usable if n.tag == "h1"]
+    if heads:
+        head = min(heads, key=held)
+        if held(head) > up and trail[held(head)].tag in ("body", "html", "#root"):
+            # on the way to the whole body only the heading is taken along
+            return sorted([trail[up], head], key=order.index)
+        up = max(up, held(head))
+    return [trail[up]]
 
 
 def main_text(html: str) -> str:
@@ -141,7 +232,7 @@ def main_text(html: str) -> str:
         if text:
             blocks.append(text)
 
-    todo: list[Node | str | None] = [_main(tree.root)]
+    todo: list[Node | str | None] = _main(tree.root)[::-1]
     while todo:
         n = todo.pop()
         if n is None:

@@ -108,6 +108,25 @@ def test_page_text():
     assert html_text.main_text("") == ""
 
 
+def test_page_text_of_sections_and_wrappers():
+    para = lambda k: f"<p>{'w%d ' % k * 100}</p>"
+    sections = "<section><h2>One</h2>" + para(1) * 5 + "</section><section><h2>Two</h2>" + para(2) * 12 + "</section>"
+    ads = "<nav><a href=x>Home</a></nav><div class=ad>Buy</div><div class='cookie-notice'><p>We use cookies</p></div><div class='related'><a href=y>Other story</a></div>"
+    whole = [("T", 1), ("One", 1), ("w1", 500), ("Two", 1), ("w2", 1200)]
+    pages = [
+        f"<body>{ads}<article><h1>T</h1>{sections}</article></body>",
+        f"<body>{ads}<div id=page><h1>T</h1><div>{sections}</div></div></body>",
+        f"<body>{ads}<h1>T</h1><div>{sections}</div></body>",
+        f"<body>{ads}<div class='page has-sidebar'><div class='content-header'><h1>T</h1></div>{sections}</div></body>",
+        f"<body>{ads}<article><h1>T</h1><div class='widget text'>{sections}</div></article></body>",
+        f"<body class=menu>{ads}<div class=related-layout><h1>T</h1>{sections}</div></body>",
+    ]
+    for page in pages:
+        words = html_text.main_text(page).split()
+        assert [(w, words.count(w)) for w, _ in whole] == whole, page[:200]
+        assert not {"Buy", "Home", "cookies", "Other"} & set(words), page[:200]
+
+
 def test_mixing(spark):
     rows = [(i, "w " * (i % 7), ["a", "b", None][min(i % 20, 2)]) for i in range(400)]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string")
