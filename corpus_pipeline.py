@@ -33,8 +33,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every copy, as digests."""
-    return bpe_codec.encode_column(docs, tokenizer_path("word_bpe_49k.json"), ["doc_id", "source"])
+    """Token ids of every copy."""
+    return bpe_codec.encode_ids(docs, tokenizer_path("word_bpe_49k.json"), ["doc_id", "source"])
 
 
 STAGES = [("quality_rules", quality_rules), ("near_dedup", near_dedup), ("redact_personal_data", redact_personal_data), ("mix_sources", mix_sources), ("encode", encode)]

@@ -1,5 +1,6 @@
 """BPE encoding and decoding by the merge automaton.
 
+`encode_ids` gives the ids of every row and `decode_ids` their text again; digests of both are a view over these.
 Null and empty texts encode to no ids. Rows, also repeated ones, are independent; columns of the input other
 than the text pass through untouched, and outputs get names of their own.
 """
@@ -11,15 +12,17 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .merge_automaton import automaton
 from .shared import slices, text_array
-from .vocabulary import byte_letters, id_texts, library_tokenizer, vocabulary
+from .vocabulary import byte_letters, library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
+DECODE_IDS = 1 << 20  # ids whose labels are held at once
 _CODE = {letter: b for b, letter in enumerate(byte_letters())}
 
 
@@ -51,31 +54,75 @@ def word_encoder(path: str):
     return encode
 
 
-def decode_ids(ids: np.ndarray, labels: list[str]) -> str:
-    """Arc labels joined by one space: the vocabulary names no decoder, so the library joins tokens so."""
-    return " ".join([labels[i] for i in ids.tolist()])
-
-
-def encode_column(df: DataFrame, path: str, keep: list[str], text: str = "text") -> DataFrame:
-    """`keep` columns plus n_tokens, ids_sha256 and decoded_sha256 of the whole text."""
+def encode_ids(df: DataFrame, path: str, keep: list[str], text: str = "text") -> DataFrame:
+    """`keep` columns plus n_tokens and ids of the whole text."""
     base = df.select(*keep, F.col(text).alias("__text"))
-    schema = T.StructType([*base.schema.fields[:-1], T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())])
+    schema = T.StructType([*base.schema.fields[:-1], T.StructField("n_tokens", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store, names, labels = WordStore(word_encoder(path)), id_texts(path), vocabulary(path).labels
-        special = vocabulary(path).special
+        store, special = WordStore(word_encoder(path)), vocabulary(path).special
         for batch in batches:
             texts = text_array(batch.column("__text"))
             for low, high in slices(texts):
                 ids, counts = encode_texts(store, texts.slice(low, high - low), special)
-                shas, decoded, at = [], [], 0
-                for n in counts.tolist():
-                    own = ids[at : at + n].tolist()
-                    at += n
-                    shas.append(hashlib.sha256(" ".join([names[i] for i in own]).encode()).hexdigest())
-                    decoded.append(hashlib.sha256(" ".join([labels[i] for i in own]).encode()).hexdigest())
+                ends = np.concatenate([[0], np.cumsum(counts)])
                 part = batch.slice(low, high - low)
-                arrays = [part.column(i) for i in range(len(keep))]
-                yield pa.RecordBatch.from_arrays([*arrays, pa.array(counts, pa.int64()), pa.array(shas), pa.array(decoded)], names=[f.name for f in schema])
+                lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids, pa.int32()))
+                yield pa.RecordBatch.from_arrays([*[part.column(i) for i in range(len(keep))], pa.array(counts, pa.int64()), lists], names=[f.name for f in schema])
 
     return base.mapInArrow(run, schema)
+
+
+def _parts(batch: pa.RecordBatch, place: int) -> Iterator[tuple[pa.RecordBatch, pa.ListArray]]:
+    """The batch in slices of at most DECODE_IDS ids (a longer row stands alone), each with its lists of ids."""
+    ends = np.cumsum(pc.fill_null(pc.list_value_length(batch.column(place)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    low = 0
+    while low < len(batch):
+        done = ends[low - 1] if low else 0
+        high = max(low + 1, int(np.searchsorted(ends, done + DECODE_IDS, side="right")))
+        part = batch.slice(low, high - low)
+        yield part, part.column(place)
+        low = high
+
+
+def _joined(lists: pa.ListArray, names: pa.Array) -> pa.Array:
+    """The names of each list's ids, joined by one space; null for a null list."""
+    edges = np.concatenate([[0], np.cumsum(pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False))])
+    words = pa.ListArray.from_arrays(pa.array(edges, pa.int32()), names.take(lists.flatten()))
+    return pc.if_else(lists.is_valid(), pc.binary_join(words, " "), None)
+
+
+def decode_ids(encoded: DataFrame, path: str, ids: str = "ids") -> DataFrame:
+    """`encoded` plus `decoded`: labels joined by one space, as the library joins where a vocabulary names no decoder."""
+    schema = T.StructType([*encoded.schema.fields, T.StructField("decoded", T.StringType())])
+    place = encoded.columns.index(ids)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        labels = pa.array(vocabulary(path).labels)
+        for batch in batches:
+            for part, lists in _parts(batch, place):
+                yield pa.RecordBatch.from_arrays([*part.columns, _joined(lists, labels)], names=[f.name for f in schema])
+
+    return encoded.mapInArrow(run, schema)
+
+
+def digests(encoded: DataFrame, path: str, ids: str = "ids") -> DataFrame:
+    """`encoded` with ids_sha256 and decoded_sha256 in place of the ids, both derived from that column alone."""
+    place = encoded.columns.index(ids)
+    fields = [f for f in encoded.schema.fields if f.name != ids]
+    schema = T.StructType([*fields, T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        labels = pa.array(vocabulary(path).labels)
+        numbers = pa.array(map(str, range(len(labels))))
+        for batch in batches:
+            for part, lists in _parts(batch, place):
+                shas = [pa.array([None if t is None else hashlib.sha256(t.encode()).hexdigest() for t in _joined(lists, names).to_pylist()], pa.string()) for names in (numbers, labels)]
+                yield pa.RecordBatch.from_arrays([*[c for i, c in enumerate(part.columns) if i != place], *shas], names=[f.name for f in schema])
+
+    return encoded.mapInArrow(run, schema)
+
+
+def encode_column(df: DataFrame, path: str, keep: list[str], text: str = "text") -> DataFrame:
+    """`keep` columns plus n_tokens, ids_sha256 and decoded_sha256 of the whole text."""
+    return digests(encode_ids(df, path, keep, text), path)

@@ -69,8 +69,3 @@ def library_tokenizer(path: str):
     t.no_truncation()
     t.no_padding()
     return t
-
-
-@functools.cache
-def id_texts(path: str) -> list[str]:
-    return [str(i) for i in range(len(vocabulary(path).labels))]

@@ -5,6 +5,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+import corpus_pipeline
 from rootfinal.llm import boundaries, html_text, mixing, near_copies, personal_data, quality, sharding, token_count, vector_links
 from rootfinal.llm import bpe_codec
 from rootfinal.llm.queries import tokenizer_path
@@ -29,6 +30,21 @@ def test_codec_equals_library(docs):
         assert r.decoded_sha256 == hashlib.sha256(lib.decode(ids, skip_special_tokens=False).encode()).hexdigest()
 
 
+def test_ids_are_stored_and_decoded(spark, docs, tmp_path):
+    lib = library_tokenizer(tokenizer_path(WORD))
+    bpe_codec.encode_ids(docs, tokenizer_path(WORD), ["doc_id"]).write.parquet(str(tmp_path / "ids"))
+    rows = bpe_codec.decode_ids(spark.read.parquet(str(tmp_path / "ids")), tokenizer_path(WORD)).collect()
+    assert len(rows) == len(ODD) + 1
+    for r in rows:
+        ids = lib.encode(ODD[r.doc_id] or "", add_special_tokens=False).ids
+        assert (list(r.ids), r.n_tokens) == (ids, len(ids))
+        assert r.decoded == lib.decode(ids, skip_special_tokens=False)
+
+
+def test_pipeline_ends_in_ids(spark, docs):
+    assert dict(corpus_pipeline.encode(spark, docs, "").dtypes)["ids"] == "array<int>"
+
+
 def test_counts_equal_library():
     lib, machine = library_tokenizer(tokenizer_path(BYTE)), token_count.TokenTransducer(tokenizer_path(BYTE))
     for t in ODD:
