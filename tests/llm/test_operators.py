@@ -197,6 +197,24 @@ def test_vectors(spark):
     assert all(got[i].n_links == 0 and got[i].kept for i in range(120, 124))
 
 
+def planted_pairs(rng, n, size, low, high):
+    """2n vectors: pair i is rows i and n + i, of a cosine between low and high."""
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    a = unit(rng.normal(size=(n, size)))
+    side = rng.normal(size=(n, size))
+    side = unit(side - (side * a).sum(axis=1, keepdims=True) * a)
+    c = rng.uniform(low, high, (n, 1))
+    return np.concatenate([a, c * a + np.sqrt(1 - c * c) * side])
+
+
+def test_vector_links_near_the_threshold(spark):
+    x = planted_pairs(np.random.default_rng(8), 400, 64, 0.9005, 0.93)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {r.vec_id: r for r in vector_links.link(spark, df).collect()}
+    assert sum(got[i].n_links for i in range(800)) >= 0.985 * 800
+    assert sum(got[400 + i].component_id == i for i in range(400)) >= 0.985 * 400
+
+
 def test_near_copies(spark):
     rng = random.Random(6)
     words = [f"w{i}" for i in range(500)]
