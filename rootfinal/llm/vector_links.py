@@ -1,6 +1,7 @@
 """Links between vectors of high cosine by Euclidean p-stable hashing.
 
-A table's key is a vector of `width`-quantised Gaussian projections of the normalised vector. Vectors that share a key
+A table's key is a vector of `width`-quantised Gaussian projections of the normalised vector, and its length: vectors
+of different lengths never link. Vectors that share a key
 in some table are compared by cosine in double precision. A pair counts in the first table where it meets, so
 counts need no pair table. A bucket over `cell` rows is cut into blocks and every two blocks meet in a cell of their
 own: a hot bucket is spread over tasks and no pair is lost. Each cell returns a count for each vector and
@@ -42,7 +43,8 @@ def _keys(unit: np.ndarray) -> np.ndarray:
     q = np.floor(moved / WIDTH).astype(np.int64).astype(np.uint64).reshape(len(unit), TABLES, PROJECTIONS)
     mixed = (q + np.uint64(0x51ED27)) * _ODD
     mixed ^= mixed >> np.uint64(29)
-    return (mixed.sum(axis=2, dtype=np.uint64) * np.uint64(0xBF58476D1CE4E5B9)).view(np.int64)
+    of_length = np.uint64(unit.shape[1] * 0xD6E8FEB86659FD93 % (1 << 64))
+    return (mixed.sum(axis=2, dtype=np.uint64) * np.uint64(0xBF58476D1CE4E5B9) ^ of_length).view(np.int64)
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
@@ -109,10 +111,16 @@ def _cells(threshold: float):
             vecs, widths = t.column("vec").to_pylist(), t.column("width").to_numpy()
             out = []
             for a, b in zip(edges, edges[1:], strict=False):
-                if b - a > 1 and len({len(u) for u in vecs[a:b]}) == 1:
-                    unit = _unit(np.frombuffer(b"".join(vecs[a:b]), np.float32 if widths[a] == 4 else np.float64).reshape(b - a, -1))
-                    side = mine[a:b] != cols[2][a:b] if cols[2][a] != cols[3][a] else None
-                    got = _compare(ids[a:b], unit, side, int(cols[0][a]), threshold)
+                by_length: dict[int, list[int]] = {}
+                for i in range(a, b):
+                    by_length.setdefault(len(vecs[i]), []).append(i)
+                # the key holds the length, so there is one group but for clashes of the hash
+                for rows in by_length.values():
+                    if len(rows) < 2:
+                        continue
+                    unit = _unit(np.frombuffer(b"".join([vecs[i] for i in rows]), np.float32 if widths[a] == 4 else np.float64).reshape(len(rows), -1))
+                    side = mine[rows] != cols[2][rows] if cols[2][a] != cols[3][a] else None
+                    got = _compare(ids[rows], unit, side, int(cols[0][a]), threshold)
                     if got:
                         out.append(got)
             if out:

@@ -2,6 +2,7 @@ import hashlib
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -215,6 +216,21 @@ def test_vector_links_near_the_threshold(spark):
     assert sum(got[400 + i].component_id == i for i in range(400)) >= 0.985 * 400
 
 
+def test_vector_links_of_mixed_lengths(spark, monkeypatch):
+    rng = np.random.default_rng(9)
+    pairs = [planted_pairs(rng, 400, size, 0.98, 0.99) for size in (8, 9)]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate([*pairs[0], *pairs[1]])], "vec_id long, embedding array<double>")
+    unit = [x / np.linalg.norm(x, axis=1, keepdims=True) for x in pairs]
+    want = sum(int((u @ u.T >= 0.9).sum()) - len(u) for u in unit)
+    assert sum(r.n_links for r in vector_links.link(spark, df).collect()) >= 0.99 * want
+    # even where keys of different lengths clash
+    at = np.ones(8), np.ones(9)
+    rows = pa.table({"vec_id": list(range(4)), "vec": [at[i % 2].tobytes() for i in range(4)], "width": pa.array([8] * 4, pa.int32()), **{c: pa.array([0] * 4) for c in ("t", "k", "mine", "bi", "bj")}})
+    monkeypatch.setattr(vector_links, "_keys", lambda unit: np.zeros((len(unit), 1), np.int64))
+    got = pa.Table.from_batches(list(vector_links._cells(0.9)(iter(rows.to_batches())))).to_pylist()
+    assert {(r["vec_id"], r["n"], r["root"]) for r in got} == {(0, 1, 0), (2, 1, 0), (1, 1, 1), (3, 1, 1)}
+
+
 def test_near_copies(spark):
     rng = random.Random(6)
     words = [f"w{i}" for i in range(500)]
