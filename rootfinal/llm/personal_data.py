@@ -31,7 +31,18 @@ _DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _IP = re.compile(r"(?<![0-9])[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+")
 _CARD = re.compile(r"(?<![0-9])[0-9](?:[ -]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
-_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}(?![A-Za-z0-9])")
+_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?= ?[A-Z0-9])")
+# fixed values: characters of an account number by country
+_IBAN_SIZE = {
+    c: int(n)
+    for n, names in (x.split(":") for x in (
+        "15:NO", "16:BE", "18:DK FI FK FO GL NL SD", "19:MK SI", "20:AT BA EE KZ LT LU MN XK", "21:CH HR LI LV", "22:BG BH CR DE GB GE IE ME RS VA",
+        "23:AE GI IL IQ OM SO TL", "24:AD CZ ES MD PK RO SA SE SK TN VG", "25:LY PT ST", "26:IS TR", "27:BI DJ FR GR IT MC MR SM",
+        "28:AL AZ BY CY DO GT HN HU LB NI PL SV", "29:BR EG PS QA UA", "30:JO KW MU YE", "31:MT SC", "32:LC", "33:RU",
+    ))
+    for c in names.split()
+}
+_IBAN_OF_SIZE = {n: re.compile(r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){%d}(?![A-Za-z0-9])" % (n - 4)) for n in range(15, 35)}
 _IDNUM = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])")
 _WORD = re.compile(r"[a-z-]+")
 
@@ -66,6 +77,22 @@ def _emails(text: str) -> Iterator[tuple[int, int]]:
         at = text.find("@", max(at + 1, done))
 
 
+def _ibans(text: str) -> Iterator[tuple[int, int]]:
+    """A country's numbers have one size; of any other code the longest end that mod-97 confirms."""
+    done = 0
+    for m in _IBAN.finditer(text):
+        a = m.start()
+        if a < done:
+            continue
+        size = _IBAN_SIZE.get(text[a : a + 2])
+        for n in (size,) if size else range(34, 14, -1):
+            whole = _IBAN_OF_SIZE[n].match(text, a)
+            if whole and mod97(whole.group()):
+                done = whole.end()
+                yield a, done
+                break
+
+
 def find_spans(text: str, threshold: float = 0.5, reach: int = 40) -> list[tuple[str, int, int, float]]:
     """(kind, start, end, score) by start, then kind as listed in KINDS."""
     found = [("email", a, b) for a, b in _emails(text)] if "@" in text else []
@@ -79,7 +106,7 @@ def find_spans(text: str, threshold: float = 0.5, reach: int = 40) -> list[tuple
                 found.append(("card", *m.span()))
     if "+" in text:
         found.extend(("phone", *m.span()) for m in _PHONE.finditer(text) if 9 <= len(_digits(m.group())) <= 15)
-    found.extend(("iban", *m.span()) for m in _IBAN.finditer(text) if mod97(m.group()))
+    found.extend(("iban", a, b) for a, b in _ibans(text))
     found.extend(("idnum", *m.span()) for m in _IDNUM.finditer(text))
     out = []
     for kind, a, b in found:

@@ -96,6 +96,17 @@ def test_spans():
     assert list(personal_data._emails("a@b@c.d x@@y.z @q.r")) == [(2, 7)]
 
 
+def test_iban_before_capitals():
+    de, gb = "DE89 3704 0044 0532 0130 00", "GB82 WEST 1234 5698 7654 32"
+    for text, want in [
+        (f"{de} BIC COBADEFF", [de]), (f"{de.replace(' ', '')} I paid", [de.replace(" ", "")]), (f"pay {de} {gb} 12 NOW", [de, gb]),
+        (f"AB12 {de} X", [de]), (f"{de}0", []), ("DE89 3704 0044 0532 0130 01 BIC", []),
+    ]:
+        spans = personal_data.find_spans(text)
+        assert [text[a:b] for k, a, b, _ in spans if k == "iban"] == want, text
+        assert not any(w in personal_data.redact(text, spans) for w in want)
+
+
 def test_quality(docs):
     rows = quality.apply_policy(quality.ledger(docs, ["doc_id", "shard"]))
     assert rows.count() == len(ODD) + 1 and rows.where("kept").count() == 0
