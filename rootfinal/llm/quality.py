@@ -14,7 +14,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_distinct", "n_upper")
+MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_distinct", "n_upper", "n_block_distinct")
+BLOCK = 2000  # words
 # rule -> condition on the measures under which a text fails; the position is the bit
 RULES = {
     "few_words": "n_words < 50",
@@ -22,13 +23,22 @@ RULES = {
     "symbols": "10 * n_symbols > 2 * n_words",
     "dup_lines": "n_lines > 3 AND 100 * n_dup_lines > 40 * n_lines",
     "word_length": "word_chars < 2 * n_words OR word_chars > 12 * n_words",
-    "few_distinct": "n_words <= 2000 AND 100 * n_distinct < 30 * n_words",
+    "few_distinct": "100 * n_block_distinct < 30 * n_words",
     "shouting": "2 * n_upper > word_chars",
 }
 BASE_MASK = 0b11
 POLICIES = {1: BASE_MASK, 2: (1 << len(RULES)) - 1}
 
 
+def _block_distinct(words: list[bytes]) -> int:
+    """Distinct words of consecutive blocks, summed; words left over count by the share of the last BLOCK words."""
+    n = len(words)
+    if n <= BLOCK:
+        return len(set(words))
+    left = n % BLOCK
+    return sum(len(set(words[i : i + BLOCK])) for i in range(0, n - left, BLOCK)) + len(set(words[-BLOCK:])) * left // BLOCK
+
+
 def measure(text: str) -> tuple[int, ...]:
     words = text.encode().split()
     n = len(words)
@@ -46,7 +56,7 @@ def measure(text: str) -> tuple[int, ...]:
                 if times[w] > 1:
                     repeated += i + 3 - max(i, upto)
                     upto = i + 3
-    return n, chars, symbols, len(lines) - len(set(lines)), repeated, len(lines), len(set(words)), sum(map(str.isupper, text))
+    return n, chars, symbols, len(lines) - len(set(lines)), repeated, len(lines), len(set(words)), sum(map(str.isupper, text)), _block_distinct(words)
 
 
 def ledger(df: DataFrame, keep: list[str], text: str = "text") -> DataFrame:

@@ -115,6 +115,16 @@ def test_quality(docs):
     assert alone["few_words"] == len(ODD) + 1
 
 
+def test_long_junk_is_rejected(spark):
+    rng = random.Random(10)
+    junk = lambda n, vocabulary: " ".join(f"word{rng.randrange(vocabulary)}" for _ in range(n))
+    rows = [(n, junk(n, 500)) for n in (1999, 2000, 2001, 3000, 4100, 30000)] + [(3001, junk(3000, 40))]
+    rows += [(n + 7, junk(n, 3000)) for n in (2000, 5000, 30000)]
+    got = {r.doc_id: r.failed_bits for r in quality.ledger(spark.createDataFrame(rows, "doc_id long, text string"), ["doc_id"]).collect()}
+    bit = 1 << list(quality.RULES).index("few_distinct")
+    assert {i for i, bits in got.items() if bits & bit} == {1999, 2000, 2001, 3000, 4100, 30000, 3001}
+
+
 def test_shards(spark):
     df = spark.range(300).select(F.col("id").alias("doc_id"), F.repeat(F.lit("x"), (F.col("id") % 50).cast("int")).alias("text"))
     df = df.unionByName(spark.createDataFrame([(900, "y" * 900), (901, None)], "doc_id long, text string"))
