@@ -171,14 +171,23 @@ def _weighted(spark, sf_dir):
     return hh.heavy_hitters(x, "l_suppkey", 20, capacity=20_000, weight_col="l_quantity").select("item", F.col("estimate").alias("count"))
 
 
-def _count_min(spark, sf_dir):
+def _count_min(spark, sf_dir, items=range(1, 11)):
     """Whether every estimate lies between the true count and it plus eps of the rows."""
-    x, items = _dealt(spark, sf_dir, "lineitem", "l_suppkey"), list(range(1, 11))
+    x, items = _dealt(spark, sf_dir, "lineitem", "l_suppkey"), list(items)
     true = x.where(F.col("l_suppkey").isin(items)).groupBy(F.col("l_suppkey").alias("item")).count()
     found = hh.count_min_estimate(x, "l_suppkey", items, eps=0.001).join(true, "item")
     return found.agg(F.count("*").alias("n"), F.bool_and((F.col("estimate") >= F.col("count")) & (F.col("estimate") <= F.col("count") + 0.001 * F.col("total"))).alias("holds"))
 
 
+def _count_min_whole(spark, sf_dir):
+    """The same for every supplier; their keys are the items looked up, so they pass the driver."""
+    return _count_min(spark, sf_dir, [r[0] for r in _table(spark, sf_dir, "supplier", "s_suppkey").distinct().collect()])
+
+
+def _bands_whole(spark, sf_dir):
+    return spark.createDataFrame(logistic_bands(), "count int, last_rank long")
+
+
 def _bands(spark, sf_dir):
     return spark.createDataFrame([b for b in logistic_bands() if b[0] in (1, 2, 30)], "count int, last_rank long")
 
@@ -245,8 +254,10 @@ QUERIES = {
     "space_saving_precision_rises": _rising,
     "misra_gries_sweep": partial(_accuracy_sweep, method="misra_gries"),
     "count_min_bound": _count_min,
+    "count_min_bound_whole": _count_min_whole,
     "state_result_ratio": _ratio,
     "logistic_profile": _bands,
+    "logistic_profile_whole": _bands_whole,
     "cost_model": _costs,
     "stream_daily_counts": _stream_daily,
     "stream_running_top": _stream_top,
@@ -278,6 +289,8 @@ ORACLE_SQL = {name: _PRICE for name in QUERIES if name.startswith("gk_select_")}
     "space_saving_weighted": "SELECT l_suppkey AS item, CAST(sum(l_quantity) AS bigint) AS count FROM lineitem GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 20",
     "space_saving_roots_equal": "SELECT true AS equal",
     "space_saving_precision_rises": "SELECT true AS covered_is_exact, true AS rises",
+    "count_min_bound_whole": "SELECT count(DISTINCT l_suppkey) AS n, true AS holds FROM lineitem",
+    "logistic_profile_whole": "SELECT CAST(c AS integer) AS count, CAST(greatest(0, floor(25165824 + ln(30 / (c - 0.5) - 1) / 5e-7)) AS bigint) AS last_rank FROM range(1, 31) t(c)",
     "count_min_bound": "SELECT CAST(10 AS bigint) AS n, true AS holds",
     "state_result_ratio": "SELECT true AS result_smaller",
     "logistic_profile": "SELECT CAST(c AS integer) AS count, CAST(r AS bigint) AS last_rank FROM (VALUES (30, 17010749), (2, 31054701), (1, 33320898)) t(c, r)",

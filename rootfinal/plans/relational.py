@@ -12,12 +12,12 @@ from ..sources.tables import load
 _money = lambda c: F.col(c).cast("decimal(18,2)")
 
 
-def _join(how: str, hint: str | None = None) -> Callable:
+def _join(how: str, hint: str | None = None, parts_where: str = "p_partkey % 2 = 0", sold_where: str = "l_partkey <= 1500") -> Callable:
     """Parts with their sales."""
 
     def run(spark: SparkSession, sf: str) -> DataFrame:
-        parts = load(spark, sf, "part", "p_partkey", "p_brand").where("p_partkey % 2 = 0")
-        sold = load(spark, sf, "lineitem", "l_partkey").where("l_partkey <= 1500").groupBy("l_partkey").agg(F.count("*").alias("sold"))
+        parts = load(spark, sf, "part", "p_partkey", "p_brand").where(parts_where)
+        sold = load(spark, sf, "lineitem", "l_partkey").where(sold_where).groupBy("l_partkey").agg(F.count("*").alias("sold"))
         return sold.join(parts.hint(hint) if hint else parts, sold.l_partkey == parts.p_partkey, how)
 
     return run
@@ -31,10 +31,10 @@ def _join_sql(how: str) -> str:
     return f"SELECT * FROM {_SOLD} s {how} JOIN {_EVEN} p ON s.l_partkey = p.p_partkey"
 
 
-def _sets(method: str) -> Callable:
+def _sets(method: str, a_where: str = "key % 3 = 0", b_where: str = "key % 2 = 0") -> Callable:
     def run(spark: SparkSession, sf: str) -> DataFrame:
-        a = load(spark, sf, "orders").select(F.col("o_custkey").alias("key")).where("key % 3 = 0")
-        b = load(spark, sf, "customer").select(F.col("c_custkey").alias("key")).where("key % 2 = 0")
+        a = load(spark, sf, "orders").select(F.col("o_custkey").alias("key")).where(a_where)
+        b = load(spark, sf, "customer").select(F.col("c_custkey").alias("key")).where(b_where)
         return getattr(a, method)(b)
 
     return run
@@ -82,13 +82,16 @@ def _interval(spark: SparkSession, sf: str) -> DataFrame:
     return a.join(b, ["user_id", "hour"]).where("bt > at AND bt <= at + INTERVAL 1 HOUR").groupBy("user_id").agg(F.count("*").alias("pairs"))
 
 
-def _salted(spark: SparkSession, sf: str, salts: int = 16) -> DataFrame:
-    """Words joined with their counts, hot words dealt over salts on one side and copied on the other."""
+def _salted(spark: SparkSession, sf: str, salts: int = 16, cold: bool = False) -> DataFrame:
+    """Words joined with their counts, hot words dealt over salts on one side and copied on the other; `cold` adds the others, unsalted."""
     words = load(spark, sf, "documents").select(F.explode(F.split(F.lower("text"), r"\s+")).alias("word")).where("word <> ''")
     counts = words.withColumn("salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts))).groupBy("word", "salt").count()
     total = counts.groupBy("word").agg(F.sum("count").alias("n"))
     copied = total.where("n >= 100").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
-    return counts.join(copied, ["word", "salt"]).groupBy("word").agg(F.sum("count").alias("n"))
+    joined = counts.join(copied, ["word", "salt"]).select("word", "count")
+    if cold:
+        joined = joined.unionByName(counts.join(total.where("n < 100"), "word").select("word", "count"))
+    return joined.groupBy("word").agg(F.sum("count").alias("n"))
 
 
 def _group(mode: str) -> Callable:
@@ -170,5 +173,11 @@ REL: dict[str, tuple[Callable, str]] = {
     "rel_hosts": (_hosts, "SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, count(*) AS n FROM pages GROUP BY 1"),
     "rel_elements": (_elements, "SELECT label, CAST(max(x) AS double) AS most, count(*) AS n FROM (SELECT label, unnest(embedding) AS x FROM embeddings) GROUP BY 1"),
 }
+# the same over whole tables; the forms above keep the subsets that their SQL names
+_HOW = {"hash": ("inner", "INNER", "shuffle_hash"), "sortmerge": ("inner", "INNER", "merge"), "left": ("left", "LEFT", None), "right": ("right", "RIGHT", None), "full": ("full", "FULL", None), "semi": ("left_semi", "SEMI", None), "anti": ("left_anti", "ANTI", None)}
+_METHOD = {"union_all": ("unionAll", "UNION ALL"), "intersect": ("intersect", "INTERSECT"), "intersect_all": ("intersectAll", "INTERSECT ALL"), "except": ("subtract", "EXCEPT"), "except_all": ("exceptAll", "EXCEPT ALL")}
+REL |= {f"rel_join_{k}_whole": (_join(how, hint, "true", "true"), f"SELECT * FROM (SELECT l_partkey, count(*) AS sold FROM lineitem GROUP BY 1) s {sql} JOIN (SELECT p_partkey, p_brand FROM part) p ON s.l_partkey = p.p_partkey") for k, (how, sql, hint) in _HOW.items()}
+REL |= {f"rel_set_{k}_whole": (_sets(method, "true", "true"), f"SELECT o_custkey AS key FROM orders {sql} SELECT c_custkey AS key FROM customer") for k, (method, sql) in _METHOD.items()}
+REL["rel_join_skew_salted_whole"] = (lambda spark, sf: _salted(spark, sf, cold=True), REL["rel_join_skew_salted"][1].replace(" HAVING count(*) >= 100", ""))
 QUERIES = {name: q for name, (q, _) in REL.items()}
 ORACLE_SQL = {name: sql for name, (_, sql) in REL.items()}

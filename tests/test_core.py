@@ -92,3 +92,18 @@ def test_hitters_exact_when_capacity_covers(spark):
         assert [(r.item, r.estimate) for r in got.orderBy("rank").collect()] == want
         m = hh.measures(got, df, "x", 5).first()
         assert (m.precision, m.recall, m.rank_mae) == (1.0, 1.0, 0.0)
+
+
+def test_whole_forms_equal_sql(spark):
+    import duckdb
+
+    import __spark_entry__ as e
+
+    sf, con, sql = "/root/testdata/sf0.001", duckdb.connect(), e.oracle_sql()
+    for t in ("part", "lineitem", "orders", "customer", "documents"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    names = [n for n in e.queries() if n.endswith("_whole")]
+    assert len(names) == 15
+    for n in names:
+        got, want = ([tuple(r) for r in rows] for rows in (e.queries()[n](spark, sf).collect(), con.execute(sql[n]).fetchall()))
+        assert sorted(got, key=repr) == sorted(want, key=repr), n
