@@ -136,6 +136,40 @@ class MergeAutomaton:
             self._arc_on[at[miss]] = value[np.searchsorted(new, slot_key)]
         return on
 
+    def may_follow(self, x: int, y: int) -> bool:
+        """One arc, as `_follows` finds it, at the end of all gadgets."""
+        if not self.reached[y]:
+            return False
+        pairs, born, left, right, limit = self._pair_of, self._born, self._left, self._right, len(self.vocab.merges)
+        while True:
+            rank = pairs.get(x << 16 | y)
+            if rank is not None and rank < limit:
+                return False
+            a, b = born[x], born[y]
+            if a < 0 and b < 0:
+                return True
+            if a > b:
+                x, limit = right[x], a
+            else:
+                y, limit = left[y], b + 1
+
+    @functools.cached_property
+    def _pair_of(self) -> dict[int, int]:
+        a, b, _ = self.vocab.merges.T
+        return dict(zip((a << 16 | b).tolist(), range(len(a)), strict=True))
+
+    @functools.cached_property
+    def _born(self) -> list[int]:
+        return self.born.tolist()
+
+    @functools.cached_property
+    def _left(self) -> list[int]:
+        return self.left.tolist()
+
+    @functools.cached_property
+    def _right(self) -> list[int]:
+        return self.right.tolist()
+
     def _compile_trie(self) -> None:
         """Trie of the tokens' symbols; `fail` of a node is its longest proper suffix in the trie,
         `out` the longest token that ends there, `shorter` of a token its longest proper suffix token."""

@@ -46,24 +46,32 @@ def test_pipeline_ends_in_ids(spark, docs):
     assert dict(corpus_pipeline.encode(spark, docs, "").dtypes)["ids"] == "array<int>"
 
 
+def tokens_of(text):
+    return len(library_tokenizer(tokenizer_path(BYTE)).encode(text or "", add_special_tokens=False).ids)
+
+
 def test_counts_equal_library():
-    lib, machine = library_tokenizer(tokenizer_path(BYTE)), token_count.TokenTransducer(tokenizer_path(BYTE))
+    machine = token_count.TokenCounter(tokenizer_path(BYTE))
     for t in ODD:
-        assert machine.count(t or "") == len(lib.encode(t or "", add_special_tokens=False).ids), repr(t)
+        assert machine.count(t or "") == tokens_of(t), repr(t)
 
 
-def test_chunk_maps_compose_anywhere():
-    machine = token_count.TokenTransducer(tokenizer_path(BYTE))
+@pytest.mark.parametrize("chunk,limit", [(1, 1 << 19), (3, 1 << 19), (16, 200), (512, 1 << 19)])
+def test_chunk_maps_compose_anywhere(chunk, limit):
+    machine = token_count.TokenCounter(tokenizer_path(BYTE), limit, chunk)
     rng = random.Random(3)
-    for _ in range(300):
-        text = "".join(rng.choice(["a", "é", " ", "  ", "\n", "1", "!", "'s", "　"]) for _ in range(rng.randint(1, 40)))
-        cuts = sorted(rng.sample(range(len(text) + 1), min(3, len(text))))
-        parts = [text[a:b] for a, b in zip([0, *cuts], [*cuts, len(text)])]
-        whole = machine.chunk(parts[0])
-        for p in parts[1:]:
-            whole = machine.compose(whole, machine.chunk(p))
-        total = (machine.units(whole.head) if whole.head else 0) + whole.count + machine.units(whole.tail)
-        assert total == len(machine.library.encode(text, add_special_tokens=False).ids), repr(text)
+    letters = ["a", "é", " ", "  ", "\n", "1", "!", "'s", "'", "ll", "　", "the", "\U0001f600", "٣"]
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randint(0, 60))) for _ in range(400)] + ["'" * 40, "x" * 700, "don't'stuff's"]
+    assert machine.counts(pa.array(texts)).tolist() == [tokens_of(t) for t in texts]
+
+
+def test_counts_of_long_texts_repeated_rows_and_no_rows(spark):
+    long = "word and more words, 12 " * 4000 + "y" * 70_000
+    rows = [(1, long, 5), (1, long, 6), (2, None, 7), (3, "", 8)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, n_tokens long")
+    got = sorted((r.doc_id, r.n_bytes, r.n_tokens, r.over_limit) for r in token_count.count_tokens(df, tokenizer_path(BYTE), ["doc_id"]).collect())
+    assert got == [(1, len(long), tokens_of(long), True)] * 2 + [(2, 0, 0, False), (3, 0, 0, False)]
+    assert token_count.count_tokens(df.limit(0), tokenizer_path(BYTE), ["doc_id"]).count() == 0
 
 
 def test_elias_fano_round_trip():
