@@ -5,12 +5,15 @@ array and the ends of those documents as an Elias-Fano sequence: the low bits of
 in unary. `select` reads the k-th end from the high bits with a count per 64-bit word, so no table of 64-bit offsets
 is stored. A block also carries the ids before it in its range; bases of the ranges are one number each.
 
-Null texts are empty, so each document has at least its end id. Equal doc_ids stay apart, in text order; a null
-doc_id comes first. An empty table gives no blocks.
+Null texts are empty, so each document has at least its end id. doc_id must be an integer column (a string that names
+none is an error). Equal doc_ids, also of identical rows, stay apart, in text order; a null doc_id comes first. Other
+columns of the input, whatever their names, are not stored. An empty table gives no blocks. A text of any length is one document
+and may make a block longer than `block_ids`.
 """
 
 from __future__ import annotations
 
+import functools
 import zlib
 from collections.abc import Iterator
 from itertools import chain
@@ -25,6 +28,7 @@ from .vocabulary import library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
 BLOCK_IDS = 1 << 20
+MARK, WORDS_A_CALL, STORE_WORDS = "\0", 500, 500_000
 BLOCK_SCHEMA = "range_no int, block_no int, ids_before long, n_docs int, n_ids long, low_bits int, width int, doc_ids array<long>, low binary, high binary, ids binary"
 
 
@@ -57,14 +61,42 @@ class EliasFano:
         chunk = int.from_bytes(self.low[at // 8 : (at + self.low_bits + 7) // 8], "little") >> (at % 8)
         return upper << self.low_bits | chunk & ((1 << self.low_bits) - 1)
 
-    def all(self) -> np.ndarray:
-        if not self.n:
+    def select_many(self, ks: np.ndarray) -> np.ndarray:
+        """`select` of many: the word by its count of ones before, the byte within by its own, the bit by a table."""
+        ks = np.asarray(ks, np.int64)
+        if not len(ks):
             return np.zeros(0, np.int64)
-        flags = np.flatnonzero(np.unpackbits(np.frombuffer(self.high, np.uint8), bitorder="little"))
-        upper = flags[: self.n].astype(np.int64) - np.arange(self.n)
-        raw = np.unpackbits(np.frombuffer(self.low, np.uint8), bitorder="little", count=self.n * self.low_bits)
-        low = (raw.reshape(self.n, self.low_bits).astype(np.int64) << np.arange(self.low_bits)).sum(axis=1)
-        return upper << self.low_bits | low
+        word = np.searchsorted(self.rank, ks, side="right") - 1
+        left = ks - self.rank[word]
+        raw = np.frombuffer(self.high + b"\0" * (-len(self.high) % 8), np.uint8).reshape(-1, 8)[word]
+        upto = np.cumsum(np.bitwise_count(raw), axis=1, dtype=np.int64)
+        byte = (upto <= left[:, None]).sum(axis=1)
+        row = np.arange(len(ks))
+        left = left - np.where(byte > 0, upto[row, byte - 1], 0)
+        upper = 64 * word + 8 * byte + _ones_of_byte()[raw[row, byte], left] - ks
+        # low bits start anywhere in a byte and span at most nine of them
+        at = ks * self.low_bits
+        padded = np.frombuffer(self.low + b"\0" * 9, np.uint8)
+        low = np.zeros(len(ks), np.uint64)
+        for i in range(8):
+            low |= padded[at // 8 + i].astype(np.uint64) << np.uint64(8 * i)
+        shift = (at % 8).astype(np.uint64)
+        low >>= shift
+        if self.low_bits > 56:
+            spill = padded[at // 8 + 8].astype(np.uint64)
+            low |= np.where(shift > 0, spill << (np.uint64(64) - np.maximum(shift, np.uint64(1))), np.uint64(0))
+        low &= np.uint64((1 << self.low_bits) - 1)
+        return upper << self.low_bits | low.view(np.int64)
+
+
+@functools.cache
+def _ones_of_byte() -> np.ndarray:
+    """Place of the k-th one of each byte."""
+    out = np.zeros((256, 8), np.int64)
+    for b in range(256):
+        ones = [i for i in range(8) if b >> i & 1]
+        out[b, : len(ones)] = ones
+    return out
 
 
 def _encoder(path: str):
@@ -79,7 +111,18 @@ def _encoder(path: str):
 
     if not vocab.suffix:
         return lambda texts: whole(texts.to_pylist())
-    store = WordStore(whole)
+    mark = tokenizer.encode(MARK, add_special_tokens=False).ids
+
+    def words_encoded(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        # a few hundred words a call, parted by a mark whose one id no other text gives
+        if len(mark) != 1 or any(MARK in w for w in words):
+            return whole(words)
+        texts = [f" {MARK} ".join([*words[i : i + WORDS_A_CALL], ""]) for i in range(0, len(words), WORDS_A_CALL)]
+        flat = np.concatenate([np.array(e.ids, np.int64) for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)])
+        marks = flat == mark[0]
+        return flat[~marks], np.diff(np.flatnonzero(marks), prepend=-1) - 1
+
+    store = WordStore(words_encoded, STORE_WORDS)
     return lambda texts: encode_texts(store, texts, vocab.special)
 
 
@@ -139,10 +182,28 @@ def read_blocks(blocks: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
-                ends = EliasFano(r["n_docs"], r["low_bits"], r["low"], r["high"]).all()
+                ends = EliasFano(r["n_docs"], r["low_bits"], r["low"], r["high"]).select_many(np.arange(r["n_docs"]))
                 starts = np.concatenate([[0], ends[:-1]])
                 ids = np.frombuffer(r["ids"], np.uint16 if r["width"] == 2 else np.uint32).astype("<u4")
                 crc = [zlib.crc32(ids[a:b].tobytes()) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(r["doc_ids"], pa.int64()), pa.array(starts + bases[r["range_no"]] + r["ids_before"], pa.int64()), pa.array(ends - starts, pa.int64()), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return blocks.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+
+
+def fetch(blocks: DataFrame, doc_ids: list[int]) -> DataFrame:
+    """doc_id, ids of the named documents (a caller's short list): blocks without them are passed over, and of the others
+    only the ends beside a wanted document are read, by `select`."""
+    wanted = frozenset(doc_ids)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for r in batch.to_pylist():
+                ef = EliasFano(r["n_docs"], r["low_bits"], r["low"], r["high"])
+                ids = np.frombuffer(r["ids"], np.uint16 if r["width"] == 2 else np.uint32).astype(np.int32)
+                at = [i for i, d in enumerate(r["doc_ids"]) if d in wanted]
+                found = [ids[ef.select(i - 1) if i else 0 : ef.select(i)] for i in at]
+                yield pa.RecordBatch.from_arrays([pa.array([r["doc_ids"][i] for i in at], pa.int64()), pa.array(found, pa.list_(pa.int32()))], names=["doc_id", "ids"])
+
+    held = blocks.where(F.arrays_overlap("doc_ids", F.array(*[F.lit(d).cast("long") for d in sorted(wanted)])))
+    return held.mapInArrow(run, "doc_id long, ids array<int>")

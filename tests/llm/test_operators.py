@@ -1,5 +1,6 @@
 import hashlib
 import random
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -13,7 +14,7 @@ from rootfinal.llm.queries import tokenizer_path
 from rootfinal.llm.vocabulary import library_tokenizer
 
 WORD, BYTE = "word_bpe_49k.json", "byte_bpe_50k.json"
-ODD = ["", None, " ", "a", "Hello  world\n\n", "don't <|endoftext|> x", "x" * 5000, "　  é é ǅ", " lead\ttab ", "12 345!? ...", "tail   ", "\n \n a  b", "日本語 text", "a\x1c b", "<|endoftext|><|endoftext|>"]
+ODD = ["", None, " ", "a", "Hello  world\n\n", "don't <|endoftext|> x", "x" * 5000, "　  é é ǅ", " lead\ttab ", "12 345!? ...", "tail   ", "\n \n a  b", "日本語 text", "a\x1c b", "<|endoftext|><|endoftext|>", "nul \0 a\0b \0\0"]
 
 
 @pytest.fixture(scope="module")
@@ -79,7 +80,10 @@ def test_elias_fano_round_trip():
     for n in (0, 1, 2, 500):
         values = np.cumsum(rng.integers(0, 3000, n))
         ef = boundaries.EliasFano.of(values)
-        assert ef.all().tolist() == values.tolist() == [ef.select(k) for k in range(n)]
+        assert ef.select_many(np.arange(n)).tolist() == values.tolist() == [ef.select(k) for k in range(n)]
+    wide = np.cumsum(rng.integers(1 << 58, 1 << 59, 9))
+    ef = boundaries.EliasFano.of(wide)
+    assert ef.select_many(np.arange(9)).tolist() == wide.tolist() == [ef.select(k) for k in range(9)]
 
 
 def test_blocks(spark, docs):
@@ -89,8 +93,11 @@ def test_blocks(spark, docs):
     assert [r.doc_id for r in rows] == sorted([*range(len(ODD)), 0])
     at = 0
     for r in rows:
-        assert (r.start, r.n_tokens) == (at, len(lib.encode(ODD[r.doc_id] or "", add_special_tokens=False).ids) + 1)
+        ids = [*lib.encode(ODD[r.doc_id] or "", add_special_tokens=False).ids, 2]
+        assert (r.start, r.n_tokens, r.ids_crc32) == (at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
         at += r.n_tokens
+    got = {r.doc_id: list(r.ids) for r in boundaries.fetch(blocks, [4, 12]).collect()}
+    assert got == {i: [*lib.encode(ODD[i], add_special_tokens=False).ids, 2] for i in (4, 12)}
     assert boundaries.read_blocks(boundaries.write_blocks(spark, docs.limit(0), tokenizer_path(WORD), 2)).count() == 0
 
 
