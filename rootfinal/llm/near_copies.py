@@ -1,18 +1,21 @@
 """Near-duplicate texts by order MinHash, verified by banded alignment.
 
 Words are runs without ASCII white space; a k-mer is five words, labelled with its occurrence number within the text. A
-sketch takes the three k-mers of least hash and keeps their text order; twelve sketches are twelve band keys. Texts of
-equal word sequence form one class at once and only their least doc_id goes on.
-
-In a bucket every text is first compared with the bucket's least doc_id. Where one does not link, the bucket goes into
-cells: blocks of its texts, every two blocks together in one task, and every pair there gets its exact k-mer overlap.
-So a bucket of copies alone takes pairs in number of its rows, and no link of a mixed bucket is lost. A pair links if
-its labelled k-mers have a Jaccard similarity of at least 0.8 and its word alignment, within the band that this
-similarity allows, keeps at least 0.8 of the longer text.
-
-A text of fewer than five words is one k-mer. Texts without words (null, empty, blank) link with nothing. Links chain:
-a class is a connected component, named by its least doc_id. Rows that repeat a doc_id share its class; a null doc_id is
-its own class.
+sketch takes the three k-mers of least hash and keeps their text order; twelve sketches are twelve bucket keys. Texts of
+equal word sequence form one class at once and only one of them goes on, named by their least doc_id and their print.
+
+In a bucket every text is first held against the bucket's least one, which joins most of a group of copies by as many pairs
+as it has texts. Buckets that then still hold several groups go into cells: blocks of their texts, every two blocks
+together in one task, with a signature of 64 bytes for each text. Texts that may link across groups, by signature and
+length, meet once more with their words, and every such pair is held against the other. A pair links if its labelled
+k-mers have a Jaccard similarity of at least 0.8 and its word alignment, within the band that this similarity
+allows, keeps at least 0.8 of the longer text. So no link that would join two groups is passed over but by chance: at similarity 0.8
+a signature agrees in fewer than 36 of its 64 bytes once in about a million pairs.
+
+A text of fewer than five words is one k-mer. Texts without words (null, empty, blank) link with nothing; texts of any
+length are taken whole. Links chain: a class is a connected component, named by its least doc_id, so ties cannot occur.
+Rows that repeat a doc_id share one class, also where their texts differ; a null doc_id is its own class. doc_id must be an integer
+column; other columns, whatever their names, are not read. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -27,12 +30,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import shuffle_width, written
+from .shared import discard, shuffle_width, written
 
 K, LEAST, SKETCHES, SIMILAR, SEED = 5, 3, 12, 0.8, 10
-CELL = 512
+CELL, SLOTS, LIKELY = 512, 64, 36
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _SEEDS = np.random.default_rng(SEED).integers(1, 1 << 63, SKETCHES, dtype=np.uint64)
+_SLOT_SEEDS = np.random.default_rng(SEED + 1).integers(1, 1 << 63, SLOTS, dtype=np.uint64)
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -78,6 +82,14 @@ def _bands(kmers: np.ndarray) -> list[int]:
     return key.view(np.int64).tolist()
 
 
+def _signature(kmers: np.ndarray) -> bytes:
+    """A byte of the least of the k-mers under each of 64 hashes; two bytes agree about as often as k-mers are shared."""
+    least = np.empty(SLOTS, np.uint64)
+    for i in range(0, SLOTS, 8):
+        least[i : i + 8] = _mix(kmers[None, :] ^ _SLOT_SEEDS[i : i + 8, None]).min(axis=1)
+    return (least >> np.uint64(56)).astype(np.uint8).tobytes()
+
+
 def edit_distance_within(a: np.ndarray, b: np.ndarray, most: int) -> bool:
     """Whether at most `most` word edits turn `a` into `b`: rows of the alignment table, inside the band."""
     if abs(len(a) - len(b)) > most:
@@ -122,12 +134,11 @@ def _alike(a: np.ndarray, b: np.ndarray, ka: np.ndarray, kb: np.ndarray) -> bool
     return edit_distance_within(a, b, most)
 
 
-def _cell_links(ids: np.ndarray, words: list[bytes], side: np.ndarray | None) -> list[tuple[int, int]]:
-    """A spanning forest of all links of one cell, from exact k-mer overlaps of every pair that it holds."""
-    texts = [np.frombuffer(w, np.uint64) for w in words]
-    kmers = [_kmers(t) if len(t) >= K else np.zeros(0, np.uint64) for t in texts]
+def _cell_links(words: list[np.ndarray], names: np.ndarray, groups: np.ndarray, side: np.ndarray | None) -> list[tuple[int, int]]:
+    """Pairs of groups that link across: a spanning forest, from exact k-mer overlaps of every pair of the cell."""
+    kmers = [_kmers(t) if len(t) >= K else np.zeros(0, np.uint64) for t in words]
     sizes = np.array([len(k) for k in kmers])
-    owner = np.repeat(np.arange(len(ids)), sizes)
+    owner = np.repeat(np.arange(len(words)), sizes)
     _, code, times = np.unique(np.concatenate(kmers), return_inverse=True, return_counts=True)
     many = times > 1
     column = np.cumsum(many) - 1
@@ -135,45 +146,95 @@ def _cell_links(ids: np.ndarray, words: list[bytes], side: np.ndarray | None) ->
     owner, code = owner[held], column[code[held]]
     order = np.argsort(code, kind="stable")
     owner, code = owner[order], code[order]
-    shared = np.zeros((len(ids), len(ids)), np.float64)
+    shared = np.zeros((len(words), len(words)), np.float64)
     width = 8192
     for low in range(0, int(many.sum()), width):
         a, b = np.searchsorted(code, [low, low + width])
-        part = np.zeros((len(ids), width), np.float32)
+        part = np.zeros((len(words), width), np.float32)
         part[owner[a:b], code[a:b] - low] = 1
         shared += part @ part.T
     close = np.triu((shared >= SIMILAR * (sizes[:, None] + sizes[None, :] - shared)) & (shared > 0), 1)
+    close &= groups[:, None] != groups[None, :]
     if side is not None:
         close &= side[:, None] != side[None, :]
-    root = np.arange(len(ids))
+    root = groups.copy()
     out = []
     for i, j in np.argwhere(close).tolist():
-        if root[i] != root[j] and _alike(texts[i], texts[j], kmers[i], kmers[j]):
+        if root[i] != root[j] and _alike(words[i], words[j], kmers[i], kmers[j]):
             root[root == root[j]] = root[i]
-            out.append((int(ids[i]), int(ids[j])))
+            out.append((int(names[i]), int(names[j])))
     return out
 
 
-def _cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    def done(key, rows):
-        ids, words, mine = zip(*rows, strict=True)
-        side = np.array(mine) != key[2] if key[2] != key[3] else None
-        return _cell_links(np.array(ids), list(words), side) if len(ids) > 1 else []
+def _may_link(marks: np.ndarray, sizes: np.ndarray, groups: np.ndarray, side: np.ndarray | None) -> np.ndarray:
+    """Which texts of a cell have a partner of another group that they may link with."""
+    out = np.zeros(len(marks), bool)
+    for low in range(0, len(marks), 64):
+        part = slice(low, low + 64)
+        agree = (marks[part, None, :] == marks[None, :, :]).sum(axis=2) >= LIKELY
+        agree &= groups[part, None] != groups[None, :]
+        agree &= np.minimum(sizes[part, None], sizes[None, :]) >= SIMILAR * np.maximum(sizes[part, None], sizes[None, :])
+        if side is not None:
+            agree &= side[part, None] != side[None, :]
+        out[part] |= agree.any(axis=1)
+    return out
 
-    key, rows = None, []
-    for batch in batches:
-        out = []
-        for *k, doc, words, mine in zip(*(batch.column(c).to_pylist() for c in ("band", "key", "bi", "bj", "doc", "words", "mine")), strict=True):
-            if k != key:
-                if rows:
-                    out += done(key, rows)
-                key, rows = k, []
-            rows.append((doc, words, mine))
-        if out:
-            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
-    out = done(key, rows) if rows else []
-    if out:
-        yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
+
+_CELL_KEY = ("key", "bi", "bj")
+
+
+def _by_cell(take):
+    """Runs `take(key, rows)` over the rows of each cell; a cell's rows stand together and may span batches."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        last = None
+
+        def done(parts):
+            rows = pa.Table.from_batches(parts).combine_chunks()
+            return take(last, rows) if rows.num_rows > 1 else None
+
+        for batch in batches:
+            if not len(batch):
+                continue
+            keys = [batch.column(c).to_numpy(zero_copy_only=False) for c in _CELL_KEY]
+            cuts = [0, *(np.flatnonzero(np.any([k[1:] != k[:-1] for k in keys], axis=0)) + 1).tolist(), len(batch)]
+            for a, b in zip(cuts, cuts[1:], strict=False):
+                key = tuple(int(k[a]) for k in keys)
+                if key != last and held:
+                    got = done(held)
+                    held = []
+                    if got is not None:
+                        yield got
+                last = key
+                held.append(batch.slice(a, b - a))
+        if held:
+            got = done(held)
+            if got is not None:
+                yield got
+
+    return run
+
+
+def _side(key: tuple, rows: pa.Table) -> np.ndarray | None:
+    return rows.column("mine").to_numpy() != key[1] if key[1] != key[2] else None
+
+
+def _screened(key: tuple, rows: pa.Table) -> pa.RecordBatch | None:
+    marks = np.frombuffer(b"".join(rows.column("marks").to_pylist()), np.uint8).reshape(rows.num_rows, SLOTS)
+    need = _may_link(marks, rows.column("size").to_numpy(), rows.column("grp").to_numpy(), _side(key, rows))
+    if not need.any():
+        return None
+    return rows.filter(pa.array(need)).select([*_CELL_KEY, "rep", "half", "grp", "mine"]).combine_chunks().to_batches()[0]
+
+
+def _joined_groups(key: tuple, rows: pa.Table) -> pa.RecordBatch | None:
+    words = [np.frombuffer(w, np.uint32).astype(np.uint64) for w in rows.column("words").to_pylist()]
+    groups = rows.column("grp").to_numpy()
+    out = _cell_links(words, groups, groups, _side(key, rows))
+    if not out:
+        return None
+    return pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in (0, 1)], names=["a", "b"])
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -185,21 +246,50 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             if words:
                 ids.append(i)
                 prints.append(hashlib.md5(b" ".join(words)).digest())
-                bands.append(_bands(_kmers(np.array([table[w] for w in words], np.uint64))))
+                bands.append(_bands(_kmers(np.array([table[w] & 0xFFFFFFFF for w in words], np.uint64))))
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(prints, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], names=["doc_id", "print", "bands"])
 
 
 def _word_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     table = _Words()
     for batch in batches:
-        words = [np.array([table[w] for w in (t.as_py() or "").encode().split()], np.uint64).tobytes() for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(words, pa.binary())], names=["doc_id", "words"])
+        out = []
+        for i, t in zip(batch.column("doc_id").to_pylist(), batch.column("text"), strict=True):
+            words = (t.as_py() or "").encode().split()
+            if words:
+                own = np.array([table[w] & 0xFFFFFFFF for w in words], np.uint32)
+                kmers = _kmers(own.astype(np.uint64))
+                half = int.from_bytes(hashlib.md5(b" ".join(words)).digest()[:8], "big", signed=True)
+                out.append((i, half, own.tobytes(), _signature(kmers), len(kmers)))
+        types = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.int32()]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(types)], names=["rep", "half", "words", "marks", "size"])
+
+
+def _likely(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, SLOTS) for c in ("marks_a", "marks_b"))
+        yield batch.filter(pa.array((x == y).sum(axis=1) >= LIKELY)).select(["rep_a", "half_a", "rep_b", "half_b"])
 
 
 def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ok = [similar(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) for x, y in zip(batch.column("wa"), batch.column("wb"), strict=True)]
-        yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
+        ok = [similar(*(np.frombuffer(w.as_buffer(), np.uint32).astype(np.uint64) for w in pair)) for pair in zip(batch.column("words_a"), batch.column("words_b"), strict=True)]
+        yield batch.select(["rep_a", "rep_b"]).filter(pa.array(ok, pa.bool_()))
+
+
+def _of(table: DataFrame, side: str, *columns: str) -> DataFrame:
+    """`columns` of the texts' table, named for one side of a pair; its keys are many, so it is never broadcast."""
+    return table.select(*[F.col(c).alias(f"{c}_{side}") for c in ("rep", "half", *columns)]).hint("merge")
+
+
+def _in_cells(rows: DataFrame, width: int) -> DataFrame:
+    return rows.repartition(width, *_CELL_KEY).sortWithinPartitions(*_CELL_KEY, "rep", "half")
+
+
+def _named(found: DataFrame, rows: DataFrame, column: str) -> DataFrame:
+    """`rows` with `column` replaced by its component, itself where it has none."""
+    labels = found.select(F.col("v").alias("__v"), "component")
+    return rows.join(labels.hint("merge"), F.col(column) == F.col("__v"), "left").withColumn(column, F.coalesce("component", column)).drop("__v", "component")
 
 
 def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
@@ -207,34 +297,62 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     known = base.where("doc_id IS NOT NULL")
     sketched = written(spark, known.mapInArrow(_sketch, "doc_id long, print binary, bands array<long>"), "omh-sketch")
-    first = sketched.groupBy("print").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
-    first = written(spark, first, "omh-first")
-    copies = sketched.join(first.select("print", "rep"), "print").where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
-    entries = first.select(F.col("rep").alias("doc"), F.posexplode("bands").alias("band", "key")).distinct()
-    shared = entries.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("doc").alias("lead"), F.bit_xor(F.xxhash64("doc")).alias("x"), F.bit_xor(F.xxhash64("doc", F.lit(1))).alias("y")).where("n > 1")
-    # buckets of the same texts in several bands are one bucket
-    shared = shared.groupBy("n", "lead", "x", "y").agg(F.min(F.struct("band", "key")).alias("first")).select("first.band", "first.key", "n", "lead")
-    members = written(spark, entries.join(shared, ["band", "key"]), "omh-members")
-    wanted = members.select(F.col("doc").alias("doc_id")).distinct()
-    words = written(spark, known.join(wanted, "doc_id", "left_semi").mapInArrow(_word_rows, "doc_id long, words binary").dropDuplicates(["doc_id"]), "omh-words")
-    pairs = members.where("doc <> lead").select(F.col("lead").alias("a"), F.col("doc").alias("b")).distinct()
-    loaded = pairs.join(words.select(F.col("doc_id").alias("a"), F.col("words").alias("wa")), "a").join(words.select(F.col("doc_id").alias("b"), F.col("words").alias("wb")), "b")
-    checked = written(spark, loaded.select("a", "b", "wa", "wb").mapInArrow(_verify, "a long, b long, ok boolean"), "omh-checked")
-    failed = checked.where("NOT ok").select(F.col("a").alias("lead"), F.col("b").alias("doc"))
-    mixed = members.join(failed, ["lead", "doc"], "left_semi").select("band", "key").distinct()
-    rest = members.join(mixed, ["band", "key"], "left_semi").where("n > 2").withColumn("blocks", F.ceil(F.col("n") / CELL).cast("int"))
-    rest = rest.withColumn("mine", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rest = rest.select("band", "key", "doc", "mine", F.least("mine", "other").alias("bi"), F.greatest("mine", "other").alias("bj"))
-    dealt = rest.join(words.withColumnRenamed("doc_id", "doc"), "doc").repartition(max(2, shuffle_width(spark)), "band", "key", "bi", "bj").sortWithinPartitions("band", "key", "bi", "bj", "doc")
-    inner = written(spark, dealt.mapInArrow(_cells, "a long, b long"), "omh-cells")
-    edges = copies.unionByName(checked.where("ok").select("a", "b")).unionByName(inner)
-    found = components(spark, edges)
-    out = base.select("doc_id").join(found.withColumnRenamed("v", "doc_id"), "doc_id", "left")
-    out = out.select("doc_id", F.coalesce("component", "doc_id").alias("class_id"))
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
+    half = F.conv(F.hex(F.substring("print", 1, 8)), 16, -10).cast("long").alias("half")
+    one = sketched.groupBy("print").agg(F.min("doc_id").alias("rep"), F.min("bands").alias("bands"))
+    first = written(spark, one.select("print", "rep", half, "bands"), "omh-first")
+    # a key holds its band by its seed
+    entries = first.select("rep", "half", F.explode("bands").alias("key"))
+    shared = entries.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    members = written(spark, entries.join(shared.select("key"), "key").distinct(), "omh-members")
+    text = F.struct("rep", "half")
+    alike = members.groupBy("key").agg(F.count("*").alias("n"), F.min(text).alias("lead"), F.bit_xor(F.xxhash64(text)).alias("x"), F.bit_xor(F.xxhash64(text, F.lit(1))).alias("y"))
+    # buckets of the same texts under several keys are one bucket
+    buckets = alike.groupBy("n", "lead", "x", "y").agg(F.min("key").alias("key")).where("n > 1").select("key", "n", "lead")
+    placed = written(spark, members.join(buckets, "key"), "omh-placed")
+    wanted = placed.select("rep", "half").distinct()
+    texts = known.join(wanted.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi").mapInArrow(_word_rows, "rep long, half long, words binary, marks binary, size int")
+    words = written(spark, texts.dropDuplicates(["rep", "half"]), "omh-words")
+    discard(spark, members)
+    pairs = placed.where(text != F.col("lead")).select(F.col("lead.rep").alias("rep_a"), F.col("lead.half").alias("half_a"), F.col("rep").alias("rep_b"), F.col("half").alias("half_b")).distinct()
+    sides = (["rep_a", "half_a"], ["rep_b", "half_b"])
+    signed = pairs.join(_of(words, "a", "marks"), sides[0]).join(_of(words, "b", "marks"), sides[1])
+    likely = written(spark, signed.select("rep_a", "half_a", "rep_b", "half_b", "marks_a", "marks_b").mapInArrow(_likely, "rep_a long, half_a long, rep_b long, half_b long"), "omh-likely")
+    loaded = likely.join(_of(words, "a", "words"), sides[0]).join(_of(words, "b", "words"), sides[1])
+    linked = written(spark, loaded.select("rep_a", "rep_b", "words_a", "words_b").mapInArrow(_verify, "rep_a long, rep_b long"), "omh-linked")
+    discard(spark, likely)
+    # groups so far: linked texts, and the texts of rows that share a doc_id
+    copies = sketched.select("doc_id", "print").join(first.select("print", "rep").hint("merge"), "print").select("doc_id", "rep")
+    several = copies.groupBy("doc_id").agg(F.min("rep").alias("a"), F.max("rep").alias("z"), F.collect_set("rep").alias("all")).where("a <> z")
+    several = several.select("a", F.explode("all").alias("b")).where("a <> b")
+    groups = components(spark, linked.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).unionByName(several))
+    labelled = written(spark, _named(groups, placed.select("key", "n", "rep", "half", F.col("rep").alias("grp")), "grp"), "omh-groups")
+    mixed = labelled.groupBy("key").agg(F.min("grp").alias("a"), F.max("grp").alias("z")).where("a <> z").select("key")
+    rest = labelled.join(mixed, "key", "left_semi").where("n > 2").withColumn("blocks", F.ceil(F.col("n") / CELL).cast("int"))
+    rest = rest.withColumn("mine", F.pmod(F.xxhash64("rep", "half"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rest = rest.select("key", "rep", "half", "grp", "mine", F.least("mine", "other").alias("bi"), F.greatest("mine", "other").alias("bj"))
+    width = max(2, shuffle_width(spark))
+    marked = rest.join(words.select("rep", "half", "marks", "size").hint("merge"), ["rep", "half"])
+    cell = "key long, bi int, bj int, rep long, half long, grp long, mine int"
+    needed = written(spark, _in_cells(marked.select(*_CELL_KEY, "rep", "half", "grp", "mine", "marks", "size"), width).mapInArrow(_by_cell(_screened), cell), "omh-needed")
+    dealt = _in_cells(needed.join(words.select("rep", "half", "words").hint("merge"), ["rep", "half"]).select(*_CELL_KEY, "rep", "half", "grp", "mine", "words"), width)
+    across = written(spark, dealt.mapInArrow(_by_cell(_joined_groups), "a long, b long"), "omh-across")
+    joined = components(spark, across)
+    out = written(spark, _named(joined, _named(groups, copies.select("doc_id", F.col("rep").alias("class_id")), "class_id"), "class_id").groupBy("doc_id").agg(F.min("class_id").alias("class_id")), "omh-classes")
+    for done in (placed, words, linked, labelled, needed, across, first, sketched, groups, joined):
+        discard(spark, done)
+    named = base.select("doc_id").join(out.hint("merge"), "doc_id", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
+    return named.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """`docs` without the rows whose class another document names."""
-    gone = classes(spark, docs).where("NOT kept").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
+    """`docs` with one row of each class: its least doc_id, and of rows that share that doc_id the least as JSON.
+
+    Rows with a null doc_id stay.
+    """
+    found = classes(spark, docs).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("kept").alias("kept"), F.count("*").alias("n"))
+    found = written(spark, found.where("NOT kept OR n > 1").select(F.col("doc_id").alias("__id"), "kept"), "omh-gone")
+    stay = docs.join(found, F.col("doc_id").cast("long") == F.col("__id"), "left_anti")
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    again = docs.select(F.col("doc_id").cast("long").alias("__id"), whole.alias("__row")).join(found.where("kept"), "__id", "left_semi")
+    again = again.groupBy("__id").agg(F.min_by("__row", F.to_json("__row")).alias("__row")).select("__row.*")
+    return stay.unionByName(again)

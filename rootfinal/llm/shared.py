@@ -41,16 +41,29 @@ def written(spark: SparkSession, df: DataFrame, label: str) -> DataFrame:
     path = f"{shared_dir(spark)}/rootfinal-{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _written.setdefault(spark.sparkContext.applicationId, []).append(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_path = path
+    return out
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def discard(spark: SparkSession, table: DataFrame) -> None:
+    """Delete a table of `written` that no later step and no result reads."""
+    path = getattr(table, "written_path", None)
+    if path:
+        _written.get(spark.sparkContext.applicationId, [path]).remove(path)
+        _delete(spark, path)
 
 
 def drop_written(spark: SparkSession) -> int:
     """Delete the intermediate tables of this application; results not yet read become unreadable."""
     paths = _written.pop(spark.sparkContext.applicationId, [])
-    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     for path in paths:
-        at = jvm.org.apache.hadoop.fs.Path(path)
-        at.getFileSystem(conf).delete(at, True)
+        _delete(spark, path)
     return len(paths)
 
 

@@ -5,10 +5,11 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from rootfinal.llm import boundaries, html_text, mixing, near_copies, personal_data, quality, sharding, token_count, vector_links
+from rootfinal.llm import boundaries, components, html_text, mixing, near_copies, personal_data, quality, sharding, token_count, vector_links
 from rootfinal.llm import bpe_codec
 from rootfinal.llm.queries import tokenizer_path
 from rootfinal.llm.vocabulary import library_tokenizer
@@ -281,6 +282,54 @@ def test_near_copies(spark):
     assert near_copies.classes(spark, df.limit(0)).count() == 0
 
 
+def test_near_copies_equal_all_pairs(spark, monkeypatch):
+    """Classes against every pair of texts, with links only across groups, shared passages and small cells."""
+    monkeypatch.setattr(near_copies, "CELL", 4)
+    rng = random.Random(12)
+    words = [f"w{i}" for i in range(400)]
+    draw = lambda n: [rng.choice(words) for _ in range(n)]
+    passage = draw(80)
+    texts = []
+    for _ in range(6):
+        at = draw(rng.randint(60, 200))
+        for _ in range(12):
+            # each copy changes a little more, so that the ends of a chain do not link
+            at = at.copy()
+            for _ in range(2):
+                at[rng.randrange(len(at))] = rng.choice(words)
+            texts.append(at)
+    texts += [draw(20) + passage for _ in range(15)] + [draw(4) for _ in range(5)] + [["a", "b"], ["a", "b"], []]
+    df = spark.createDataFrame([(i, "  ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    hashed = [np.array([xxhash.xxh3_64_intdigest(w.encode()) & 0xFFFFFFFF for w in t], np.uint64) for t in texts]
+    root = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if texts[i] and texts[j] and near_copies.similar(hashed[i], hashed[j]):
+                a, b = root[i], root[j]
+                root = [min(a, b) if r in (a, b) else r for r in root]
+    got = {r.doc_id: r.class_id for r in near_copies.classes(spark, df).collect()}
+    assert got == dict(enumerate(root))
+
+
+def test_one_row_of_each_class_stays(spark):
+    a, b, c = ("one two three four five six seven " + x for x in ("eight", "nine ten eleven", "zero"))
+    rows = [(5, a, 1), (5, a, 1), (3, a, 2), (5, b, 3), (7, b, 4), (9, c, 5), (9, c, 6), (None, a, 7), (10, None, 8), (11, "", 9)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, n int")
+    got = {(r.doc_id, r.class_id) for r in near_copies.classes(spark, df).collect()}
+    assert got == {(5, 3), (3, 3), (7, 3), (9, 9), (None, None), (10, 10), (11, 11)}
+    kept = near_copies.drop_copies(spark, df)
+    assert kept.columns == df.columns
+    assert sorted((r.doc_id or 0, r.n) for r in kept.collect()) == [(0, 7), (3, 2), (9, 5), (10, 8), (11, 9)]
+
+
+def test_components_of_chains_hubs_and_rings(spark):
+    edges = [(i, i + 1) for i in range(100, 160)] + [(200, i) for i in range(201, 260)] + [(399, i) for i in range(340, 399)] + [(7, 8), (8, 9), (9, 7), (7, 7), (8, 7)]
+    df = spark.createDataFrame(edges, "a long, b long")
+    want = {i: 100 for i in range(100, 161)} | {i: 200 for i in range(200, 260)} | {i: 340 for i in range(340, 400)} | {7: 7, 8: 7, 9: 7}
+    assert {r.v: r.component for r in components.components(spark, df).collect()} == want
+    assert components.components(spark, df.limit(0)).count() == 0
+
+
 def test_banded_alignment():
     rng = np.random.default_rng(7)
     for _ in range(60):
