@@ -28,7 +28,7 @@ from .vocabulary import library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
 BLOCK_IDS = 1 << 20
-MARK, WORDS_A_CALL, STORE_WORDS = "\0", 500, 500_000
+MARK, WORDS_A_CALL, STORE_WORDS = "\0", 500, 900_000
 BLOCK_SCHEMA = "range_no int, block_no int, ids_before long, n_docs int, n_ids long, low_bits int, width int, doc_ids array<long>, low binary, high binary, ids binary"
 
 
