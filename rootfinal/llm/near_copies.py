@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import discard, shuffle_width, written
+from .shared import discard, shuffle_width, sized, written
 
 K, LEAST, SKETCHES, SIMILAR, SEED = 5, 3, 12, 0.8, 10
 CELL, SLOTS, LIKELY = 512, 64, 36
@@ -310,7 +310,8 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     buckets = alike.groupBy("n", "lead", "x", "y").agg(F.min("key").alias("key")).where("n > 1").select("key", "n", "lead")
     placed = written(spark, members.join(buckets, "key"), "omh-placed")
     wanted = placed.select("rep", "half").distinct()
-    texts = known.join(wanted.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi").mapInArrow(_word_rows, "rep long, half long, words binary, marks binary, size int")
+    ids = written(spark, wanted.select(F.col("rep").alias("doc_id")).distinct(), "omh-wanted")
+    texts = known.join(sized(ids), "doc_id", "left_semi").mapInArrow(_word_rows, "rep long, half long, words binary, marks binary, size int")
     words = written(spark, texts.dropDuplicates(["rep", "half"]), "omh-words")
     discard(spark, members)
     pairs = placed.where(text != F.col("lead")).select(F.col("lead.rep").alias("rep_a"), F.col("lead.half").alias("half_a"), F.col("rep").alias("rep_b"), F.col("half").alias("half_b")).distinct()
@@ -338,7 +339,7 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     across = written(spark, dealt.mapInArrow(_by_cell(_joined_groups), "a long, b long"), "omh-across")
     joined = components(spark, across)
     out = written(spark, _named(joined, _named(groups, copies.select("doc_id", F.col("rep").alias("class_id")), "class_id"), "class_id").groupBy("doc_id").agg(F.min("class_id").alias("class_id")), "omh-classes")
-    for done in (placed, words, linked, labelled, needed, across, first, sketched, groups, joined):
+    for done in (ids, placed, words, linked, labelled, needed, across, first, sketched, groups, joined):
         discard(spark, done)
     named = base.select("doc_id").join(out.hint("merge"), "doc_id", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
     return named.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
@@ -351,8 +352,8 @@ def drop_copies(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """
     found = classes(spark, docs).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("kept").alias("kept"), F.count("*").alias("n"))
     found = written(spark, found.where("NOT kept OR n > 1").select(F.col("doc_id").alias("__id"), "kept"), "omh-gone")
-    stay = docs.join(found, F.col("doc_id").cast("long") == F.col("__id"), "left_anti")
+    stay = docs.join(sized(found), F.col("doc_id").cast("long") == F.col("__id"), "left_anti")
     whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
-    again = docs.select(F.col("doc_id").cast("long").alias("__id"), whole.alias("__row")).join(found.where("kept"), "__id", "left_semi")
+    again = docs.select(F.col("doc_id").cast("long").alias("__id"), whole.alias("__row")).join(sized(found.where("kept")), "__id", "left_semi")
     again = again.groupBy("__id").agg(F.min_by("__row", F.to_json("__row")).alias("__row")).select("__row.*")
     return stay.unionByName(again)

@@ -67,6 +67,14 @@ def drop_written(spark: SparkSession) -> int:
     return len(paths)
 
 
+def sized(ids: DataFrame, most: int = 4_000_000) -> DataFrame:
+    """`ids`, a written table of a few narrow columns, broadcast while its counted rows stay within `most` (some 40 MB).
+
+    Beyond that a join with it shuffles both sides; the rows that it finds are the same.
+    """
+    return F.broadcast(ids) if ids.count() <= most else ids.hint("merge")
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
