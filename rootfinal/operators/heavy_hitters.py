@@ -3,24 +3,57 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..summary import CountMin, MisraGries, SpaceSaving, StreamSummary
+from ..summary import CountMin, IsomorphicSpaceSaving, MisraGries, SpaceSaving, StreamMisraGries, StreamSummary
 from ..tree import finished
+from .ranking import global_rank
 
-METHODS = {"space_saving": SpaceSaving, "stream_summary": StreamSummary, "misra_gries": MisraGries}
+METHODS = {
+    "space_saving": SpaceSaving,
+    "space_saving_isomorphic": IsomorphicSpaceSaving,
+    "stream_summary": StreamSummary,
+    "misra_gries": MisraGries,
+    "stream_misra_gries": StreamMisraGries,
+}
 
 
-def heavy_hitters(df: DataFrame, col: str, k: int, method: str = "space_saving", root: str = "finalize", capacity: int | None = None, depth: int = 2, weight_col: str | None = None) -> DataFrame:
-    """rank, item, estimate, error, guaranteed, lost, survivors; at most k rows. Weights are positive integers."""
-    if weight_col and method == "stream_summary":
-        raise ValueError("stream_summary counts single items")
+def _labels(df: DataFrame, col: str, nulls: str) -> tuple[Column, T.DataType, Callable]:
+    """The label column as a type that summaries take, that type, and the way back for a column of them.
+
+    Structs, long decimals and, with nulls="label", null itself go as JSON text.
+    """
+    if nulls not in ("drop", "label"):
+        raise ValueError("nulls is drop or label")
+    kind = df.schema[col].dataType
+    packed = isinstance(kind, T.StructType) or isinstance(kind, T.DecimalType) and kind.precision > 18 or nulls == "label"
+    if not packed:
+        return F.col(col), kind, lambda c: c
+    schema = T.StructType([T.StructField("v", kind)])
+    label = F.to_json(F.struct(F.col(col).alias("v")))
+    if nulls == "drop":
+        label = F.when(F.col(col).isNotNull(), label)
+    return label, T.StringType(), lambda c: F.from_json(c, schema)["v"]
+
+
+def heavy_hitters(df: DataFrame, col: str, k: int, method: str = "space_saving", root: str = "finalize", capacity: int | None = None, depth: int = 2, weight_col: str | None = None, nulls: str = "drop", export: str = "rows", count_type: str = "auto", partitions: int | None = None) -> DataFrame:
+    """rank, item, estimate, error, guaranteed, lost, survivors; at most k rows. Weights are positive integers.
+
+    With export="arrays" one row of labels, counts and their bytes.
+    """
+    if weight_col and method.startswith("stream"):
+        raise ValueError("this method counts single items")
+    label, kind, back = _labels(df, col, nulls)
     weight = [F.coalesce(F.col(weight_col).cast("long"), F.lit(0)).alias("w")] if weight_col else []
-    x = df.select(F.col(col).alias("item"), *weight).where("item IS NOT NULL")
-    kind = x.schema["item"].dataType.simpleString()
-    return finished(x, METHODS[method](k, capacity or 5 * k, kind), depth, root)
+    x = df.select(label.alias("item"), *weight).where("item IS NOT NULL")
+    found = finished(x, METHODS[method](k, capacity or 5 * k, kind, export, count_type), depth, root, partitions)
+    if export == "arrays":
+        return found.withColumn("labels", F.transform("labels", back))
+    return found.withColumn("item", back(F.col("item")))
 
 
 def exact_top_k(df: DataFrame, col: str, k: int) -> DataFrame:
@@ -33,18 +66,19 @@ def builtin_top_k(df: DataFrame, col: str, k: int, max_items: int) -> DataFrame:
 
 
 def measures(found: DataFrame, df: DataFrame, col: str, k: int) -> DataFrame:
-    """precision, recall, rank_mae, each strict and tolerant of ties, of `found(rank, item)` against exact counts."""
+    """precision, recall, rank_mae, each strict and tolerant of ties, of `found(rank, item)` against exact counts.
+
+    True ranks come from one distributed sort, so a block of millions of tied items is no task of its own.
+    """
     counts = df.where(F.col(col).isNotNull()).groupBy(F.col(col).alias("item")).count()
-    by_count = counts.groupBy("count").agg(F.count("*").alias("tied"))
-    above = Window.orderBy(F.col("count").desc())
-    # one row for each distinct count goes through the unpartitioned window, not one for each item
-    ranges = by_count.withColumn("last", F.sum("tied").over(above.rowsBetween(Window.unboundedPreceding, 0))).withColumn("first", F.col("last") - F.col("tied") + 1)
-    placed = counts.join(ranges, "count").withColumn("strict", F.col("first") - 1 + F.row_number().over(Window.partitionBy("count").orderBy("item")))
-    hit = found.join(placed, "item", "left")
+    placed = global_rank(counts, [F.col("count").desc(), "item"], "strict")
+    # one row for each distinct count
+    ranges = placed.groupBy("count").agg(F.min("strict").alias("first"), F.max("strict").alias("last"))
+    hit = found.select("rank", "item").join(placed, "item", "left").join(F.broadcast(ranges), "count", "left")
     gap = F.greatest(F.lit(0), F.col("first") - F.col("rank"), F.col("rank") - F.col("last"))
     got = hit.agg(F.count("*").alias("n"), F.count_if(F.col("strict") <= k).alias("right"), F.count_if(F.col("first") <= k).alias("right_tied"), F.avg(F.abs(F.col("strict") - F.col("rank"))).alias("rank_mae"), F.avg(gap).alias("rank_mae_tied"))
     frontier = ranges.where(F.col("first") <= k).agg(F.max("last").alias("truth_tied"))
-    return got.crossJoin(frontier).select((F.col("right") / F.col("n")).alias("precision"), (F.col("right") / F.lit(k)).alias("recall"), "rank_mae", (F.col("right_tied") / F.col("n")).alias("precision_tied"), (F.col("right_tied") / F.col("truth_tied")).alias("recall_tied"), "rank_mae_tied")
+    return got.crossJoin(frontier).select((F.col("right") / F.nullif(F.col("n"), F.lit(0))).alias("precision"), (F.col("right") / F.lit(k)).alias("recall"), "rank_mae", (F.col("right_tied") / F.nullif(F.col("n"), F.lit(0))).alias("precision_tied"), (F.col("right_tied") / F.col("truth_tied")).alias("recall_tied"), "rank_mae_tied")
 
 
 def hh_status(found: DataFrame, k: int) -> DataFrame:

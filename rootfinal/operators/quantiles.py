@@ -6,57 +6,92 @@ import math
 from decimal import Decimal
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..summary import GKSummary, NearestValues, WindowSummary, rank_of
-from ..tree import depth_for_fan_in, finished
+from ..functions.order_code import OrderCode
+from ..summary import GKSummary, NearestOfMany, NearestValues, WindowSummary, rank_of
+from ..tree import depth_for_fan_in, finished, partition_count
+from .ranking import sorted_ranges
 
 
-def _one(df: DataFrame, col: str) -> tuple[DataFrame, str]:
+def _one(df: DataFrame, col: str) -> tuple[DataFrame, T.DataType]:
+    """The column alone, without nulls, and its type."""
     x = df.select(F.col(col).alias("x")).where("x IS NOT NULL")
-    kind = x.schema["x"].dataType.simpleString()
-    if kind in ("timestamp", "timestamp_ntz"):
-        return x.select(F.unix_micros(F.col("x").cast("timestamp")).alias("x")), "bigint"
-    if kind in ("int", "smallint", "tinyint"):
-        return x.select(F.col("x").cast("long").alias("x")), "bigint"
-    if kind == "float":
-        return x.select(F.col("x").cast("double").alias("x")), "double"
-    return x, kind
-
-
-def gk_quantile(df: DataFrame, col: str, qs: list[float], eps: float = 0.01, root: str = "finalize", depth: int = 2) -> DataFrame:
-    """q, n, value of the sketch alone: rank error at most eps * n."""
+    return x, x.schema["x"].dataType
+
+
+def _lit(value, kind: T.DataType):
+    """A literal of the column's own type, so that comparisons reach the scan."""
+    if isinstance(kind, T.TimestampNTZType):
+        return F.lit(value.isoformat(sep=" ")).cast(kind)
+    if isinstance(kind, T.DayTimeIntervalType):
+        return F.lit(value)
+    return F.lit(value).cast(kind)
+
+
+def _codes(values: list, kind: T.DataType) -> list:
+    code = OrderCode(kind)
+    return code.encode(pa.array(values, code.arrow)).tolist()
+
+
+def _check(qs: list[float]) -> None:
+    if any(not 0 <= q <= 1 for q in qs):
+        raise ValueError("q must lie between 0 and 1")
+
+
+def _answers(kind: T.DataType) -> T.StructType:
+    return T.StructType([T.StructField("q", T.DoubleType()), T.StructField("k", T.LongType()), T.StructField("n", T.LongType()), T.StructField("value", kind)])
+
+
+def gk_quantile(df: DataFrame, col: str, qs: list[float], eps: float = 0.01, root: str = "finalize", depth: int = 2, head: int | str = 50_000, partitions: int | None = None) -> DataFrame:
+    """q, n, value of the sketch alone: rank error at most eps * n. `head` as GKSummary takes it."""
     x, kind = _one(df, col)
-    return finished(x, GKSummary(qs, eps, kind), depth, root)
+    return finished(x, GKSummary(qs, eps, kind, head), depth, root, partitions).select("q", "n", "value")
 
 
-def gk_select_many(df: DataFrame, col: str, qs: list[float], eps: float = 0.01, depth: int = 2, root: str = "finalize", fan_in: int | None = None, engine: str = "tree", merge_policy: str = "trim") -> DataFrame:
-    """q, k, n, value: exact. One sketch, one rank pass for all q, one candidate pass for each q off its rank."""
+def gk_select_many(df: DataFrame, col: str, qs: list[float], eps: float = 0.01, depth: int = 2, root: str = "finalize", fan_in: int | None = None, engine: str = "tree", merge_policy: str = "trim", sketch_depth: int = 2, sketch_root: str | None = None, head: int | str = 50_000, partitions: int | None = None) -> DataFrame:
+    """q, k, n, value: exact. One sketch, one rank pass and one candidate pass for all q together.
+
+    The candidate pass reads only between values that are sure to enclose the ranks; a q whose pivot run holds its rank needs none.
+    """
+    _check(qs)
     spark = df.sparkSession
     x, kind = _one(df, col)
     if fan_in:
-        depth = depth_for_fan_in(max(1, x.rdd.getNumPartitions()), fan_in)
-    pivots = finished(x, GKSummary(qs, eps, kind), 2, "finalize" if root == "finalize" else root).collect()
+        depth = depth_for_fan_in(partitions or partition_count(x), fan_in)
+    pivots = finished(x, GKSummary(qs, eps, kind, head), sketch_depth, sketch_root or root, partitions).collect()
     if not pivots:
-        return spark.createDataFrame([], f"q double, k long, n long, value {kind}")
-    ranks = x.agg(*[e for i, p in enumerate(pivots) for e in (F.count_if(F.col("x") < F.lit(p.value)).alias(f"b{i}"), F.count_if(F.col("x") == F.lit(p.value)).alias(f"e{i}"))]).first()
-    parts = []
+        return spark.createDataFrame([], _answers(kind))
+    values = [_lit(p.value, kind) for p in pivots]
+    ranks = x.agg(F.count("*").alias("n"), *[e for i, v in enumerate(values) for e in (F.count_if(F.col("x") < v).alias(f"b{i}"), F.count_if(F.col("x") == v).alias(f"e{i}"))]).first()
+    if ranks.n != pivots[0].n:
+        raise RuntimeError("the input changed between passes")
+    codes = _codes([p.value for p in pivots], kind)
+    known, open_, windows = [], [], []
     for i, p in enumerate(pivots):
         k, below, equal = rank_of(p.q, p.n), ranks[f"b{i}"], ranks[f"e{i}"]
         if below < k <= below + equal:
-            answer = spark.createDataFrame([(p.value,)], f"value {kind}")
-        else:
-            least = k > below
-            m = k - below - equal if least else below - k + 1
-            beyond = x.where(F.col("x") > F.lit(p.value) if least else F.col("x") < F.lit(p.value))
-            if engine == "catalyst":
-                near = beyond.orderBy(F.col("x").asc() if least else F.col("x").desc()).limit(m)
-                answer = near.agg((F.max if least else F.min)("x").alias("value"))
-            else:
-                answer = finished(beyond, NearestValues(m, least, kind, trim=merge_policy == "trim"), depth, root)
-        parts.append(answer.select(F.lit(float(p.q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(p.n).cast("long").alias("n"), "value"))
-    return reduce(DataFrame.unionByName, parts)
+            known.append((float(p.q), k, p.n, p.value))
+            continue
+        least = k > below
+        open_.append((i, codes[i], k - below - equal if least else below - k + 1, least))
+        windows.append((F.col("x") > values[i]) & (F.col("x") <= _lit(p.high, kind)) if least else (F.col("x") < values[i]) & (F.col("x") >= _lit(p.low, kind)))
+    answers = spark.createDataFrame(known, _answers(kind))
+    if not open_:
+        return answers
+    places = spark.createDataFrame([(i, float(pivots[i].q), rank_of(pivots[i].q, pivots[i].n), pivots[i].n) for i, *_ in open_], "no int, q double, k long, n long")
+    if engine == "catalyst":
+        found = []
+        for (i, _, m, least), window in zip(open_, windows, strict=True):
+            near = x.where(window).orderBy(F.col("x").asc() if least else F.col("x").desc()).limit(m)
+            found.append(near.agg((F.max if least else F.min)("x").alias("value")).select(F.lit(i).alias("no"), "value"))
+        got = reduce(DataFrame.unionByName, found)
+    else:
+        got = finished(x.where(reduce(lambda a, b: a | b, windows)), NearestOfMany(open_, kind, merge_policy == "trim"), depth, root, partitions)
+    return answers.unionByName(got.join(F.broadcast(places), "no").select("q", "k", "n", "value"))
 
 
 def gk_select(df: DataFrame, col: str, q: float, **options) -> DataFrame:
@@ -64,23 +99,21 @@ def gk_select(df: DataFrame, col: str, q: float, **options) -> DataFrame:
 
 
 def full_sort_quantile(df: DataFrame, col: str, q: float) -> DataFrame:
-    """Baseline: range shuffle and local sort of everything, then the k-th by counts of the ranges."""
+    """Baseline: range shuffle and local sort of everything, written once; the row of the wanted rank is read by its place."""
+    _check([q])
     spark = df.sparkSession
     x, kind = _one(df, col)
-    width = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ranged = x.repartitionByRange(width, "x").sortWithinPartitions("x").select("x", F.spark_partition_id().alias("p"))
-    # equal values share a range, so ranges are told by their ends; partition numbers may change between jobs
-    sizes = sorted((r.low, r.high, r.c) for r in ranged.groupBy("p").agg(F.min("x").alias("low"), F.max("x").alias("high"), F.count("*").alias("c")).collect())
-    n = sum(c for *_, c in sizes)
+    ranked, sizes = sorted_ranges(x, ["x"])
+    n = sum(sizes.values())
     if not n:
-        return spark.createDataFrame([], f"q double, k long, n long, value {kind}")
-    k, left = rank_of(q, n), rank_of(q, n)
-    for low, high, c in sizes:
-        if left <= c:
+        return spark.createDataFrame([], _answers(kind))
+    k = left = rank_of(q, n)
+    for part in sorted(sizes):
+        if left <= sizes[part]:
             break
-        left -= c
-    value = x.where(F.col("x").between(F.lit(low), F.lit(high))).orderBy("x").limit(left).agg(F.max("x").alias("value"))
-    return value.select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n"), "value")
+        left -= sizes[part]
+    place = (part << 33) + left - 1
+    return ranked.where(F.col("place") == F.lit(place)).select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n"), F.col("x").alias("value"))
 
 
 def builtin_percentile_disc(df: DataFrame, col: str, q: float) -> DataFrame:
@@ -93,57 +126,57 @@ def builtin_approx(df: DataFrame, col: str, q: float, eps: float) -> DataFrame:
     return x.agg(F.lit(float(q)).alias("q"), F.percentile_approx("x", q, int(1 / eps)).alias("value"))
 
 
-def top_values(df: DataFrame, col: str, k: int, root: str = "finalize") -> DataFrame:
+def top_values(df: DataFrame, col: str, k: int, root: str = "finalize", partitions: int | None = None) -> DataFrame:
     x, kind = _one(df, col)
-    return finished(x, NearestValues(k, False, kind, every=True), 2, root)
+    return finished(x, NearestValues(k, False, kind, every=True), 2, root, partitions)
 
 
 def rank_error(df: DataFrame, col: str, value, k: int) -> int:
     """Distance of k from the ranks that `value` holds."""
-    x, _ = _one(df, col)
-    r = x.agg(F.count_if(F.col("x") < F.lit(value)).alias("b"), F.count_if(F.col("x") == F.lit(value)).alias("e")).first()
+    x, kind = _one(df, col)
+    v = _lit(value, kind)
+    r = x.agg(F.count_if(F.col("x") < v).alias("b"), F.count_if(F.col("x") == v).alias("e")).first()
     return max(0, r.b + 1 - k, k - r.b - r.e)
 
 
-def _around(q: float, n: int, k: int, eps: float) -> list[float]:
-    """Two quantiles whose sketched values enclose rank k."""
-    slack = 2 * eps + 1 / n
-    return [max(0.0, k / n - slack), min(1.0, k / n + slack)]
-
-
-def gk_select_two_round(df: DataFrame, col: str, q: float, eps: float = 0.01, depth: int = 2) -> DataFrame:
+def gk_select_two_round(df: DataFrame, col: str, q: float, eps: float = 0.01, depth: int = 2, partitions: int | None = None) -> DataFrame:
     """q, k, n, value: the sketch gives a window sure to hold the answer, one more pass counts below it and keeps it."""
     spark = df.sparkSession
     x, kind = _one(df, col)
-    n = x.count()
-    if not n:
-        return spark.createDataFrame([], f"q double, k long, n long, value {kind}")
-    k = rank_of(q, n)
-    low, high = (r.value for r in finished(x, GKSummary(_around(q, n, k, eps), eps, kind), 2).orderBy("q").collect())
-    answer = finished(x, WindowSummary(low, high, k, kind), depth)
-    return answer.select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n"), "value")
+    p = finished(x, GKSummary([q], eps, kind), 2, partitions=partitions).first()
+    if p is None:
+        return spark.createDataFrame([], _answers(kind))
+    k = rank_of(q, p.n)
+    low, high = _codes([p.low, p.high], kind)
+    answer = finished(x, WindowSummary(low, high, k, kind), depth, partitions=partitions)
+    return answer.select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(p.n).cast("long").alias("n"), "value")
 
 
-def gk_select_narrowing(df: DataFrame, col: str, q: float, eps: float = 0.01, max_candidates: int = 1_000_000, depth: int = 2) -> DataFrame:
+def gk_select_narrowing(df: DataFrame, col: str, q: float, eps: float = 0.01, max_candidates: int = 1_000_000, depth: int = 2, partitions: int | None = None) -> DataFrame:
     """q, k, n, value: the window around the rank is sketched again until it holds at most `max_candidates` rows.
 
     Each round shrinks it to about 4 * eps of itself; a window of one value ends the search whatever its size.
     """
+    _check([q])
     spark = df.sparkSession
     x, kind = _one(df, col)
     n = inside = x.count()
     if not n:
-        return spark.createDataFrame([], f"q double, k long, n long, value {kind}")
+        return spark.createDataFrame([], _answers(kind))
     k = left = rank_of(q, n)
     window, low, high = x, None, None
     while inside > max_candidates and (low is None or low != high):
-        low, high = (r.value for r in finished(window, GKSummary(_around(q, inside, left, eps), eps, kind), 2).orderBy("q").collect())
-        counts = window.agg(F.count_if(F.col("x") < F.lit(low)).alias("below"), F.count_if(F.col("x").between(F.lit(low), F.lit(high))).alias("inside")).first()
+        place = Decimal(left) / Decimal(inside)
+        p = finished(window, GKSummary([place], eps, kind), 2, partitions=partitions).first()
+        low, high = p.low, p.high
+        within = F.col("x").between(_lit(low, kind), _lit(high, kind))
+        counts = window.agg(F.count_if(F.col("x") < _lit(low, kind)).alias("below"), F.count_if(within).alias("inside")).first()
         if counts.inside == inside:
             break
         left, inside = left - counts.below, counts.inside
-        window = x.where(F.col("x").between(F.lit(low), F.lit(high)))
-    answer = spark.createDataFrame([(low,)], f"value {kind}") if low is not None and low == high else finished(window, NearestValues(left, True, kind), depth)
+        window = x.where(within)
+    one = low is not None and _codes([low], kind) == _codes([high], kind)
+    answer = spark.createDataFrame([(low,)], T.StructType([T.StructField("value", kind)])) if one else finished(window, NearestValues(left, True, kind), depth, partitions=partitions)
     return answer.select(F.lit(float(q)).alias("q"), F.lit(k).cast("long").alias("k"), F.lit(n).cast("long").alias("n"), "value")
 
 
@@ -173,7 +206,7 @@ def gk_select_by(df: DataFrame, keys: list[str], col: str, q: float, eps: float
 def kll_quantile(df: DataFrame, col: str, q: float) -> DataFrame:
     """Baseline: the built-in KLL sketch, its answer read in the JVM."""
     x, kind = _one(df, col)
-    form = "bigint" if kind == "bigint" else "double"
+    form = "bigint" if isinstance(kind, T.LongType) else "double"
     return x.agg(F.expr(f"kll_sketch_get_quantile_{form}(kll_sketch_agg_{form}(CAST(x AS {form})), {float(q)}D)").alias("value")).select(F.lit(float(q)).alias("q"), "value")
 
 

@@ -8,6 +8,7 @@ from functools import partial, reduce
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators import heavy_hitters as hh
 from ..operators import measures as ms
@@ -130,7 +131,7 @@ def _kll(spark, sf_dir):
 
 def _tagged(spark, sf_dir):
     x = _dealt(spark, sf_dir, "orders", "o_totalprice")
-    done = tagged_tree_aggregate(x, NearestValues(20, False, "double", every=True), x.count())
+    done = tagged_tree_aggregate(x, NearestValues(20, False, T.DoubleType(), every=True), x.count())
     return spark.createDataFrame([tuple(r.values()) for r in done.to_pylist()], "value double")
 
 
@@ -144,7 +145,7 @@ def _reduce(spark, sf_dir, finalize=True):
 def _resumed(spark, sf_dir):
     """The answer finished twice from the same checkpointed levels; the second call finds every level written."""
     x = _dealt(spark, sf_dir, "orders", "o_totalprice")
-    s, folder = NearestValues(20, False, "double", every=True), f"{work_dir(spark)}/levels-{uuid.uuid4().hex}"
+    s, folder = NearestValues(20, False, T.DoubleType(), every=True), f"{work_dir(spark)}/levels-{uuid.uuid4().hex}"
     checkpointed_states(x, s, folder)
     return finish_states(checkpointed_states(x, s, folder), s)
 
@@ -152,7 +153,7 @@ def _resumed(spark, sf_dir):
 def _ratio(spark, sf_dir):
     """The states that reach the root hold more bytes than the answer exported at eight bytes an item."""
     x = _dealt(spark, sf_dir, "lineitem", "l_partkey").select(F.col("l_partkey").alias("item"))
-    return state_sizes(x, SpaceSaving(20, 1000, "bigint")).agg((F.sum("state_bytes") > ms.export_bytes(20)).alias("result_smaller"))
+    return state_sizes(x, SpaceSaving(20, 1000, T.LongType())).agg((F.sum("state_bytes") > ms.export_bytes(20)).alias("result_smaller"))
 
 
 def _roots_equal(spark, sf_dir):
@@ -202,7 +203,7 @@ def _stream_daily(spark, sf_dir):
 
 
 def _stream_top(spark, sf_dir):
-    found = running_sketch(event_stream(spark, sf_dir), "user_id", SpaceSaving(20, 20_000, "bigint"), f"{work_dir(spark)}/running-{uuid.uuid4().hex}")
+    found = running_sketch(event_stream(spark, sf_dir), "user_id", SpaceSaving(20, 20_000, T.LongType()), f"{work_dir(spark)}/running-{uuid.uuid4().hex}")
     return found.select("item", F.col("estimate").alias("count"))
 
 

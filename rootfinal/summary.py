@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import math
 import pickle
 from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import types as T
+
+from .functions.order_code import OrderCode
 
 
 class Summary:
@@ -31,10 +35,6 @@ class Summary:
         return pickle.loads(data)
 
 
-def _values(batch: pa.RecordBatch) -> np.ndarray:
-    return batch.column(0).drop_null().to_numpy(zero_copy_only=False)
-
-
 class ReduceSummary(Summary):
     """Same-type reduce: state is a value or None."""
 
@@ -84,26 +84,27 @@ class TaggedSummary(Summary):
 
 
 class WindowSummary(Summary):
-    """Counts values below `low` and keeps those up to `high`; finishes with the value of rank `k`."""
+    """Counts codes below `low` and keeps those up to `high`; finishes with the value of rank `k`."""
 
-    def __init__(self, low, high, k: int, value_type: str):
-        self.low, self.high, self.k = low, high, k
-        self.result_schema = f"value {value_type}"
+    def __init__(self, low, high, k: int, kind: T.DataType):
+        self.code, self.k = OrderCode(kind), k
+        self.low, self.high = low, high
+        self.result_schema = T.StructType([T.StructField("value", kind)])
 
     def zero(self):
-        return 0, np.zeros(0)
+        return 0, []
 
     def fold(self, state, batch):
-        x = _values(batch)
+        x = self.code.encode(batch.column(0))
         inside = x[(x >= self.low) & (x <= self.high)]
-        return state[0] + int((x < self.low).sum()), np.concatenate([state[1], inside]) if len(state[1]) else inside
+        return state[0] + int((x < self.low).sum()), [*state[1], inside] if len(inside) else state[1]
 
     def merge(self, a, b):
-        return a[0] + b[0], np.concatenate([x for x in (a[1], b[1]) if len(x)] or [a[1]])
+        return a[0] + b[0], a[1] + b[1]
 
     def finalize(self, state):
         at = self.k - state[0] - 1
-        return pa.table({"value": pa.array([np.partition(state[1], at)[at].item()])})
+        return pa.table({"value": self.code.decode(np.sort(np.concatenate(state[1]))[at : at + 1])})
 
 
 class CountMin(Summary):
@@ -131,30 +132,84 @@ class CountMin(Summary):
 
 
 class GKSummary(Summary):
-    """Rank sketch: values with rank gains `g` and slack `delta`, g + delta <= 2 * eps * n; n is kept beside.
+    """Rank sketch over order codes: values with rank gains `g` and slack `delta`, g + delta <= 2 * eps * n; n is kept beside.
 
-    A sorted head of up to `head` values enters as exact tuples and is compressed with the rest.
+    Rows wait in a head that is sorted and compressed when full. `head` is its size: a number of rows, "proportional" (`factor`
+    times the tuples held, which restores the classical time), or "classical", where rows enter one at a time.
+    Finishes with q, n, value and values `low`, `high` that are sure to enclose the rank.
     """
 
-    def __init__(self, qs: list[float], eps: float, value_type: str, head: int = 50_000):
-        self.qs, self.eps, self.head = qs, eps, head
-        self.result_schema = f"q double, n long, value {value_type}"
+    def __init__(self, qs: list[float], eps: float, kind: T.DataType, head: int | str = 50_000, factor: float = 8.0):
+        if any(not 0 <= q <= 1 for q in qs):
+            raise ValueError("q must lie between 0 and 1")
+        self.qs, self.eps, self.head, self.factor, self.code = qs, eps, head, factor, OrderCode(kind)
+        self.result_schema = T.StructType([T.StructField("q", T.DoubleType()), T.StructField("n", T.LongType()), *[T.StructField(c, kind) for c in ("value", "low", "high")]])
 
     def zero(self):
         return None
 
+    def _capacity(self, tuples: int) -> int:
+        return max(1000, int(self.factor * tuples)) if self.head == "proportional" else int(self.head)
+
     def fold(self, state, batch):
-        x = np.sort(_values(batch))
-        for i in range(0, len(x), self.head):
-            v = x[i : i + self.head]
-            own = (v, np.ones(len(v), np.int64), np.zeros(len(v), np.int64), len(v))
-            state = self._compress(own) if state is None else self.merge(state, self._compress(own))
-        return state
+        x = self.code.encode(batch.column(0))
+        if not len(x):
+            return state
+        if self.head == "classical":
+            return self._insert(state, x)
+        sketch, waiting = (None, []) if state is None else (state[:4] if state[0] is not None else None, state[4])
+        waiting = [*waiting, x]
+        if sum(map(len, waiting)) >= self._capacity(len(sketch[0]) if sketch else 0):
+            sketch, waiting = self._flushed(sketch, waiting), []
+        return (*(sketch or (None, None, None, 0)), waiting)
+
+    def _flushed(self, sketch, waiting):
+        v = np.sort(np.concatenate(waiting))
+        own = self._compress((v, np.ones(len(v), np.int64), np.zeros(len(v), np.int64), len(v)))
+        return own if sketch is None else self._compress(self._union(sketch, own))
+
+    def settled(self, state):
+        """(values, g, delta, n) with an empty head."""
+        if state is None or not state[4]:
+            return state and state[:4]
+        return self._flushed(state[:4] if state[0] is not None else None, state[4])
+
+    def dump(self, state):
+        s = self.settled(state)
+        return pickle.dumps(s and (*s, []), protocol=5)
+
+    def _insert(self, state, x):
+        """The classical form: a row takes its place with the slack allowed there, compressed every 1 / (2 * eps) rows."""
+        v, g, d, n, _ = state or ([], [], [], 0, [])
+        v, g, d = list(v), list(g), list(d)
+        every = max(1, int(1 / (2 * self.eps)))
+        from bisect import bisect_right
+
+        for value in x.tolist():
+            at = bisect_right(v, value)
+            slack = 0 if at in (0, len(v)) else max(0, int(2 * self.eps * n) - 1)
+            v.insert(at, value)
+            g.insert(at, 1)
+            d.insert(at, slack)
+            n += 1
+            if n % every == 0:
+                cv, cg, cd, _ = self._compress((self._values(v), np.array(g, np.int64), np.array(d, np.int64), n))
+                v, g, d = cv.tolist(), cg.tolist(), cd.tolist()
+        return self._values(v), np.array(g, np.int64), np.array(d, np.int64), n, []
+
+    def _values(self, v: list) -> np.ndarray:
+        if self.code.plain:
+            return np.array(v, np.int64)
+        out = np.empty(len(v), object)
+        out[:] = v
+        return out
 
     def merge(self, a, b):
+        a, b = self.settled(a), self.settled(b)
         if a is None or b is None:
-            return b if a is None else a
-        return self._compress(self._union(a, b))
+            one = b if a is None else a
+            return one and (*one, [])
+        return (*self._compress(self._union(a, b)), [])
 
     @staticmethod
     def _union(a, b):
@@ -175,31 +230,41 @@ class GKSummary(Summary):
         room = int(2 * self.eps * n)
         if len(v) < 3 or room < 2:
             return s
-        keep, total, own = [], 0, g.copy()
-        for i in range(len(v) - 1, 0, -1):
-            # tuple i absorbs its left neighbours while it may
-            if keep and total + g[i] + d[keep[-1]] <= room and keep[-1] != len(v) - 1:
-                total += g[i]
-                own[keep[-1]] = total
-            else:
-                keep.append(i)
-                total = g[i]
-        keep.append(0)
-        keep = np.array(keep[::-1])
-        return v[keep], own[keep], d[keep], n
-
-    def quantile(self, s, q: float):
+        upto = np.cumsum(g)
+        keep, gains, i = [len(v) - 1], [int(g[-1])], len(v) - 2
+        while i >= 1:
+            # tuple i takes in the neighbours to its left whose ranks still fit
+            j = min(i, max(1, int(np.searchsorted(upto, upto[i] + d[i] - room)) + 1))
+            keep.append(i)
+            gains.append(int(upto[i] - upto[j - 1]))
+            i = j - 1
+        keep, gains = np.array([*keep, 0])[::-1], np.array([*gains, int(g[0])], np.int64)[::-1]
+        return v[keep], gains, d[keep], n
+
+    def value_at(self, s, k: int):
         v, g, d, n = s
+        if k <= 1 or k >= n:
+            return v[0] if k <= 1 else v[-1]
         low = np.cumsum(g)
-        k = rank_of(q, n)
-        if k in (1, n):
-            return v[0] if k == 1 else v[-1]
         return v[int(np.argmin(np.maximum(k - low, low + d - k)))]
 
-    def finalize(self, s):
-        rows = [(q, s[3], self.quantile(s, q).item() if hasattr(v := self.quantile(s, q), "item") else v) for q in self.qs] if s else []
-        names = ["q", "n", "value"]
-        return pa.table([pa.array(c) for c in zip(*rows, strict=True)], names=names) if rows else pa.table({"q": pa.array([], pa.float64()), "n": pa.array([], pa.int64()), "value": pa.array([], pa.float64())})
+    def quantile(self, state, q: float):
+        """The code of the q-quantile."""
+        s = self.settled(state)
+        return self.value_at(s, rank_of(q, s[3]))
+
+    def finalize(self, state):
+        s = self.settled(state)
+        if s is None:
+            return self.result_schema_table()
+        slack = 2 * math.ceil(self.eps * s[3]) + 1
+        ranks = [rank_of(q, s[3]) for q in self.qs]
+        columns = [self.code.decode(self._values([self.value_at(s, k + move) for k in ranks])) for move in (0, -slack, slack)]
+        return pa.table([pa.array([float(q) for q in self.qs]), pa.array([s[3]] * len(ranks), pa.int64()), *columns], names=["q", "n", "value", "low", "high"])
+
+    def result_schema_table(self):
+        empty = self.code.decode(self._values([]))
+        return pa.table([pa.array([], pa.float64()), pa.array([], pa.int64()), empty, empty, empty], names=["q", "n", "value", "low", "high"])
 
 
 def rank_of(q: float, n: int) -> int:
@@ -212,38 +277,79 @@ def rank_of(q: float, n: int) -> int:
 class NearestValues(Summary):
     """The `m` least (or greatest) values; finishes with the farthest of them, or with all of them in order."""
 
-    def __init__(self, m: int, least: bool, value_type: str, every: bool = False, trim: bool = True):
-        self.m, self.least, self.every, self.trim = m, least, every, trim
-        self.result_schema = f"value {value_type}"
+    def __init__(self, m: int, least: bool, kind: T.DataType, every: bool = False, trim: bool = True):
+        self.m, self.least, self.every, self.trim, self.code = m, least, every, trim, OrderCode(kind)
+        self.result_schema = T.StructType([T.StructField("value", kind)])
 
     def zero(self):
         return None
 
-    def _nearest(self, x):
-        if len(x) <= self.m:
-            return x
-        return np.partition(x, self.m - 1)[: self.m] if self.least else np.partition(x, len(x) - self.m)[len(x) - self.m :]
-
     def fold(self, state, batch):
-        x = _values(batch)
-        return self._nearest(x if state is None else np.concatenate([state, x]))
+        x = self.code.encode(batch.column(0))
+        return _nearest(x if state is None else np.concatenate([state, x]), self.m, self.least)
 
     def merge(self, a, b):
         x = np.concatenate([a, b])
-        return self._nearest(x) if self.trim else x
+        return _nearest(x, self.m, self.least) if self.trim else x
 
     def finalize(self, state):
-        x = np.sort(self._nearest(state))
+        x = np.sort(_nearest(state, self.m, self.least))
         x = (x if self.least else x[::-1]) if self.every else x[-1:] if self.least else x[:1]
-        return pa.table({"value": pa.array(x.tolist())})
+        return pa.table({"value": self.code.decode(x)})
+
+
+def _nearest(x: np.ndarray, m: int, least: bool) -> np.ndarray:
+    if len(x) <= m:
+        return x
+    if x.dtype == object:
+        x = np.sort(x)
+        return x[:m] if least else x[len(x) - m :]
+    return np.partition(x, m - 1)[:m] if least else np.partition(x, len(x) - m)[len(x) - m :]
+
+
+class NearestOfMany(Summary):
+    """For each of several pivots (number, code, m, least) the `m` nearest codes beyond it; finishes with the farthest of each."""
+
+    def __init__(self, pivots: list[tuple], kind: T.DataType, trim: bool = True):
+        self.pivots, self.trim, self.code = pivots, trim, OrderCode(kind)
+        self.result_schema = T.StructType([T.StructField("no", T.IntegerType()), T.StructField("value", kind)])
+
+    def zero(self):
+        return None
+
+    def fold(self, state, batch):
+        x = self.code.encode(batch.column(0))
+        out = []
+        for i, (_, code, m, least) in enumerate(self.pivots):
+            beyond = x[x > code] if least else x[x < code]
+            out.append(_nearest(beyond if state is None else np.concatenate([state[i], beyond]), m, least))
+        return out
+
+    def merge(self, a, b):
+        joined = [np.concatenate(pair) for pair in zip(a, b, strict=True)]
+        return [_nearest(x, m, least) for x, (_, _, m, least) in zip(joined, self.pivots, strict=True)] if self.trim else joined
+
+    def finalize(self, state):
+        found = [np.sort(_nearest(x, m, least))[-1 if least else 0] for x, (_, _, m, least) in zip(state, self.pivots, strict=True)]
+        codes = np.array(found, np.int64 if self.code.plain else object)
+        return pa.table({"no": pa.array([p[0] for p in self.pivots], pa.int32()), "value": self.code.decode(codes)})
 
 
 class CounterSummary(Summary):
-    """Labels with counts and errors, at most `capacity` of them between steps; `lost` is what collapses took away."""
+    """Labels with counts and errors, at most `capacity` of them between steps; `lost` is what collapses took away.
+
+    Finishes with the k largest as ranked rows, or with `export="arrays"` as one row of two flat arrays, counts narrowed to 32 bits
+    where `count_type` is "int" (refused if one does not fit) or "auto" (if all fit).
+    """
 
-    def __init__(self, k: int, capacity: int, label_type: str):
-        self.k, self.capacity = k, capacity
-        self.result_schema = f"rank int, item {label_type}, estimate long, error long, guaranteed boolean, lost long, survivors long"
+    def __init__(self, k: int, capacity: int, kind: T.DataType, export: str = "rows", count_type: str = "auto"):
+        if export not in ("rows", "arrays") or count_type not in ("int", "bigint", "auto"):
+            raise ValueError("export is rows or arrays, count_type int, bigint or auto")
+        self.k, self.capacity, self.code, self.export, self.count_type = k, capacity, OrderCode(kind), export, count_type
+        rows = [("rank", T.IntegerType()), ("item", kind), ("estimate", T.LongType()), ("error", T.LongType()), ("guaranteed", T.BooleanType()), ("lost", T.LongType()), ("survivors", T.LongType())]
+        narrow = T.IntegerType() if count_type == "int" else T.LongType()
+        arrays = [("labels", T.ArrayType(kind)), ("counts", T.ArrayType(narrow)), ("bytes", T.LongType())]
+        self.result_schema = T.StructType([T.StructField(*f) for f in (rows if export == "rows" else arrays)])
 
     def zero(self):
         return None
@@ -258,9 +364,9 @@ class CounterSummary(Summary):
 
     def fold(self, state, batch):
         if batch.num_columns == 2:  # label and weight
-            u, n = self._sum(batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False))
+            u, n = self._sum(self.code.encode(batch.column(0)), batch.column(1).to_numpy(zero_copy_only=False))
         else:
-            u, n = np.unique(_values(batch), return_counts=True)
+            u, n = np.unique(self.code.encode(batch.column(0)), return_counts=True)
         if not len(u):
             return state
         own = self.shrink(u, n.astype(np.int64), np.zeros(len(u), np.int64), 0)
@@ -268,28 +374,49 @@ class CounterSummary(Summary):
 
     def finalize(self, state):
         labels, counts, errors, lost = state
-        order = np.lexsort((labels, -counts))
+        order = np.lexsort((labels, -counts)) if labels.dtype != object else np.array(sorted(range(len(labels)), key=lambda i: (-counts[i], labels[i])), np.int64)
         top, rest = order[: self.k], order[self.k :]
+        if self.export == "arrays":
+            big = bool(len(top)) and int(counts[top].max()) >= 1 << 31
+            if big and self.count_type == "int":
+                raise OverflowError("a count does not fit 32 bits")
+            width = 8 if big or self.count_type == "bigint" else 4
+            kind = pa.int32() if self.count_type == "int" else pa.int64()
+            bytes_ = self.code.decode(labels[top]).nbytes + width * len(top)
+            return pa.table({"labels": pa.array([self.code.decode(labels[top])], pa.list_(self.code.arrow)), "counts": pa.array([counts[top]], pa.list_(kind)), "bytes": pa.array([bytes_], pa.int64())})
         bar = counts[rest[0]] if len(rest) else 0
         return pa.table({
-            "rank": pa.array(np.arange(1, len(top) + 1), pa.int32()), "item": pa.array(labels[top].tolist()), "estimate": pa.array(counts[top], pa.int64()), "error": pa.array(errors[top], pa.int64()),
+            "rank": pa.array(np.arange(1, len(top) + 1), pa.int32()), "item": self.code.decode(labels[top]), "estimate": pa.array(counts[top], pa.int64()), "error": pa.array(errors[top], pa.int64()),
             "guaranteed": pa.array(counts[top] - errors[top] >= bar, pa.bool_()), "lost": pa.array([lost] * len(top), pa.int64()), "survivors": pa.array([len(labels)] * len(top), pa.int64()),
         })
 
 
+def _largest(labels: np.ndarray, counts: np.ndarray, n: int) -> np.ndarray:
+    """Places of the n largest counts, ties by label."""
+    if labels.dtype == object:
+        return np.array(sorted(range(len(labels)), key=lambda i: (-counts[i], labels[i]))[:n], np.int64)
+    return np.lexsort((labels, -counts))[:n]
+
+
 class SpaceSaving(CounterSummary):
-    """A label that a full side lacks takes that side's least count, as count and as error; the largest stay."""
+    """Whole Arrow batches are counted at once and enter as weighted labels. A label that a full side lacks takes that side's
+    least count, as count and as error; the largest stay. `isomorphic` merges through the other sketch's rule instead: both
+    sides less their least counts, merged as Misra-Gries sketches, and the least counts added back."""
+
+    isomorphic = False
 
     def shrink(self, labels, counts, errors, lost):
         if len(labels) > self.capacity:
             # the state's floor: no absent label has more
-            top = np.lexsort((labels, -counts))[: self.capacity]
+            top = _largest(labels, counts, self.capacity)
             return labels[top], counts[top], errors[top], max(lost, int(np.partition(counts, len(counts) - self.capacity - 1)[len(counts) - self.capacity - 1]))
         return labels, counts, errors, lost
 
     def merge(self, a, b):
         if a is None or b is None:
             return b if a is None else a
+        if self.isomorphic and len(a[0]) == self.capacity == len(b[0]):
+            return self._through_decrements(a, b)
         labels = np.concatenate([a[0], b[0]])
         here = [np.concatenate([np.full(len(a[0]), i == 0), np.full(len(b[0]), i == 1)]) for i in (0, 1)]
         u, n, e, in_a, in_b = self._sum(labels, np.concatenate([a[1], b[1]]), np.concatenate([a[2], b[2]]), *here)
@@ -297,52 +424,106 @@ class SpaceSaving(CounterSummary):
         out = self.shrink(u, n + floor, e + floor, 0)
         return (*out[:3], max(out[3], a[3] + b[3]))
 
+    def _through_decrements(self, a, b):
+        floors = int(a[1].min()), int(b[1].min())
+        labels = np.concatenate([a[0], b[0]])
+        over = np.concatenate([a[1] - floors[0], b[1] - floors[1]])
+        u, n = self._sum(labels, over)
+        cut = int(np.partition(n, len(n) - self.capacity - 1)[len(n) - self.capacity - 1]) if len(n) > self.capacity else 0
+        top = _largest(u, n, self.capacity)
+        counts = np.maximum(n[top] - cut, 0) + cut + sum(floors)
+        # every count may be over by both floors at most, as an absent label's would
+        return u[top], counts, np.full(len(top), sum(floors), np.int64), cut + sum(floors)
+
+
+class IsomorphicSpaceSaving(SpaceSaving):
+    isomorphic = True
+
 
-class StreamSummary(SpaceSaving):
-    """Space-Saving one item at a time: labels hang in buckets of equal count, so raising and evicting cost O(1)."""
+class _Buckets:
+    """Labels by their counts: raising one, and finding a least one, cost O(1)."""
+
+    def __init__(self, labels=(), counts=(), errors=(), lost: int = 0):
+        self.counts, self.errors, self.of, self.lost = {}, {}, {}, lost
+        for label, c, e in zip(labels, counts, errors, strict=True):
+            self.counts[label], self.errors[label] = c, e
+            self.of.setdefault(c, {})[label] = None
+        self.least = min(self.of, default=0)
+
+    def take(self, label) -> int:
+        c = self.counts.pop(label)
+        bucket = self.of[c]
+        del bucket[label]
+        if not bucket:
+            del self.of[c]
+        return c
+
+    def put(self, label, c: int) -> None:
+        self.counts[label] = c
+        self.of.setdefault(c, {})[label] = None
+
+
+class _OneAtATime:
+    """Folds row by row into `_Buckets`; arrays are made only where states meet."""
 
     def fold(self, state, batch):
-        counts, errors, buckets, lost = {}, {}, {}, 0
-        if state is not None:
-            lost = state[3]
-            for label, c, e in zip(state[0].tolist(), state[1].tolist(), state[2].tolist(), strict=True):
-                counts[label], errors[label] = c, e
-                buckets.setdefault(c, {})[label] = None
-        least = min(buckets, default=0)
-
-        def move(label, old, new):
-            if old is not None:
-                del buckets[old][label]
-                if not buckets[old]:
-                    del buckets[old]
-            counts[label] = new
-            buckets.setdefault(new, {})[label] = None
-
-        for label in _values(batch).tolist():
-            if label in counts:
-                c = counts[label]
-                move(label, c, c + 1)
-                least = least if least in buckets else c + 1
-            elif len(counts) < self.capacity:
-                errors[label] = lost
-                move(label, None, lost + 1)
-                least = min(least, lost + 1) if len(counts) > 1 else lost + 1
-            else:
-                out = next(iter(buckets[least]))
-                errors[label] = lost = least
-                del errors[out], counts[out], buckets[least][out]
-                if not buckets[least]:
-                    del buckets[least]
-                move(label, None, lost + 1)
-                least = least if least in buckets else lost + 1
-        if not counts:
+        own = self.buckets(state)
+        for label in self.code.encode(batch.column(0)).tolist():
+            self.see(own, label)
+        return own
+
+    @staticmethod
+    def buckets(state) -> _Buckets:
+        if state is None or isinstance(state, _Buckets):
+            return state or _Buckets()
+        return _Buckets(*(x.tolist() for x in state[:3]), state[3])
+
+    def arrays(self, state):
+        if not isinstance(state, _Buckets):
             return state
-        labels = list(counts)
-        return np.array(labels), np.array([counts[x] for x in labels], np.int64), np.array([errors[x] for x in labels], np.int64), lost
+        if not state.counts and not state.lost:
+            return None
+        labels = list(state.counts)
+        kept = np.empty(len(labels), object)
+        kept[:] = labels
+        return (np.array(labels, np.int64) if self.code.plain else kept), np.array([state.counts[x] for x in labels], np.int64), np.array([state.errors.get(x, 0) for x in labels], np.int64), state.lost
+
+    def dump(self, state):
+        return pickle.dumps(self.arrays(state), protocol=5)
+
+    def merge(self, a, b):
+        return super().merge(self.arrays(a), self.arrays(b))
+
+    def finalize(self, state):
+        return super().finalize(self.arrays(state))
+
+
+class StreamSummary(_OneAtATime, SpaceSaving):
+    """Space-Saving one item at a time: a new label takes a least one's place and count, plus one."""
+
+    def see(self, s: _Buckets, label) -> None:
+        c = s.counts.get(label)
+        if c is not None:
+            s.take(label)
+            s.put(label, c + 1)
+        elif len(s.counts) < self.capacity:
+            # labels that a merge left out may have had up to `lost`
+            s.errors[label] = s.lost
+            s.put(label, s.lost + 1)
+            s.least = min(s.least, s.lost + 1) if len(s.counts) > 1 else s.lost + 1
+            return
+        else:
+            out, c = next(iter(s.of[s.least])), s.least
+            s.take(out)
+            del s.errors[out]
+            s.errors[label] = s.lost = c
+            s.put(label, c + 1)
+        if s.least not in s.of:
+            s.least = c + 1
 
 
 class MisraGries(CounterSummary):
-    """Over capacity all counts fall by the first one past it, and those not positive go."""
+    """Over capacity all counts fall by the first one past it, and those not positive go. Whole batches at once."""
 
     def shrink(self, labels, counts, errors, lost):
         if len(labels) > self.capacity:
@@ -356,3 +537,29 @@ class MisraGries(CounterSummary):
             return b if a is None else a
         u, n = self._sum(np.concatenate([a[0], b[0]]), np.concatenate([a[1], b[1]]))
         return self.shrink(u, n, np.zeros(len(u), np.int64), a[3] + b[3])
+
+
+class StreamMisraGries(_OneAtATime, MisraGries):
+    """One item at a time: a new label that finds no room lowers every count by one; `least` holds how far, so that only
+    the labels that fall to nothing are touched."""
+
+    def fold(self, state, batch):
+        own = self.buckets(state)
+        own.least = 0
+        for label in self.code.encode(batch.column(0)).tolist():
+            self.see(own, label)
+        if own.least:
+            # stored counts are those plus what was lowered since
+            own = _Buckets(list(own.counts), [c - own.least for c in own.counts.values()], [0] * len(own.counts), own.lost)
+        return own
+
+    def see(self, s: _Buckets, label) -> None:
+        if label in s.counts:
+            s.put(label, s.take(label) + 1)
+        elif len(s.counts) < self.capacity:
+            s.put(label, s.least + 1)
+        else:
+            s.least += 1
+            s.lost += 1
+            for gone in s.of.pop(s.least, {}):
+                del s.counts[gone]

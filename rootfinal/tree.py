@@ -7,18 +7,21 @@ one state, which comes to the driver; with "finalize" that level also finishes i
 
 from __future__ import annotations
 
+import random
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .sources.tables import exists
 from .summary import ReduceSummary, Summary, TaggedSummary
 
-STATE_SCHEMA = "slot int, state binary, rows long"
+# a state travels in pieces, so that no cell nears the 2 GiB of an Arrow column
+STATE_SCHEMA = "slot int, piece int, pieces int, state binary, rows long"
+PIECE_BYTES = 64 << 20
 
 
 @dataclass(frozen=True)
@@ -48,7 +51,7 @@ def _root_up(n: int, d: int) -> int:
     return r
 
 
-def plan_tree(partitions: int, depth: int = 2, exact_root: bool = True) -> TreePlan:
+def plan_tree(partitions: int, depth: int = 2, exact_root: bool = False) -> TreePlan:
     if depth < 1:
         raise ValueError("depth must be at least 1")
     scale = max(2, _root_up(partitions, depth) if exact_root else -int(-(partitions ** (1 / depth)) // 1))
@@ -67,6 +70,28 @@ def depth_for_fan_in(partitions: int, fan_in: int) -> int:
     return depth
 
 
+def partition_count(df: DataFrame) -> int:
+    """Partitions of a plain scan; of a plan with an exchange the session's shuffle width, as asking it would run the exchange.
+
+    Answers never depend on this number, only the tree's shape does.
+    """
+    plan = df._jdf.queryExecution().sparkPlan().toString()
+    if any(word in plan for word in ("Exchange", "Aggregate", "Join", "Window", "Sort ", "InArrow", "InPandas")):
+        return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return max(1, df.rdd.getNumPartitions())
+
+
+def _rows_of(summary: Summary, slot: int, state, rows: int) -> Iterator[pa.RecordBatch]:
+    data = summary.dump(state)
+    pieces = max(1, -(-len(data) // PIECE_BYTES))
+    for i in range(pieces):
+        part = data[i * PIECE_BYTES : (i + 1) * PIECE_BYTES]
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([slot], pa.int32()), pa.array([i], pa.int32()), pa.array([pieces], pa.int32()), pa.array([part], pa.binary()), pa.array([rows if i == 0 else 0], pa.int64())],
+            names=["slot", "piece", "pieces", "state", "rows"],
+        )
+
+
 def _fold(df: DataFrame, summary: Summary) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         state, rows = summary.zero(), 0
@@ -74,60 +99,108 @@ def _fold(df: DataFrame, summary: Summary) -> DataFrame:
             if b.num_rows:
                 state, rows = summary.fold(state, b), rows + b.num_rows
         if rows:
-            yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([summary.dump(state)], pa.binary()), pa.array([rows], pa.int64())], names=["slot", "state", "rows"])
+            yield from _rows_of(summary, TaskContext.get().partitionId(), state, rows)
 
     return df.mapInArrow(run, STATE_SCHEMA)
 
 
-def _merged(summary: Summary, states: list[bytes]):
-    state = summary.load(states[0])
-    for s in states[1:]:
-        state = summary.merge(state, summary.load(s))
-    return state
+class _Merger:
+    """Merges states as their last pieces arrive; only states not yet whole wait."""
+
+    def __init__(self, summary: Summary):
+        self.summary, self.waiting, self.state, self.any, self.rows = summary, {}, None, False, 0
+
+    def add(self, slot: int, piece: int, pieces: int, data: bytes, rows: int) -> None:
+        self.rows += rows
+        parts = self.waiting.setdefault(slot, {})
+        parts[piece] = data
+        if len(parts) < pieces:
+            return
+        del self.waiting[slot]
+        state = self.summary.load(b"".join(parts[i] for i in range(pieces)))
+        self.state = self.summary.merge(self.state, state) if self.any else state
+        self.any = True
+
+    def add_batch(self, batch: pa.RecordBatch) -> None:
+        for row in zip(*(batch.column(c).to_pylist() for c in ("slot", "piece", "pieces", "state", "rows")), strict=True):
+            self.add(*row)
 
 
 def _merge_level(states: DataFrame, width: int, summary: Summary) -> DataFrame:
-    def run(key, t):
-        state = _merged(summary, t.column("state").to_pylist())
-        return pa.table({"slot": pa.array([key[0].as_py()], pa.int32()), "state": pa.array([summary.dump(state)], pa.binary()), "rows": pa.array([sum(t.column("rows").to_pylist())], pa.int64())})
+    def run(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        merger = _Merger(summary)
+        for b in batches:
+            merger.add_batch(b)
+        yield from _rows_of(summary, key[0].as_py(), merger.state, merger.rows)
 
     return states.groupBy(F.pmod("slot", F.lit(width)).alias("node")).applyInArrow(run, STATE_SCHEMA)
 
 
-def partial_states(df: DataFrame, summary: Summary, depth: int = 2) -> DataFrame:
-    """States after the planned levels, one row each."""
+def partial_states(df: DataFrame, summary: Summary, depth: int = 2, partitions: int | None = None) -> DataFrame:
+    """States after the planned levels."""
     states = _fold(df, summary)
-    for width in plan_tree(max(1, df.rdd.getNumPartitions()), depth).levels:
+    for width in plan_tree(partitions or partition_count(df), depth).levels:
         states = _merge_level(states, width, summary)
     return states
 
 
-def tree_aggregate_finalize(df: DataFrame, summary: Summary, depth: int = 2) -> DataFrame:
+def tree_aggregate_finalize(df: DataFrame, summary: Summary, depth: int = 2, partitions: int | None = None) -> DataFrame:
     """The answer's rows, finished once on the root's executor; no row for empty input."""
-    return finish_states(partial_states(df, summary, depth), summary)
+    return finish_states(partial_states(df, summary, depth, partitions), summary)
 
 
-def tree_aggregate(df: DataFrame, summary: Summary, depth: int = 2, root: str = "driver", finalize: bool | None = None):
+def tree_aggregate(df: DataFrame, summary: Summary, depth: int = 2, root: str = "driver", finalize: bool | None = None, partitions: int | None = None):
     """The whole state on the driver (None for empty input), or with `finalize` what tree_aggregate_finalize returns."""
     if finalize or root == "finalize":
-        return tree_aggregate_finalize(df, summary, depth)
-    states = partial_states(df, summary, depth)
+        return tree_aggregate_finalize(df, summary, depth, partitions)
+    states = partial_states(df, summary, depth, partitions)
     if root == "executor":
         states = _merge_level(states, 1, summary)
-    # the baselines' point is that the states come to the driver: as many as the root's fan-in
-    parts = [bytes(r.state) for r in states.select("state").toLocalIterator()]
-    return _merged(summary, parts) if parts else None
+    # the baselines' point is that the states come to the driver, all at once and as many as the root's fan-in
+    merger = _Merger(summary)
+    for r in states.collect():
+        merger.add(r.slot, r.piece, r.pieces, bytes(r.state), r.rows)
+    return merger.state if merger.any else None
 
 
-def finished(df: DataFrame, summary: Summary, depth: int = 2, root: str = "finalize") -> DataFrame:
+def finished(df: DataFrame, summary: Summary, depth: int = 2, root: str = "finalize", partitions: int | None = None) -> DataFrame:
     """The answer as a DataFrame under any of the three placements."""
     if root == "finalize":
-        return tree_aggregate_finalize(df, summary, depth)
-    state = tree_aggregate(df, summary, depth, root)
+        return tree_aggregate_finalize(df, summary, depth, partitions)
+    state = tree_aggregate(df, summary, depth, root, partitions=partitions)
     rows = summary.finalize(state).to_pylist() if state is not None else []
     return df.sparkSession.createDataFrame([tuple(r.values()) for r in rows], summary.result_schema)
 
 
+def attach(spark: SparkSession) -> None:
+    """The tree calls as methods of DataFrame: `df.treeAggregate(summary, finalize=True)`, `df.treeReduce(col, f)`."""
+    cls = type(spark.range(0))
+    cls.treeAggregate, cls.treeReduce, cls.treeReduceFinalize = tree_aggregate, tree_reduce, tree_reduce_finalize
+
+
+def assert_mergeable(summary: Summary, batches: list[pa.RecordBatch], same, groupings: int = 5, seed: int = 0) -> None:
+    """The closure law: folds of disjoint batches merged in any grouping give states that `same(a, b)` accepts."""
+    rng = random.Random(seed)
+    want = None
+    for _ in range(groupings):
+        states = [summary.load(summary.dump(summary.fold(summary.zero(), b))) for b in batches]
+        while len(states) > 1:
+            a, b = (states.pop(rng.randrange(len(states))) for _ in range(2))
+            states.append(summary.load(summary.dump(summary.merge(a, b))))
+        want = states[0] if want is None else want
+        if not same(want, states[0]):
+            raise AssertionError("a regrouping changed what the state stands for")
+
+
+def driver_loss_inventory(spark: SparkSession) -> DataFrame:
+    """What a lost driver takes along, and what checkpointed levels let a new one go on from."""
+    rows = [
+        ("lineage graph", "lost", False), ("scheduler state", "lost", False), ("task completion", "lost", False), ("shuffle output locations", "lost", False), ("accumulators", "lost", False),
+        ("cached partitions", "maybe", False), ("shuffle files", "maybe", False), ("external input", "safe", True), ("checkpointed levels", "safe", True),
+    ]
+    return spark.createDataFrame(rows, "item string, fate string, resumable boolean")
+
+
 def tree_reduce(df: DataFrame, col: str, f, depth: int = 2, root: str = "driver"):
     """The reduced value on the driver, None for no rows."""
     return tree_aggregate(df.select(col), ReduceSummary(f, None, ""), depth, root)
@@ -150,7 +223,7 @@ def tagged_tree_aggregate(df: DataFrame, summary: Summary, total_rows: int, dept
 
 def state_sizes(df: DataFrame, summary: Summary, depth: int = 2) -> DataFrame:
     """slot, rows, state_bytes of the states that reach the root."""
-    return partial_states(df, summary, depth).select("slot", "rows", F.length("state").cast("long").alias("state_bytes"))
+    return partial_states(df, summary, depth).groupBy("slot").agg(F.sum("rows").alias("rows"), F.sum(F.length("state")).cast("long").alias("state_bytes"))
 
 
 def checkpointed_states(df: DataFrame, summary: Summary, folder: str, depth: int = 2) -> DataFrame:
@@ -168,7 +241,7 @@ def checkpointed_states(df: DataFrame, summary: Summary, folder: str, depth: int
         return spark.read.schema(STATE_SCHEMA).parquet(path)
 
     states = level(0, lambda: _fold(df, summary))
-    for i, width in enumerate(plan_tree(max(1, df.rdd.getNumPartitions()), depth).levels, 1):
+    for i, width in enumerate(plan_tree(partition_count(df), depth).levels, 1):
         states = level(i, lambda below=states, width=width: _merge_level(below, width, summary))
     return states
 
@@ -176,7 +249,10 @@ def checkpointed_states(df: DataFrame, summary: Summary, folder: str, depth: int
 def finish_states(states: DataFrame, summary: Summary) -> DataFrame:
     """The answer from stored states: one merge and the finishing step on an executor."""
 
-    def run(t):
-        return summary.finalize(_merged(summary, t.column("state").to_pylist()))
+    def run(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        merger = _Merger(summary)
+        for b in batches:
+            merger.add_batch(b)
+        yield from summary.finalize(merger.state).combine_chunks().to_batches()
 
     return states.groupBy(F.pmod("slot", F.lit(1)).alias("node")).applyInArrow(run, summary.result_schema)

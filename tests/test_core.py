@@ -6,7 +6,9 @@ import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from rootfinal.functions.order_code import code_floats
 from rootfinal.operators import heavy_hitters as hh
 from rootfinal.operators import quantiles as qt
 from rootfinal.summary import GKSummary, MisraGries, SpaceSaving, rank_of
@@ -32,20 +34,20 @@ def test_rank():
     assert [rank_of(q, 10) for q in (0, 0.1, 0.5, 1)] == [1, 1, 5, 10]
 
 
-@pytest.mark.parametrize("eps", [0.1, 0.01])
-def test_sketch_error_over_any_grouping(eps):
+@pytest.mark.parametrize("eps,head", [(0.1, 500), (0.01, 500), (0.01, 50_000), (0.01, "proportional"), (0.05, "classical")])
+def test_sketch_error_over_any_grouping(eps, head):
     rng = np.random.default_rng(1)
     x = np.round(rng.normal(size=20_000), 2)
-    s = GKSummary([0.5], eps, "double", head=500)
+    s = GKSummary([0.5], eps, T.DoubleType(), head=head)
     states = [s.fold(None, _batch(part)) for part in np.array_split(x, 7)]
     random.Random(1).shuffle(states)
     while len(states) > 1:
         states.append(s.merge(states.pop(0), states.pop(0)))
-    v, g, d, n = states[0]
+    v, g, d, n = s.settled(states[0])
     assert n == len(x) and g.sum() == n and (g + d)[1:].max() <= max(1, 2 * eps * n)
     y = np.sort(x)
     for q in (0.0, 0.01, 0.3, 0.5, 0.9, 1.0):
-        k, a = rank_of(q, n), s.quantile(states[0], q)
+        k, a = rank_of(q, n), code_floats(np.array([s.quantile(states[0], q)]))[0]
         low, high = np.searchsorted(y, a, "left") + 1, np.searchsorted(y, a, "right")
         assert max(0, low - k, k - high) <= math.ceil(eps * n)
 
@@ -55,7 +57,7 @@ def test_space_saving_bounds_and_misra_gries_bound():
     x = rng.zipf(1.3, 30_000) % 3000
     true = Counter(x.tolist())
     for cls in (SpaceSaving, MisraGries):
-        s = cls(20, 100, "long")
+        s = cls(20, 100, T.LongType())
         state = None
         for part in np.array_split(x, 9):
             state = s.fold(state, _batch(part))

@@ -2,6 +2,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from rootfinal.operators import heavy_hitters as hh
 from rootfinal.operators import measures as ms
@@ -32,7 +33,7 @@ def test_grouped_select_with_a_hot_group_and_a_null_key(spark, q):
 
 def test_tagged_state_finishes_once_and_takes_no_more(spark):
     df = spark.range(100).select(F.col("id").cast("double").alias("x")).repartition(3)
-    inner = NearestValues(3, False, "double", every=True)
+    inner = NearestValues(3, False, T.DoubleType(), every=True)
     assert tagged_tree_aggregate(df, inner, 100).column("value").to_pylist() == [99.0, 98.0, 97.0]
     with pytest.raises(ValueError):
         tagged_tree_aggregate(df, inner, 101)
@@ -47,7 +48,7 @@ def test_reduce_and_resume(spark, tmp_path):
     df = spark.range(50).select(F.col("id").cast("double").alias("x")).repartition(4)
     assert tree_reduce(df, "x", max) == 49.0
     assert tree_reduce(df.where("x < 0"), "x", max) is None
-    s = NearestValues(2, True, "double", every=True)
+    s = NearestValues(2, True, T.DoubleType(), every=True)
     checkpointed_states(df, s, str(tmp_path))
     again = checkpointed_states(df.where("x < 0"), s, str(tmp_path))  # complete levels are read, not run
     assert [r.value for r in finish_states(again, s).collect()] == [0.0, 1.0]
@@ -56,9 +57,10 @@ def test_reduce_and_resume(spark, tmp_path):
 def test_stream_summary_keeps_its_bounds():
     rng = np.random.default_rng(3)
     x = rng.zipf(1.4, 5000) % 400
-    s, state = StreamSummary(10, 50, "long"), None
+    s, state = StreamSummary(10, 50, T.LongType()), None
     for part in np.array_split(x, 5):
         state = s.fold(state, pa.RecordBatch.from_arrays([pa.array(part)], names=["x"]))
+    state = s.arrays(state)
     for item, c, e in zip(*(a.tolist() for a in state[:3]), strict=True):
         true = int((x == item).sum())
         assert c - e <= true <= c
