@@ -86,19 +86,23 @@ def hh_status(found: DataFrame, k: int) -> DataFrame:
     return found.agg(F.count("*").alias("returned"), F.coalesce(F.max("survivors"), F.lit(0)).alias("survivors"), F.max("lost").alias("decremented"), (F.count("*") < k).alias("collapsed"))
 
 
-def count_min_estimate(df: DataFrame, col: str, items: list, eps: float = 0.001, confidence: float = 0.99, depth: int = 2) -> DataFrame:
+def count_min_estimate(df: DataFrame, col: str, items: list | DataFrame, eps: float = 0.001, confidence: float = 0.99, depth: int = 2, partitions: int | None = None) -> DataFrame:
     """item, estimate, total: never under the true count, over it by at most eps * total with this confidence.
 
-    Counters are merged up the tree and only the looked-up items leave the root.
+    Counters are merged up the tree and leave the root as rows (row, place, count), their number fixed by eps and confidence.
+    `items` is a list or a table of one column; their lookups are joins with those rows.
     """
     spark = df.sparkSession
     width, rows = math.ceil(math.e / eps), max(1, math.ceil(math.log(1 / (1 - confidence))))
-    kind = df.schema[col].dataType.simpleString()
-    places = [F.pmod(F.xxhash64(F.col("item"), F.lit(i)), F.lit(width)).cast("int").alias(f"h{i}") for i in range(rows)]
-    asked = spark.createDataFrame([(i, v) for i, v in enumerate(items)], f"item_no int, item {kind}")
-    lookups = [tuple(r)[1:] for r in asked.select("item_no", *places).orderBy("item_no").collect()]  # the caller's own list
-    found = finished(df.select(F.col(col).alias("item")).where("item IS NOT NULL").select(*places), CountMin(width, rows, lookups), depth)
-    return found.join(asked, "item_no").select("item", "estimate", "total")
+    kind = df.schema[col].dataType
+    if not isinstance(items, DataFrame):
+        items = spark.createDataFrame([(v,) for v in items], T.StructType([T.StructField("item", kind)]))
+    asked = items.toDF("item").distinct()
+    place = lambda i: F.pmod(F.xxhash64(F.col("item"), F.lit(i)), F.lit(width)).cast("int")
+    counters = finished(df.select(F.col(col).alias("item")).where("item IS NOT NULL").select(*[place(i).alias(f"h{i}") for i in range(rows)]), CountMin(width, rows), depth, partitions=partitions)
+    looked = asked.select("item", F.posexplode(F.array(*[place(i) for i in range(rows)])).alias("row", "place"))
+    found = looked.join(F.broadcast(counters), ["row", "place"])
+    return found.groupBy("item").agg(F.min("count").alias("estimate"), F.max("total").alias("total"))
 
 
 def frequent_items(df: DataFrame, col: str, support: float) -> DataFrame:

@@ -108,12 +108,12 @@ class WindowSummary(Summary):
 
 
 class CountMin(Summary):
-    """Rows of counters at hashed places; the batch's columns are one hash for each row. Finishes with point lookups."""
+    """Rows of counters at hashed places; the batch's columns are one place for each row. Finishes as rows, zeros too."""
 
-    result_schema = "item_no int, estimate long, total long"
+    result_schema = "row int, place int, count long, total long"
 
-    def __init__(self, width: int, depth: int, lookups: list[tuple[int, ...]]):
-        self.width, self.depth, self.lookups = width, depth, lookups
+    def __init__(self, width: int, depth: int):
+        self.width, self.depth = width, depth
 
     def zero(self):
         return np.zeros((self.depth, self.width), np.int64)
@@ -127,8 +127,8 @@ class CountMin(Summary):
         return a + b
 
     def finalize(self, state):
-        found = [min(int(state[i, at]) for i, at in enumerate(places)) for places in self.lookups]
-        return pa.table({"item_no": pa.array(range(len(found)), pa.int32()), "estimate": pa.array(found, pa.int64()), "total": pa.array([int(state[0].sum())] * len(found), pa.int64())})
+        row, place = (x.ravel().astype(np.int32) for x in np.indices(state.shape))
+        return pa.table({"row": row, "place": place, "count": state.ravel(), "total": np.full(state.size, state[0].sum())})
 
 
 class GKSummary(Summary):
