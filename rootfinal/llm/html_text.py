@@ -1,17 +1,19 @@
 """Main text of a page by composite text density.
 
-For each DOM node: characters of text, characters inside links, tags, and link tags below it. Density is characters per
-tag, lowered as the share of link characters rises relative to the body's. A node's density sum adds those of its
-children. The threshold is the least density on the path from the densest node to the body. Of the nodes above it,
-the one of the largest sum is climbed from to the node that holds every block of text of a quarter or more of its
-own blocks' mean density, and the page's heading. Containers outgrow their blocks, so blocks are held against blocks.
-
-Class words make a node furniture only if its blocks' mean density is below half of that of the page's other blocks,
-it holds less than half of the page's text and no h1; where an article or main element of another name stands, they
-do so outside of it at any density and size. A block of text inside a node so named is no reason to climb.
-
-Null and empty pages give an empty text. Broken markup is read as a browser would: unclosed paragraphs end at the next
-block, stray end tags are passed over.
+For each DOM node that a browser would show: characters of text, characters inside links, tags, and link tags below it. Density is
+characters per tag, lowered as the share of link characters rises relative to the body's. A node's density sum adds those of its
+children. Nothing else is removed before this scoring. The threshold is the least density on the path from the densest node to the
+body. Of the nodes above it, the one of the largest sum is climbed from to the node that holds every block of text of a quarter or
+more of its own blocks' mean density, and the page's heading. Containers outgrow their blocks, so blocks are held against blocks.
+
+Elements of a furniture role (nav, footer, aside, forms, a page's header) and block elements with a furniture class word only lower what
+density must show: a role counts a tenth, a class word a half of its blocks' mean density against that of the page's other
+blocks, and what falls short is rejected, so the heading's wrappers and dense wrappers stay. Where an article or main element stands,
+such nodes outside of it are rejected at any density. A class word on a wrapper of half of the page's text or on an inline element says nothing.
+
+Null and empty pages, and those without text, give an empty text; pages of any length are read whole. Broken markup is read as a
+browser would: unclosed paragraphs end at the next block, stray end tags are passed over. Of equal sums the node with more
+characters wins, then the first. Rows are independent, repeated ones too; an empty table gives no rows. Only the named columns are carried.
 """
 
 from __future__ import annotations
@@ -30,7 +32,8 @@ from pyspark.sql import types as T
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr b bdi bdo cite code data dfn em font i kbd mark q s samp small span strong sub sup time tt u var wbr del ins label big strike acronym".split())
 FORMAT = (INLINE - {"a"}) | {"br", "wbr", "img"}
-DROPPED = frozenset("script style head noscript template svg nav footer form button select textarea iframe object aside menu dialog".split())
+UNSEEN = frozenset("script style head noscript template svg iframe object button select textarea datalist".split())
+HARD_ROLES = frozenset("nav footer aside menu dialog".split())
 CLOSES_P = frozenset("address article aside blockquote div dl fieldset figure footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul".split())
 # fixed values: class and id words of page furniture
 FURNITURE = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|banner|promo\w*|sponsor\w*|cookies?|consent|notice|sidebar|menu|nav\w*|breadcrumbs?|header|footer|comments?|related|share|social|subscribe|newsletter|popup|modal|widget|login)(?:$|[\s_-])", re.I)
@@ -38,10 +41,10 @@ _BLANK = re.compile(r"\s+")
 
 
 class Node:
-    __slots__ = ("tag", "parent", "children", "drop", "named", "chars", "links", "tags", "link_tags", "density", "total")
+    __slots__ = ("tag", "parent", "children", "drop", "named", "role", "chars", "links", "tags", "link_tags", "density", "total")
 
-    def __init__(self, tag: str, parent: Node | None, drop: bool, named: bool = False):
-        self.tag, self.parent, self.drop, self.named = tag, parent, drop, named
+    def __init__(self, tag: str, parent: Node | None, drop: bool, named: bool = False, role: bool = False):
+        self.tag, self.parent, self.drop, self.named, self.role = tag, parent, drop, named, role
         self.children: list[Node | str] = []
         self.chars = self.links = self.tags = self.link_tags = 0
         self.density = self.total = 0.0
@@ -60,9 +63,9 @@ class _Tree(HTMLParser):
             self.handle_endtag(tag)
         named = " ".join(v for k, v in attrs if k in ("class", "id", "role") and v)
         # a page's header is furniture, an article's own header is not
-        head = tag == "header" and not self.open.get("article")
-        drop = self.at.drop or tag in DROPPED or head
-        node = Node(tag, self.at, drop, bool(named and tag not in ("html", "body", "article", "main") and FURNITURE.search(named)))
+        role = tag in HARD_ROLES or tag == "form" or tag == "header" and not self.open.get("article")
+        word = bool(named and tag not in INLINE and tag not in ("html", "body", "article", "main") and FURNITURE.search(named))
+        node = Node(tag, self.at, self.at.drop or tag in UNSEEN, word, role)
         self.at.children.append(node)
         if tag not in VOID:
             self.at = node
@@ -158,23 +161,28 @@ def _blocks_of(top: Node) -> list[Node]:
     return out
 
 
-def _drop_named(root: Node) -> list[Node]:
-    """Scored nodes in page order once the furniture by class words is dropped."""
+def _reject_furniture(root: Node) -> list[Node]:
+    """Scored nodes in page order once furniture whose density falls short is dropped."""
     order = _score(root)
-    named = [n for n in order if n.named and not n.drop]
-    if not named:
+    hinted = [n for n in order if (n.named or n.role) and not n.drop]
+    if not hinted:
         return order
     usable = _usable(order)
+    hard = _inside(order, {n for n in hinted if n.tag in HARD_ROLES})
+    kept = {p for n in usable if n.tag in ("article", "main", "h1") and n not in hard for p in _path(n)}
     blocks = [n for n in usable if _is_block(n)]
-    marked = _inside(order, set(named))
-    least = 0.5 * _mean_density([n for n in blocks if n not in marked] or blocks)
-    tops = {n for n in usable if n.tag in ("article", "main") and n not in marked}
-    core = _inside(order, tops)
-    kept = {p for n in usable if n in tops or n.tag == "h1" for p in _path(n)}
-    for n in named:
-        if n not in kept:
-            outside = bool(core) and n not in core
-            n.drop = outside or 2 * n.chars < root.chars and _mean_density(_blocks_of(n)) < least
+    marked = _inside(order, {n for n in hinted if n not in kept})
+    least = _mean_density([n for n in blocks if n not in marked] or blocks)
+    core = _inside(order, {n for n in usable if n.tag in ("article", "main") and n not in marked})
+    for n in hinted:
+        if n in kept:
+            continue
+        if core and n not in core:
+            n.drop = True
+        elif n.role:
+            n.drop = 0.1 * _mean_density(_blocks_of(n)) < least
+        else:
+            n.drop = 2 * n.chars < root.chars and 2 * _mean_density(_blocks_of(n)) < least
     for n in order:
         n.drop = n.drop or n.parent is not None and n.parent.drop
         n.chars = n.links = n.tags = n.link_tags = 0
@@ -184,7 +192,7 @@ def _drop_named(root: Node) -> list[Node]:
 
 def _main(root: Node) -> list[Node]:
     """The tops of the main text, in page order."""
-    order = _drop_named(root)
+    order = _reject_furniture(root)
     usable = _usable(order)
     if not usable:
         return [root]
@@ -207,7 +215,7 @@ def _main(root: Node) -> list[Node]:
 
     blocks = [n for n in usable if _is_block(n)]
     enough = 0.25 * _mean_density([n for n in blocks if not held(n)])
-    aside = _inside(order, {n for n in order if n.named and n not in place})
+    aside = _inside(order, {n for n in order if (n.named or n.role) and n not in place})
     up = max((held(n) for n in blocks if n.density >= enough and n not in aside), default=0)
     heads = [n for n in usable if n.tag == "h1"]
     if heads:

@@ -181,6 +181,67 @@ def test_page_text_of_sections_and_wrappers():
         assert not {"Buy", "Home", "cookies", "Other"} & set(words), page[:200]
 
 
+def test_density_equals_its_definition():
+    """Counts and densities of every node against sums over its whole subtree."""
+    rng = random.Random(13)
+
+    def made(depth):
+        if depth == 0 or rng.random() < 0.2:
+            return "x" * rng.randint(1, 30) + " "
+        tag = rng.choice(["div", "p", "a", "section", "b", "span"])
+        return f"<{tag}>" + "".join(made(depth - 1) for _ in range(rng.randint(1, 4))) + f"</{tag}>"
+
+    for _ in range(40):
+        tree = html_text._Tree()
+        tree.feed("<body>" + "".join(made(4) for _ in range(4)) + "</body>")
+        tree.close()
+        order = html_text._score(tree.root)
+
+        def below(n):
+            return [c for c in n.children if not isinstance(c, str)]
+
+        def chars(n, linked=False):
+            linked = linked or n.tag == "a"
+            own = sum(len("".join(c.split())) for c in n.children if isinstance(c, str))
+            parts = [chars(c, linked) for c in below(n)]
+            return own + sum(p[0] for p in parts), (own if linked else 0) + sum(p[1] for p in parts)
+
+        for n in order:
+            inside, todo = [], below(n)
+            while todo:
+                inside.append(todo[0])
+                todo = todo[1:] + below(todo[0])
+            # an inner link's characters are links of every node around it
+            assert n.chars == chars(n)[0]
+            assert n.links == (n.chars if n.tag == "a" else chars(n)[1])
+            assert n.tags == sum(c.tag not in html_text.FORMAT for c in inside) and n.link_tags == sum(c.tag == "a" for c in inside)
+
+
+def test_selection_and_density_decide(monkeypatch):
+    body = "".join(f"<p>{'word%d ' % i * 60}</p>" for i in range(4))
+    page = f"<body><nav><ul><li><a href=x>Home</a></li></ul></nav><div>Buy now</div><div class=x><h1>T</h1>{body}<p>short</p></div><footer>Imprint of the site</footer></body>"
+    want = html_text.main_text(page)
+    assert want.startswith("T word0") and want.endswith("short") and not {"Home", "Buy", "Imprint"} & set(want.split())
+    monkeypatch.setattr(html_text, "_main", lambda root: [root])
+    assert {"Home", "Buy", "Imprint"} <= set(html_text.main_text(page).split())
+
+
+def test_wrapped_pages_and_inline_words():
+    body = "".join(f"<p>{'word%d ' % i * 60}</p>" for i in range(3))
+    inner = f"<h1>T</h1>{body}<p>liked <span class=share>12</span> times</p>"
+    for page in (f"<body><form><div>{inner}</div></form></body>", f"<body><header><h1>T</h1></header><article>{inner[10:]}</article></body>", f"<body><nav><a href=x>N</a></nav><main>{inner}</main><aside><article><p>{'other ' * 40}</p></article></aside></body>"):
+        got = html_text.main_text(page)
+        assert got.endswith("liked 12 times") and "word0" in got and "other" not in got, page[:60]
+
+
+def test_page_rows(spark):
+    long = "<article><h1>T</h1>" + f"<p>{'a long text ' * 500}</p>" * 20 + "</article>"
+    df = spark.createDataFrame([(1, "u", None, "x"), (1, "u", None, "x"), (2, "v", "", "y"), (3, "w", long, "z")], "page_id long, url string, html string, text string")
+    got = sorted((r.page_id, r.text, r.n_chars) for r in html_text.extract(df, ["page_id", "url"]).collect())
+    assert got[:3] == [(1, "", 0), (1, "", 0), (2, "", 0)] and got[3][1].startswith("T a long") and got[3][2] == len(got[3][1]) == 1 + 20 * 6000
+    assert html_text.extract(df.limit(0), ["page_id", "url"]).count() == 0
+
+
 def test_mixing(spark):
     rows = [(i, "w " * (i % 7), ["a", "b", None][min(i % 20, 2)]) for i in range(400)]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string")
