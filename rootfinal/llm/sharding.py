@@ -1,68 +1,60 @@
 """Extendible hashing into shards of bounded bytes.
 
-A directory is indexed by leading bits of a hash of (doc_id, text). All buckets start at depth 0; only a bucket over
-the byte limit splits on its next bit. Byte sums of prefixes come from one aggregate at `step` more bits a round, so
-a round looks only at the prefixes still too large and at most 2**step of them below each.
+A directory is indexed by leading bits of a hash of (doc_id, text). All buckets start at depth 0; only a bucket over the byte
+limit splits on its next bit. The directory is a table, never a list on the driver: a round sums the bytes under each prefix of up to
+`step` more bits of the buckets still open, closes the prefixes that fit, and leaves the others open for the next round. Only the
+depths that occur, 64 at most, and the number of open buckets come to the driver.
 
-Null texts count 0 bytes. A single text over the limit, or identical rows that no bit separates, form an `oversized`
-shard of their own hash value. An empty table gives no rows.
+Null and empty texts count 0 bytes; a text of any length is one row. A single text over the limit, or identical rows that no bit
+separates, form an `oversized` shard. Ties cannot occur: a row's hash names its shard. Other columns of the input, whatever their names,
+are not read. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import written
+from .shared import discard, sized, written
 
-DEPTH_MAX = 60
+BITS = 64
 
 
-def _prefix(bits: int):
-    return F.shiftrightunsigned("h", 64 - bits) if bits else F.lit(0).cast("long")
+def _prefix(bits: int) -> Column:
+    return F.shiftrightunsigned("h", BITS - bits) if bits else F.lit(0).cast("long")
 
 
-def _leaves(sums: dict[int, int], step: int, depth: int, prefix: int, limit: int, more: set) -> list[tuple[int, int, int]]:
-    """Splits one bucket down to `step` bits, given byte sums of its finest prefixes; leaves are (depth, prefix, bytes)."""
-    levels = [sums]
-    for _ in range(step):
-        up: dict[int, int] = {}
-        for p, b in levels[-1].items():
-            up[p >> 1] = up.get(p >> 1, 0) + b
-        levels.append(up)
-    out, todo = [], [(0, prefix)]
-    while todo:
-        down, p = todo.pop()
-        size = levels[step - down].get(p, 0)
-        if size <= limit:
-            if size or p in levels[step - down]:
-                out.append((depth + down, p, size))
-        elif down < step:
-            todo += [(down + 1, 2 * p), (down + 1, 2 * p + 1)]
-        else:
-            more.add(p)
-    return out
+def _round(rows: DataFrame, depth: int, step: int, limit: int) -> DataFrame:
+    """Nodes of depth `depth` .. `depth + step` under which `rows` lie: bytes, and whether a node fits or cannot split."""
+    finest = rows.groupBy(_prefix(depth + step).alias("p")).agg(F.sum("n_bytes").alias("b"), F.min("h").alias("a"), F.max("h").alias("z"))
+    levels = F.sequence(F.lit(0 if depth == 0 else 1), F.lit(step))
+    nodes = finest.withColumn("down", F.explode(levels)).withColumn("up", F.lit(step) - F.col("down"))
+    nodes = nodes.withColumn("prefix", F.when(F.col("down") + depth == 0, 0).otherwise(F.expr("shiftrightunsigned(p, up)")).cast("long"))
+    nodes = nodes.groupBy((F.col("down") + depth).alias("depth"), "prefix").agg(F.sum("b").alias("shard_bytes"), F.min("a").alias("a"), F.max("z").alias("z"))
+    return nodes.withColumn("closed", (F.col("shard_bytes") <= limit) | (F.col("a") == F.col("z")))
 
 
-def build_directory(hashed: DataFrame, limit: int, step: int = 12) -> list[tuple[int, int, int]]:
-    """Leaves of the directory; their number is about the bytes over the limit, never the number of documents."""
-    leaves, open_buckets, depth = [], {0}, 0
-    while open_buckets and depth < DEPTH_MAX:
-        rows = hashed if depth == 0 else hashed.where(_prefix(depth).isin(sorted(open_buckets)))
-        sums: dict[int, dict[int, int]] = {}
-        for r in rows.groupBy(_prefix(depth + step).alias("p")).agg(F.sum("n_bytes").alias("b")).toLocalIterator():
-            sums.setdefault(r.p >> step, {})[r.p] = r.b
-        more: set[int] = set()
-        for prefix, own in sums.items():
-            leaves += _leaves(own, step, depth, prefix, limit, more)
-        # one row, or rows of one hash, cannot be split further
+def directory(spark: SparkSession, hashed: DataFrame, limit: int, step: int = 8) -> DataFrame:
+    """depth, prefix, shard_bytes, oversized of the leaves."""
+    leaves, open_buckets, depth = None, None, 0
+    while depth < BITS:
+        rows = hashed
+        if open_buckets is not None:
+            rows = hashed.join(sized(open_buckets), _prefix(depth) == F.col("open"), "left_semi")
+        nodes = written(spark, _round(rows, depth, step, limit), "shard-nodes")
+        shut = nodes.where("closed").select((F.col("depth") + 1).alias("depth"), F.col("prefix").alias("above")).hint("merge")
+        # a leaf is closed and its parent is not; parents of the round's first level were left open by the round before
+        child = nodes.where("closed").withColumn("above", F.shiftrightunsigned("prefix", 1))
+        found = child.join(shut, ["depth", "above"], "left_anti").select("depth", "prefix", "shard_bytes", (F.col("shard_bytes") > limit).alias("oversized"))
+        found = written(spark, found, "shard-leaves")
+        leaves = found if leaves is None else leaves.unionByName(found)
         depth += step
-        if more:
-            alone = hashed.where(_prefix(depth).isin(sorted(more))).groupBy(_prefix(depth).alias("p")).agg(F.min("h").alias("a"), F.max("h").alias("z"), F.sum("n_bytes").alias("b")).where("a = z")
-            for r in alone.toLocalIterator():
-                leaves.append((depth, r.p, r.b))
-                more.discard(r.p)
-        open_buckets = more
+        before, open_buckets = open_buckets, written(spark, nodes.where((F.col("depth") == depth) & ~F.col("closed")).select(F.col("prefix").alias("open")), "shard-open")
+        discard(spark, nodes)
+        if before is not None:
+            discard(spark, before)
+        if open_buckets.isEmpty():
+            break
     return leaves
 
 
@@ -70,11 +62,9 @@ def shard(spark: SparkSession, docs: DataFrame, limit: int) -> DataFrame:
     """doc_id, n_bytes, shard (its bits), depth, shard_bytes, oversized."""
     hashed = docs.select("doc_id", F.xxhash64("doc_id", "text").alias("h"), F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"))
     hashed = written(spark, hashed, "shard-hash")
-    leaves = build_directory(hashed, limit)
-    rows = [(d, p, b, b > limit) for d, p, b in leaves]
-    directory = spark.createDataFrame(rows, "depth int, prefix long, shard_bytes long, oversized boolean")
-    depths = sorted({d for d, *_ in leaves}) or [0]
+    leaves = directory(spark, hashed, limit)
+    depths = sorted(r.depth for r in leaves.select("depth").distinct().collect()) or [0]
     # one row finds its leaf by its prefix at each depth that occurs; exactly one of them is a leaf
     keyed = hashed.withColumn("k", F.explode(F.array(*[F.struct(F.lit(d).alias("depth"), _prefix(d).alias("prefix")) for d in depths]))).select("doc_id", "n_bytes", "k.depth", "k.prefix")
-    side = F.broadcast(directory) if len(rows) <= 1_000_000 else directory
-    return keyed.join(side, ["depth", "prefix"]).select("doc_id", "n_bytes", F.when(F.col("depth") == 0, "").otherwise(F.lpad(F.bin("prefix"), F.col("depth"), F.lit("0"))).alias("shard"), "depth", "shard_bytes", "oversized")
+    found = keyed.join(sized(leaves, 1_000_000), ["depth", "prefix"])
+    return found.select("doc_id", "n_bytes", F.when(F.col("depth") == 0, "").otherwise(F.lpad(F.bin("prefix"), F.col("depth"), F.lit("0"))).alias("shard"), "depth", "shard_bytes", "oversized")
