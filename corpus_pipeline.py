@@ -8,13 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 from rootfinal.llm import bpe_codec, mixing, near_copies, personal_data, quality
 from rootfinal.llm.queries import tokenizer_path
-from rootfinal.llm.shared import shared_dir, table
+from rootfinal.llm.shared import finished, intermediates, shared_dir, table
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the current policy keeps."""
-    kept = quality.apply_policy(quality.ledger(docs, docs.columns)).where("kept")
-    return kept.select(*docs.columns)
+    return quality.good(docs)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,10 +40,17 @@ STAGES = [("quality_rules", quality_rules), ("near_dedup", near_dedup), ("redact
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+def run(spark: SparkSession, sf_dir: str, folder: str | None = None) -> DataFrame:
+    """The last stage's rows. With a shared `folder`, stages that a run before this one finished there are read, not run again.
+
+    What a stage wrote on its way goes once its result is written.
+    """
     docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES:
-        path = f"{shared_dir(spark)}/pipeline-{name}-{uuid.uuid4().hex}"
-        stage(spark, docs, sf_dir).write.parquet(path)
+    folder = folder or f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
+    for i, (name, stage) in enumerate(STAGES):
+        path = f"{folder}/{i}-{name}"
+        if not finished(spark, path):
+            with intermediates(spark):
+                stage(spark, docs, sf_dir).write.mode("overwrite").parquet(path)
         docs = spark.read.parquet(path)
     return docs

@@ -1,8 +1,8 @@
 """BPE encoding and decoding by the merge automaton.
 
 `encode_ids` gives the ids of every row and `decode_ids` their text again; digests of both are a view over these.
-Null and empty texts encode to no ids. Rows, also repeated ones, are independent; columns of the input other
-than the text pass through untouched, and outputs get names of their own.
+Null and empty texts encode to no ids; texts of any length are taken whole. Rows, also repeated ones, are independent, so ties
+cannot occur; an empty table gives no rows. A kept column named like an output gets `_in` behind its name.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .merge_automaton import automaton
-from .shared import slices, text_array
+from .shared import carried, slices, text_array
 from .vocabulary import byte_letters, library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
@@ -56,7 +56,7 @@ def word_encoder(path: str):
 
 def encode_ids(df: DataFrame, path: str, keep: list[str], text: str = "text") -> DataFrame:
     """`keep` columns plus n_tokens and ids of the whole text."""
-    base = df.select(*keep, F.col(text).alias("__text"))
+    base = df.select(*carried(keep, ["n_tokens", "ids", "decoded", "ids_sha256", "decoded_sha256"]), F.col(text).alias("__text"))
     schema = T.StructType([*base.schema.fields[:-1], T.StructField("n_tokens", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

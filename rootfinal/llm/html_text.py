@@ -13,7 +13,7 @@ such nodes outside of it are rejected at any density. A class word on a wrapper
 
 Null and empty pages, and those without text, give an empty text; pages of any length are read whole. Broken markup is read as a
 browser would: unclosed paragraphs end at the next block, stray end tags are passed over. Of equal sums the node with more
-characters wins, then the first. Rows are independent, repeated ones too; an empty table gives no rows. Only the named columns are carried.
+characters wins, then the first. Rows are independent, repeated ones too; an empty table gives no rows. A kept column named like an output gets `_in` behind its name.
 """
 
 from __future__ import annotations
@@ -28,6 +28,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .shared import carried
+
 # fixed values: HTML element names by role
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr b bdi bdo cite code data dfn em font i kbd mark q s samp small span strong sub sup time tt u var wbr del ins label big strike acronym".split())
@@ -257,7 +259,7 @@ def main_text(html: str) -> str:
 
 
 def extract(pages: DataFrame, keep: list[str], html: str = "html") -> DataFrame:
-    base = pages.select(*keep, F.col(html).alias("__html"))
+    base = pages.select(*carried(keep, ["text", "n_chars"]), F.col(html).alias("__html"))
     schema = T.StructType([*base.schema.fields[:-1], T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -9,7 +9,8 @@ word lies within the target. A source's weight moves over the run as 1 + slope *
 t + slope * (t*t - t) is inverted at the middle word of each copy, one pass further for each further copy, which is
 the copy's training position in [0, 1].
 
-Null texts have size 0 and are never short of their source; identical rows tie and fare alike up to their order, which changes no row.
+Null and empty texts have size 0 and are never taken; a text of any length counts whole. Identical rows tie and fare alike up to their
+order, which changes no row; an empty table gives no rows. `mix` packs a document's own columns, so none of them can clash.
 Running sums are two-level (blocks of a source by leading hash digits), so a hot source is spread over tasks.
 """
 

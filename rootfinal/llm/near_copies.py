@@ -351,9 +351,9 @@ def drop_copies(spark: SparkSession, docs: DataFrame) -> DataFrame:
     Rows with a null doc_id stay.
     """
     found = classes(spark, docs).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("kept").alias("kept"), F.count("*").alias("n"))
-    found = written(spark, found.where("NOT kept OR n > 1").select(F.col("doc_id").alias("__id"), "kept"), "omh-gone")
-    stay = docs.join(sized(found), F.col("doc_id").cast("long") == F.col("__id"), "left_anti")
+    found = written(spark, found.where("NOT kept OR n > 1").select(F.col("doc_id").alias("__near_id"), "kept"), "omh-gone")
+    stay = docs.join(sized(found), F.col("doc_id").cast("long") == F.col("__near_id"), "left_anti")
     whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
-    again = docs.select(F.col("doc_id").cast("long").alias("__id"), whole.alias("__row")).join(sized(found.where("kept")), "__id", "left_semi")
-    again = again.groupBy("__id").agg(F.min_by("__row", F.to_json("__row")).alias("__row")).select("__row.*")
+    again = docs.select(F.col("doc_id").cast("long").alias("__near_id"), whole.alias("__near_row")).join(sized(found.where("kept")), "__near_id", "left_semi")
+    again = again.groupBy("__near_id").agg(F.min_by("__near_row", F.to_json("__near_row")).alias("__near_row")).select("__near_row.*")
     return stay.unionByName(again)

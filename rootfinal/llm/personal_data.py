@@ -1,8 +1,11 @@
 """Personal data: patterns propose, checksums confirm, context words adjust a score.
 
 Base kinds are email, ip, card (Luhn) and phone. The method adds account numbers (iban, mod-97) and, where a
-nearby context word lifts their score over the threshold, identity numbers (nnn-nn-nnnn). Base spans always stay.
-Offsets are code points, ends exclusive. Null and empty texts have no spans.
+nearby context word lifts their score over the threshold, identity numbers (nnn-nn-nnnn). Base spans always stay, and the
+score of every span, raised by context words beside it, stands in `scores`. Offsets are code points, ends exclusive.
+
+Null and empty texts have no spans; texts of any length are searched whole. Spans that start together stand in the order of their
+kinds. Rows, also repeated ones, are independent; an empty table gives no rows. A kept column named like an output gets `_in` behind its name.
 """
 
 from __future__ import annotations
@@ -16,6 +19,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .shared import carried
+
 BASE = ("email", "ip", "card", "phone")
 KINDS = (*BASE, "iban", "idnum")
 # fixed values: words that make a span near them likelier
@@ -135,8 +140,8 @@ def _joined(spans) -> str:
 
 
 def span_table(df: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
-    base = df.select(*keep, F.col(text).alias("__text"))
-    extra = [*(T.StructField(f"n_{k}", T.LongType()) for k in BASE), *(T.StructField(c, T.StringType()) for c in ("base_sha256", "spans"))]
+    extra = [*(T.StructField(f"n_{k}", T.LongType()) for k in BASE), *(T.StructField(c, T.StringType()) for c in ("base_sha256", "spans")), T.StructField("scores", T.ArrayType(T.DoubleType()))]
+    base = df.select(*carried(keep, [f.name for f in extra]), F.col(text).alias("__text"))
     schema = T.StructType([*base.schema.fields[:-1], *extra])
 
     def run(batches):
@@ -145,9 +150,9 @@ def span_table(df: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
             for t in batch.column("__text"):
                 spans = find_spans(t.as_py() or "")
                 own = [s for s in spans if s[0] in BASE]
-                rows.append((*(sum(s[0] == k for s in own) for k in BASE), hashlib.sha256(_joined(own).encode()).hexdigest(), _joined(spans)))
-            columns = zip(*rows, strict=True) if rows else [[]] * 6
-            types = [pa.int64()] * 4 + [pa.string()] * 2
+                rows.append((*(sum(s[0] == k for s in own) for k in BASE), hashlib.sha256(_joined(own).encode()).hexdigest(), _joined(spans), [s[3] for s in spans]))
+            columns = zip(*rows, strict=True) if rows else [[]] * 7
+            types = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.list_(pa.float64())]
             yield pa.RecordBatch.from_arrays([*[batch.column(i) for i in range(len(keep))], *[pa.array(c, t) for c, t in zip(columns, types, strict=True)]], names=[f.name for f in schema])
 
     return base.mapInArrow(run, schema)

@@ -1,7 +1,9 @@
 """Rule bitmask ledger: every rule is evaluated once, its failure is a bit, its measurement stays beside it.
 
 A versioned policy is a mask of rules that reject. Verdicts and ablations are bit operations on the ledger; no text
-is read again. A null text has no words, so it fails the base rules. Words are runs without ASCII white space.
+is read again. A null or empty text has no words, so it fails the base rules; a text of any length is measured whole. Words are runs
+without ASCII white space. Rows, also repeated ones, are judged alone, so ties cannot occur; an empty table gives no rows.
+A kept column named like an output gets `_in` behind its name.
 """
 
 from __future__ import annotations
@@ -14,6 +16,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .shared import carried
+
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_distinct", "n_upper", "n_block_distinct")
 BLOCK = 2000  # words
 # rule -> condition on the measures under which a text fails; the position is the bit
@@ -27,6 +31,7 @@ RULES = {
     "shouting": "2 * n_upper > word_chars",
 }
 BASE_MASK = 0b11
+OUTPUTS = [*MEASURES, "failed_bits", "base_failed", "kept"]
 POLICIES = {1: BASE_MASK, 2: (1 << len(RULES)) - 1}
 
 
@@ -61,7 +66,7 @@ def measure(text: str) -> tuple[int, ...]:
 
 def ledger(df: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
     """`keep`, the measures and `failed_bits`."""
-    base = df.select(*keep, F.col(text).alias("__text"))
+    base = df.select(*carried(keep, OUTPUTS), F.col(text).alias("__text"))
     schema = T.StructType([*base.schema.fields[:-1], *(T.StructField(m, T.LongType()) for m in MEASURES)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -79,6 +84,12 @@ def apply_policy(rows: DataFrame, version: int = 2) -> DataFrame:
     return rows.withColumn("base_failed", F.col("failed_bits").bitwiseAND(BASE_MASK) != 0).withColumn("kept", F.col("failed_bits").bitwiseAND(mask | BASE_MASK) == 0)
 
 
+def good(docs: DataFrame, version: int = 2) -> DataFrame:
+    """The rows of `docs` that a policy keeps, with their own columns."""
+    rows = apply_policy(ledger(docs, docs.columns), version).where("kept")
+    return rows.select(*[f"`{c}`" for c in rows.columns[: len(docs.columns)]]).toDF(*docs.columns)
+
+
 def ablations(rows: DataFrame, version: int = 2) -> DataFrame:
     """For each rule of the policy: texts it fails, and texts that only it fails."""
     mask = POLICIES[version] | BASE_MASK

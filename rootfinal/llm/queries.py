@@ -93,3 +93,9 @@ k AS (SELECT *, unnest(generate_series(1, copies)) AS copy FROM e),
 m AS (SELECT *, (mid + (copy - 1) * source_size) / target AS d FROM k)
 SELECT doc_id, source, size, copy, 2 * d / (1 - a + sqrt((1 - a) * (1 - a) + 4 * a * d)) AS position FROM m
 """
+ORACLE_SQL["op9_vector_links"] = """
+WITH RECURSIVE v AS (SELECT vec_id, CAST(embedding AS double[]) AS e FROM embeddings),
+l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.vec_id <> b.vec_id AND len(a.e) = len(b.e) AND list_cosine_similarity(a.e, b.e) >= 0.9),
+r AS (SELECT vec_id AS n, vec_id AS c FROM v UNION SELECT l.a, r.c FROM r JOIN l ON l.b = r.n)
+SELECT v.vec_id, (SELECT count(*) FROM l WHERE l.a = v.vec_id) AS n_links, min(r.c) AS component_id, v.vec_id = min(r.c) AS kept FROM v JOIN r ON r.n = v.vec_id GROUP BY v.vec_id
+"""

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -51,6 +52,12 @@ def _delete(spark: SparkSession, path: str) -> None:
     at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
+def finished(spark: SparkSession, path: str) -> bool:
+    """Whether a table was written there to its end."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(at)
+
+
 def discard(spark: SparkSession, table: DataFrame) -> None:
     """Delete a table of `written` that no later step and no result reads."""
     path = getattr(table, "written_path", None)
@@ -59,6 +66,17 @@ def discard(spark: SparkSession, table: DataFrame) -> None:
         _delete(spark, path)
 
 
+@contextlib.contextmanager
+def intermediates(spark: SparkSession):
+    """Deletes, at its end, the tables that `written` made inside; for work whose result is itself written by then."""
+    app = spark.sparkContext.applicationId
+    before = set(_written.get(app, []))
+    yield
+    for path in [p for p in _written.get(app, []) if p not in before]:
+        _written[app].remove(path)
+        _delete(spark, path)
+
+
 def drop_written(spark: SparkSession) -> int:
     """Delete the intermediate tables of this application; results not yet read become unreadable."""
     paths = _written.pop(spark.sparkContext.applicationId, [])
@@ -88,6 +106,18 @@ def code_point_words(column: str):
     return F.coalesce(F.expr(f"regexp_count({column}, '[^\\\\x20\\\\x09-\\\\x0D]+')"), F.lit(0)).cast("long")
 
 
+def carried(keep: list[str], outputs: list[str]) -> list:
+    """The kept columns; one that is named like an output (in any case) or like another gets `_in` behind its name."""
+    taken, out = {o.lower() for o in (*outputs, "__text", "__html")}, []
+    for k in keep:
+        name = k
+        while name.lower() in taken:
+            name += "_in"
+        taken.add(name.lower())
+        out.append(F.col(f"`{k}`").alias(name))
+    return out
+
+
 def text_array(column: pa.Array) -> pa.Array:
     """The strings of a batch column, null as empty."""
     return pc.fill_null(column, "")

@@ -16,7 +16,7 @@ leaves with; a chunk without a mark is all head. Composing neighbours runs the r
 last state, and a prefix sum over all transitions gives every text its count. Every text goes this way, whatever its length.
 
 Null and empty texts count 0; rows, also repeated ones, are independent, so ties cannot occur; an empty table gives no
-rows. Columns of the input named like an output are not carried.
+rows. A kept column named like an output gets `_in` behind its name.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .merge_automaton import automaton
-from .shared import slices, text_array
+from .shared import carried, slices, text_array
 from .vocabulary import library_tokenizer, vocabulary
 
 CHUNK = 512  # bytes
@@ -331,7 +331,7 @@ def counter(path: str) -> TokenCounter:
 
 def count_tokens(df: DataFrame, path: str, keep: list[str], text: str = "text", limit: int = 1024) -> DataFrame:
     """`keep` plus n_bytes, n_tokens and over_limit (n_tokens > limit)."""
-    base = df.select(*keep, F.col(text).alias("__text"))
+    base = df.select(*carried(keep, ["n_bytes", "n_tokens", "over_limit"]), F.col(text).alias("__text"))
     schema = T.StructType([*base.schema.fields[:-1], T.StructField("n_bytes", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("over_limit", T.BooleanType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -1,6 +1,9 @@
 import hashlib
+import os
 import random
+import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -156,6 +159,98 @@ def test_shards(spark):
     assert sharding.shard(spark, df.limit(0), 400).count() == 0
 
 
+def test_shards_equal_a_directory_split_bit_by_bit(spark):
+    df = spark.range(400).select((F.col("id") % 350).alias("doc_id"), F.repeat(F.lit("y"), (F.col("id") * 7 % 40).cast("int")).alias("text"), F.lit("x").alias("shard"))
+    df = df.unionByName(spark.sql("SELECT 5000L AS doc_id, 'same text of some bytes' AS text, 'x' AS shard FROM range(30)"))
+    hashed = [(r.doc_id, r.h % (1 << 64), len(r.text)) for r in df.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("h")).collect()]
+    want = []
+
+    def split(rows, depth):
+        total = sum(n for *_, n in rows)
+        if total <= 300 or len({h for _, h, _ in rows}) == 1:
+            bits = f"{rows[0][1]:064b}"[:depth]
+            want.extend((i, n, bits, depth, total, total > 300) for i, _, n in rows)
+            return
+        for side in (0, 1):
+            part = [r for r in rows if r[1] >> (63 - depth) & 1 == side]
+            if part:
+                split(part, depth + 1)
+
+    split(hashed, 0)
+    assert sorted(tuple(r) for r in sharding.shard(spark, df, 300).collect()) == sorted(want)
+
+
+def naive_spans(text):
+    """The base kinds by their own words, one plain pass each."""
+    ascii_digits = lambda x: [c for c in x if c in "0123456789"]
+    rules = [
+        ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda x: True),
+        ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda x: all(int(p) <= 255 for p in x.split("."))),
+        ("card", r"[0-9]([\x20-]?[0-9])+", lambda x: 12 <= len(ascii_digits(x)) <= 19 and personal_data.luhn("".join(ascii_digits(x)))),
+        ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", lambda x: 9 <= len(ascii_digits(x)) <= 15),
+    ]
+    found = [(m.start(), i, f"{kind}:{m.start()}:{m.end()}") for i, (kind, rx, ok) in enumerate(rules) for m in re.finditer(rx, text) if ok(m.group())]
+    return [x for *_, x in sorted(found)]
+
+
+def test_personal_data_equals_plain_patterns(spark):
+    rng = random.Random(14)
+    bits = ["a", "b.c", "@", "x.de", " ", "-", "+49", "0", "7", "4111 1111 1111 1111", "10.0.0.1", "256.1.1.1", "(30)", ".", "1234567", "é", "\n", "+1 (555) 123-4567"]
+    texts = ["".join(rng.choice(bits) for _ in range(rng.randint(0, 30))) for _ in range(1500)]
+    real = [r.text for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()]
+    df = spark.createDataFrame([(i, t, 7) for i, t in enumerate([*texts, *real, None, None])], "doc_id long, text string, spans int")
+    for r in personal_data.span_table(df, ["doc_id", "spans"]).collect():
+        text = ([*texts, *real, None, None][r.doc_id]) or ""
+        want = naive_spans(text)
+        assert r.base_sha256 == hashlib.sha256(",".join(want).encode()).hexdigest(), text
+        assert (r.n_email, r.n_ip, r.n_card, r.n_phone) == tuple(sum(w.startswith(k) for w in want) for k in personal_data.BASE)
+        assert r.spans_in == 7 and len(r.scores) == len([x for x in r.spans.split(",") if x])
+    near = personal_data.find_spans("call +49 30 1234567"), personal_data.find_spans("zzzz +49 30 1234567")
+    assert near[0][0][3] > near[1][0][3]
+
+
+def test_quality_equals_plain_counting(spark):
+    rng = random.Random(15)
+    texts = ["".join(rng.choice(["a ", "b ", "c# ", "\n", "D\t", " \u3000", "é "]) for _ in range(rng.randint(0, 120))) for _ in range(300)] + [None, "", " ", "w " * 70_000]
+    df = spark.createDataFrame([(i, t, 1, 2) for i, t in enumerate(texts)], "doc_id long, text string, n_words int, kept int")
+    for r in quality.ledger(df, df.columns).collect():
+        t = texts[r.doc_id] or ""
+        words = re.findall(r"[^\x20\x09-\x0D]+", t)
+        windows = [tuple(words[i : i + 3]) for i in range(len(words) - 2)]
+        often = Counter(windows)
+        repeated = {j for i, w in enumerate(windows) if often[w] > 1 for j in range(i, i + 3)}
+        lines, seen = 0, set()
+        for line in t.split("\n"):
+            if re.search(r"[^\x20\x09-\x0D]", line):
+                lines += line in seen
+                seen.add(line)
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == (len(words), sum(map(len, words)), len(re.findall(r"[#*$%&|<>]", t)) if words else 0, lines, len(repeated))
+    assert quality.good(df).columns == df.columns and quality.good(df.limit(0)).count() == 0
+
+
+def test_pipeline_stages(spark, tmp_path):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").withColumn("n_words", F.lit(1)).withColumn("position", F.lit(2))
+    docs = docs.unionByName(docs.where("doc_id < 50")).unionByName(docs.where("doc_id = 3").withColumn("text", F.lit(None).cast("string")))
+    at = docs
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        at = stage(spark, at, "")
+        assert at.columns == docs.columns, name
+        at.write.parquet(str(tmp_path / name))
+        at = spark.read.parquet(str(tmp_path / name))
+    kept = {r.doc_id: r for r in spark.read.parquet(str(tmp_path / "quality_rules")).collect()}
+    judged = quality.apply_policy(quality.ledger(docs, ["doc_id"])).where("kept").select("doc_id").distinct().collect()
+    assert set(kept) == {r.doc_id for r in judged}
+    single = [r.doc_id for r in spark.read.parquet(str(tmp_path / "near_dedup")).collect()]
+    assert len(single) == len(set(single)) and set(single) <= set(kept)
+    red = spark.read.parquet(str(tmp_path / "redact_personal_data")).collect()
+    assert all(not personal_data.find_spans(r.text) or "<" in r.text for r in red) and len(red) == len(single)
+    folder = str(tmp_path / "run")
+    first = corpus_pipeline.run(spark, "/root/testdata/sf0.001", folder).orderBy("doc_id").collect()
+    stamp = os.path.getmtime(f"{folder}/1-near_dedup/_SUCCESS")
+    assert corpus_pipeline.run(spark, "/root/testdata/sf0.001", folder).orderBy("doc_id").collect() == first
+    assert os.path.getmtime(f"{folder}/1-near_dedup/_SUCCESS") == stamp
+
+
 def test_page_text():
     html = "<body><nav><a href=x>Home</a></nav><div class=ad>Buy</div><div id=main><h1>T &amp; x</h1><p><b>Bold</b> some  long text here<p>More text of the page<script>var</script></div><footer>f</footer></body>"
     assert html_text.main_text(html) == "T & x Bold some long text here More text of the page"
