@@ -18,10 +18,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .merge_automaton import automaton
-from .shared import carried, slices, text_array
+from .shared import carried, slices, text_array, trimmed
 from .vocabulary import byte_letters, library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
+SLICE = 3 << 20  # bytes of text encoded at once
 DECODE_IDS = 1 << 20  # ids whose labels are held at once
 _CODE = {letter: b for b, letter in enumerate(byte_letters())}
 
@@ -63,14 +64,14 @@ def encode_ids(df: DataFrame, path: str, keep: list[str], text: str = "text") ->
         store, special = WordStore(word_encoder(path)), vocabulary(path).special
         for batch in batches:
             texts = text_array(batch.column("__text"))
-            for low, high in slices(texts):
+            for low, high in slices(texts, SLICE):
                 ids, counts = encode_texts(store, texts.slice(low, high - low), special)
                 ends = np.concatenate([[0], np.cumsum(counts)])
                 part = batch.slice(low, high - low)
                 lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids, pa.int32()))
                 yield pa.RecordBatch.from_arrays([*[part.column(i) for i in range(len(keep))], pa.array(counts, pa.int64()), lists], names=[f.name for f in schema])
 
-    return base.mapInArrow(run, schema)
+    return base.mapInArrow(trimmed(run), schema)
 
 
 def _parts(batch: pa.RecordBatch, place: int) -> Iterator[tuple[pa.RecordBatch, pa.ListArray]]:

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import discard, shuffle_width, sized, written
+from .shared import discard, shuffle_width, sized, trimmed, written
 
 K, LEAST, SKETCHES, SIMILAR, SEED = 5, 3, 12, 0.8, 10
 CELL, SLOTS, LIKELY = 512, 64, 36
@@ -47,7 +47,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
 
 class _Words(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 200_000:
+        if len(self) > 100_000:
             self.clear()
         h = self[word] = xxhash.xxh3_64_intdigest(word)
         return h
@@ -296,7 +296,7 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, class_id, kept: one row for each row of `docs`."""
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     known = base.where("doc_id IS NOT NULL")
-    sketched = written(spark, known.mapInArrow(_sketch, "doc_id long, print binary, bands array<long>"), "omh-sketch")
+    sketched = written(spark, known.mapInArrow(trimmed(_sketch), "doc_id long, print binary, bands array<long>"), "omh-sketch")
     half = F.conv(F.hex(F.substring("print", 1, 8)), 16, -10).cast("long").alias("half")
     one = sketched.groupBy("print").agg(F.min("doc_id").alias("rep"), F.min("bands").alias("bands"))
     first = written(spark, one.select("print", "rep", half, "bands"), "omh-first")
@@ -311,15 +311,15 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     placed = written(spark, members.join(buckets, "key"), "omh-placed")
     wanted = placed.select("rep", "half").distinct()
     ids = written(spark, wanted.select(F.col("rep").alias("doc_id")).distinct(), "omh-wanted")
-    texts = known.join(sized(ids), "doc_id", "left_semi").mapInArrow(_word_rows, "rep long, half long, words binary, marks binary, size int")
+    texts = known.join(sized(ids), "doc_id", "left_semi").mapInArrow(trimmed(_word_rows), "rep long, half long, words binary, marks binary, size int")
     words = written(spark, texts.dropDuplicates(["rep", "half"]), "omh-words")
     discard(spark, members)
     pairs = placed.where(text != F.col("lead")).select(F.col("lead.rep").alias("rep_a"), F.col("lead.half").alias("half_a"), F.col("rep").alias("rep_b"), F.col("half").alias("half_b")).distinct()
     sides = (["rep_a", "half_a"], ["rep_b", "half_b"])
     signed = pairs.join(_of(words, "a", "marks"), sides[0]).join(_of(words, "b", "marks"), sides[1])
-    likely = written(spark, signed.select("rep_a", "half_a", "rep_b", "half_b", "marks_a", "marks_b").mapInArrow(_likely, "rep_a long, half_a long, rep_b long, half_b long"), "omh-likely")
+    likely = written(spark, signed.select("rep_a", "half_a", "rep_b", "half_b", "marks_a", "marks_b").mapInArrow(trimmed(_likely), "rep_a long, half_a long, rep_b long, half_b long"), "omh-likely")
     loaded = likely.join(_of(words, "a", "words"), sides[0]).join(_of(words, "b", "words"), sides[1])
-    linked = written(spark, loaded.select("rep_a", "rep_b", "words_a", "words_b").mapInArrow(_verify, "rep_a long, rep_b long"), "omh-linked")
+    linked = written(spark, loaded.select("rep_a", "rep_b", "words_a", "words_b").mapInArrow(trimmed(_verify), "rep_a long, rep_b long"), "omh-linked")
     discard(spark, likely)
     # groups so far: linked texts, and the texts of rows that share a doc_id
     copies = sketched.select("doc_id", "print").join(first.select("print", "rep").hint("merge"), "print").select("doc_id", "rep")
@@ -334,9 +334,9 @@ def classes(spark: SparkSession, docs: DataFrame) -> DataFrame:
     width = max(2, shuffle_width(spark))
     marked = rest.join(words.select("rep", "half", "marks", "size").hint("merge"), ["rep", "half"])
     cell = "key long, bi int, bj int, rep long, half long, grp long, mine int"
-    needed = written(spark, _in_cells(marked.select(*_CELL_KEY, "rep", "half", "grp", "mine", "marks", "size"), width).mapInArrow(_by_cell(_screened), cell), "omh-needed")
+    needed = written(spark, _in_cells(marked.select(*_CELL_KEY, "rep", "half", "grp", "mine", "marks", "size"), width).mapInArrow(trimmed(_by_cell(_screened)), cell), "omh-needed")
     dealt = _in_cells(needed.join(words.select("rep", "half", "words").hint("merge"), ["rep", "half"]).select(*_CELL_KEY, "rep", "half", "grp", "mine", "words"), width)
-    across = written(spark, dealt.mapInArrow(_by_cell(_joined_groups), "a long, b long"), "omh-across")
+    across = written(spark, dealt.mapInArrow(trimmed(_by_cell(_joined_groups)), "a long, b long"), "omh-across")
     joined = components(spark, across)
     out = written(spark, _named(joined, _named(groups, copies.select("doc_id", F.col("rep").alias("class_id")), "class_id"), "class_id").groupBy("doc_id").agg(F.min("class_id").alias("class_id")), "omh-classes")
     for done in (ids, placed, words, linked, labelled, needed, across, first, sketched, groups, joined):

@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import contextlib
+import ctypes
+import functools
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -134,6 +136,29 @@ def slices(texts: pa.Array, max_bytes: int = 8 << 20) -> Iterator[tuple[int, int
         low = high
 
 
+@functools.cache
+def _trim():
+    """The C library's call that gives freed memory back, or None."""
+    try:
+        return ctypes.CDLL(None).malloc_trim
+    except (OSError, AttributeError):
+        return None
+
+
+def trimmed(run: Callable) -> Callable:
+    """`run` over a task's batches; what it freed goes back to the system at its end, as workers live on between tasks."""
+
+    def inner(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            if _trim() is not None:
+                _trim()(0)
+
+    return inner
+
+
 def ragged(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """Positions of concatenated runs: `starts[i], starts[i]+1, ...` for `lengths[i]` steps each."""
     total = int(lengths.sum())
