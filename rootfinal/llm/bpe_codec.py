@@ -22,7 +22,7 @@ from .shared import carried, slices, text_array, trimmed
 from .vocabulary import byte_letters, library_tokenizer, vocabulary
 from .word_store import WordStore, encode_texts
 
-SLICE = 3 << 20  # bytes of text encoded at once
+SLICE, STORE_WORDS = 2 << 20, 120_000  # bytes of text encoded at once, words kept between slices
 DECODE_IDS = 1 << 20  # ids whose labels are held at once
 _CODE = {letter: b for b, letter in enumerate(byte_letters())}
 
@@ -61,7 +61,7 @@ def encode_ids(df: DataFrame, path: str, keep: list[str], text: str = "text") ->
     schema = T.StructType([*base.schema.fields[:-1], T.StructField("n_tokens", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store, special = WordStore(word_encoder(path)), vocabulary(path).special
+        store, special = WordStore(word_encoder(path), STORE_WORDS), vocabulary(path).special
         for batch in batches:
             texts = text_array(batch.column("__text"))
             for low, high in slices(texts, SLICE):
