@@ -19,7 +19,7 @@ from pyspark.sql import types as T
 
 from .merge_automaton import automaton
 from .shared import carried, slices, text_array, trimmed
-from .vocabulary import byte_letters, library_tokenizer, vocabulary
+from .vocabulary import byte_letters, library_splitter, vocabulary
 from .word_store import WordStore, encode_texts
 
 SLICE, STORE_WORDS = 2 << 20, 120_000  # bytes of text encoded at once, words kept between slices
@@ -29,7 +29,7 @@ _CODE = {letter: b for b, letter in enumerate(byte_letters())}
 
 def word_encoder(path: str):
     """Encodes white-space free words: the library's normalizer and splitter, then the automaton's arcs."""
-    tokenizer, auto, special = library_tokenizer(path), automaton(path), vocabulary(path).special
+    tokenizer, auto, special = library_splitter(path), automaton(path), vocabulary(path).special
 
     def encode(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         pieces: list[bytes] = []

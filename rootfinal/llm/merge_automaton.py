@@ -207,9 +207,15 @@ class MergeAutomaton:
                     out[v] = out[fail[v]]
                 queue.append(v)
         self.trie = IntTable(np.fromiter(arcs.keys(), np.int64, len(arcs)), np.fromiter(arcs.values(), np.int64, len(arcs)))
-        self._arcs = arcs
         self.fail, self.out, self.shorter = (np.array(v, np.int64) for v in (fail, out, shorter))
 
+    @functools.cached_property
+    def _arcs(self) -> dict[int, int]:
+        """The trie's arcs for steps one by one, parents first; made when the first long word needs them."""
+        held = np.flatnonzero(self.trie.keys >= 0)
+        held = held[np.argsort(self.trie.values[held])]
+        return dict(zip(self.trie.keys[held].tolist(), self.trie.values[held].tolist(), strict=True))
+
     # -- encoding ---------------------------------------------------------------------------------
 
     def symbols_of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:

@@ -27,15 +27,15 @@ class Vocabulary:
 
     def __init__(self, spec: dict):
         model = spec["model"]
-        self.ids: dict[str, int] = model["vocab"]
+        ids: dict[str, int] = model["vocab"]
         self.suffix: str = model.get("end_of_word_suffix") or ""
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
-        self.labels = [""] * (max([*self.ids.values(), *self.special.values()]) + 1)
-        for label, i in (self.ids | self.special).items():
+        self.labels = [""] * (max([*ids.values(), *self.special.values()]) + 1)
+        for label, i in (ids | self.special).items():
             self.labels[i] = label
         value = {letter: b for b, letter in enumerate(byte_letters())}
         self.symbols: dict[int, tuple[int, ...]] = {}
-        for label, i in self.ids.items():
+        for label, i in ids.items():
             body = label[: -len(self.suffix)] if self.suffix and label.endswith(self.suffix) and label != self.suffix else label
             if label in self.special or any(c not in value for c in body):
                 continue
@@ -45,7 +45,7 @@ class Vocabulary:
             self.symbols[i] = tuple(syms)
         # a pair is text "left right" in older files and a list of two in newer ones
         pairs = (m.split(" ") if isinstance(m, str) else m for m in model["merges"])
-        self.merges = np.array([(self.ids[a], self.ids[b], self.ids[self._joined(a, b)]) for a, b in pairs], np.int64).reshape(-1, 3)
+        self.merges = np.array([(ids[a], ids[b], ids[self._joined(a, b)]) for a, b in pairs], np.int64).reshape(-1, 3)
 
     def _joined(self, left: str, right: str) -> str:
         return left + right
@@ -69,3 +69,14 @@ def library_tokenizer(path: str):
     t.no_truncation()
     t.no_padding()
     return t
+
+
+@functools.cache
+def library_splitter(path: str):
+    """The library's normalizer and splitter alone, without the tokens and merges that it would hold beside them."""
+    from tokenizers import Tokenizer
+
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    spec["model"] |= {"vocab": {}, "merges": []}
+    return Tokenizer.from_str(json.dumps(spec | {"added_tokens": [], "truncation": None, "padding": None}))
