@@ -18,39 +18,68 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .merge_automaton import automaton
-from .shared import carried, slices, text_array, trimmed
+from .shared import carried, slices, sums_by_run, text_array, trimmed
 from .vocabulary import byte_letters, library_splitter, vocabulary
 from .word_store import WordStore, encode_texts
 
 SLICE, STORE_WORDS = 2 << 20, 120_000  # bytes of text encoded at once, words kept between slices
 DECODE_IDS = 1 << 20  # ids whose labels are held at once
-_CODE = {letter: b for b, letter in enumerate(byte_letters())}
+AT_ONCE = 1 << 14  # words that the splitter takes in one call
+_BYTE = {ord(letter): b for b, letter in enumerate(byte_letters())}
+
+
+def _normal(tokenizer, words: list[str]) -> list[str]:
+    """The words as the normalizer leaves them: those of ASCII letters in one call, where each must keep its place, others one by one."""
+    plain = [i for i, w in enumerate(words) if w.isascii()]
+    out = list(words)
+    joined = " ".join([words[i] for i in plain])
+    normal = tokenizer.normalizer.normalize_str(joined)
+    if normal.count(" ") == joined.count(" ") and len(normal) == len(joined):
+        for i, w in zip(plain, normal.split(" ") if plain else [], strict=True):
+            out[i] = w
+    else:
+        plain = []
+    for i in set(range(len(words))).difference(plain):
+        out[i] = tokenizer.normalizer.normalize_str(words[i])
+    return out
+
+
+def split_pieces(tokenizer, words: list[str]) -> tuple[bytes, np.ndarray, np.ndarray]:
+    """(bytes of all pieces, the length of each, the number of each word's) of white-space free words.
+
+    The splitter takes all words in one call, a blank between two: no piece holds white space, so none reaches over a blank, and
+    the place where a piece starts tells its word.
+    """
+    words = _normal(tokenizer, words)
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+    split = tokenizer.pre_tokenizer.pre_tokenize_str(" ".join(words))
+    lengths = np.fromiter((len(p) for p, _ in split), np.int64, len(split))
+    starts = np.fromiter((span[0] for _, span in split), np.int64, len(split))
+    owners = np.searchsorted(ends, starts, side="right")
+    return "".join([p for p, _ in split]).translate(_BYTE).encode("latin-1"), lengths, np.bincount(owners, minlength=len(words))
 
 
 def word_encoder(path: str):
     """Encodes white-space free words: the library's normalizer and splitter, then the automaton's arcs."""
     tokenizer, auto, special = library_splitter(path), automaton(path), vocabulary(path).special
 
+    def plain(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        raw, lengths, pieces = split_pieces(tokenizer, words)
+        tokens, counts = auto.encode_pieces(raw, lengths)
+        return tokens, sums_by_run(counts, np.cumsum(pieces))
+
     def encode(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        pieces: list[bytes] = []
-        counts = []
-        for w in words:
-            if w in special:
-                counts.append(-special[w] - 1)
-                continue
-            split = tokenizer.pre_tokenizer.pre_tokenize_str(tokenizer.normalizer.normalize_str(w))
-            pieces.extend(bytes(map(_CODE.__getitem__, p)) for p, _ in split)
-            counts.append(len(split))
-        tokens, lengths = auto.encode(pieces) if pieces else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-        ends = np.concatenate([[0], np.cumsum(lengths)])
-        out, at = [], 0
-        for c in counts:
-            if c < 0:
-                out.append(np.array([-c - 1]))
-            else:
-                out.append(tokens[ends[at] : ends[at + c]])
-                at += c
-        return np.concatenate(out) if out else np.zeros(0, np.int64), np.fromiter(map(len, out), np.int64, len(out))
+        ids, counts, low = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], 0
+        for cut in [*(i for i, w in enumerate(words) if w in special), len(words)]:
+            for start in range(low, cut, AT_ONCE):
+                tokens, n = plain(words[start : min(start + AT_ONCE, cut)])
+                ids.append(tokens)
+                counts.append(n)
+            if cut < len(words):
+                ids.append(np.array([special[words[cut]]]))
+                counts.append(np.array([1]))
+            low = cut + 1
+        return np.concatenate(ids), np.concatenate(counts)
 
     return encode
 

@@ -25,7 +25,7 @@ from collections import deque
 import numpy as np
 
 from .shared import ragged
-from .vocabulary import Vocabulary, vocabulary
+from .vocabulary import END, Vocabulary, vocabulary
 
 _MIX = np.uint64(0x9E3779B97F4A7C15)  # odd, golden ratio: spreads keys over table slots
 LOCKSTEP_MAX = 192  # symbols; longer words walk alone, in linear time and memory
@@ -218,19 +218,17 @@ class MergeAutomaton:
 
     # -- encoding ---------------------------------------------------------------------------------
 
-    def symbols_of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Flat symbols and lengths of words (none empty); the last byte of each is marked if words end."""
-        lengths = np.fromiter(map(len, words), np.int64, len(words))
-        flat = np.frombuffer(b"".join(words), np.uint8).astype(np.int64)
-        if self.vocab.suffix and len(words):
-            flat[np.cumsum(lengths) - 1] += 256
-        return flat, lengths
-
     def encode(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Tokens of the words, one after the other, and the number of tokens of each."""
-        flat, lengths = self.symbols_of(words)
+        """Tokens of the words (none empty), one after the other, and the number of tokens of each."""
+        return self.encode_pieces(b"".join(words), np.fromiter(map(len, words), np.int64, len(words)))
+
+    def encode_pieces(self, raw: bytes, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """`encode` of words that stand one after the other in `raw`; the last byte of each is marked if words end."""
+        flat = np.frombuffer(raw, np.uint8).astype(np.int64)
+        if self.vocab.suffix:
+            flat[np.cumsum(lengths) - 1] += END
         starts = np.cumsum(lengths) - lengths
-        counts = np.zeros(len(words), np.int64)
+        counts = np.zeros(len(lengths), np.int64)
         found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         order = np.argsort(-lengths, kind="stable")
         low = int(np.searchsorted(-lengths[order], -LOCKSTEP_MAX))

@@ -497,3 +497,15 @@ def test_banded_alignment():
                 e.append(min(d[j] + (x != y), d[j + 1] + 1, e[-1] + 1))
             d = e
         assert [near_copies.edit_distance_within(a, b, k) for k in range(12)] == [d[-1] <= k for k in range(12)]
+
+
+def test_words_split_together_give_the_library_s_ids():
+    odd = ["a\u00a0b", "\u3000c", "\u180ed", "e\u180ef", "\u180e", "\x1c", "g\x1ch", "\x1d\x1e", "\x85i", "\u0301j", "E\u0301", "\u03a3\u03a3", "it's", "'s", "12.5", "\ufb01", "\U0001f600", "x" * 500, "\u0130", "<|endoftext|>", "A", "\u2028"]
+    words = list(dict.fromkeys([*odd, *(f"{w}{k}" for k in range(900) for w in ("Word", "\u00dcber", "it's-", "\u4e2d", "\x1cz"))]))
+    path = tokenizer_path(WORD)
+    library, encode = library_tokenizer(path), bpe_codec.word_encoder(path)
+    for order in (words, words[::-1], odd, ["<|endoftext|>"], ["q"], []):
+        ids, counts = encode(order)
+        expected = [library.encode(w, add_special_tokens=False).ids for w in order]
+        assert counts.tolist() == [len(e) for e in expected]
+        assert ids.tolist() == [i for e in expected for i in e]
