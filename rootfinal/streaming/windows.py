@@ -8,10 +8,12 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..summary import Summary
-from ..tree import STATE_SCHEMA, finish_states, partial_states
+from ..operators.heavy_hitters import exact_hitters, whole_states
+from ..summary import CounterSummary, Summary
+from ..tree import CLASS_SCHEMA, STATE_SCHEMA, _Merger, finish_states, partial_states
 
 
 def event_stream(spark: SparkSession, folder: str, name: str = "events") -> DataFrame:
@@ -45,6 +47,26 @@ def running_sketch(stream: DataFrame, col: str, summary: Summary, out: str) -> D
     return finish_states(stream.sparkSession.read.schema(STATE_SCHEMA + ", batch int").parquet(f"{out}/states").drop("batch"), summary)
 
 
+def running_hitters(stream: DataFrame, col: str, k: int, summary: CounterSummary, out: str) -> DataFrame:
+    """The k most frequent of a drained stream, exact however many labels come. Each micro-batch stores states that give up no label; a read
+    takes their counters as weighted labels."""
+
+    def write(df: DataFrame, batch: int) -> None:
+        whole_states(df.select(F.col(col).alias("item")).where("item IS NOT NULL"), summary, folder=f"{out}/states/batch={batch}")
+
+    def counters(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        merger = _Merger(summary)
+        for b in batches:
+            merger.add_batch(b)
+        yield from summary.counted(merger.state).to_batches()
+
+    kind = stream.schema[col].dataType
+    _drained(stream, out, "append", write)
+    stored = stream.sparkSession.read.schema(CLASS_SCHEMA + ", batch int").parquet(f"{out}/states")
+    rows = stored.groupBy("batch", "class").applyInArrow(counters, T.StructType([T.StructField("item", kind), T.StructField("count", T.LongType())]))
+    return exact_hitters(rows, "item", k, capacity=summary.capacity, weight_col="count")
+
+
 def windowed_summaries(stream: DataFrame, col: str, summary: Summary, out: str, columns: str, ts: str = "ts", width: str = "day", late: str = "1 hour") -> DataFrame:
     """window_start and the summary's answer for each window that the watermark has closed.
 
