@@ -14,6 +14,8 @@ and may make a block longer than `block_ids`.
 from __future__ import annotations
 
 import functools
+import json
+import uuid
 import zlib
 from collections.abc import Iterator
 from itertools import chain
@@ -23,12 +25,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import shuffle_width, slices, written
+from .shared import ragged, shuffle_width, slices, written
 from .vocabulary import library_tokenizer, vocabulary
-from .word_store import WordStore, encode_texts
+from .word_store import WordStore, encode_parts, encode_texts, one_piece
 
 BLOCK_IDS = 1 << 20
-MARK, WORDS_A_CALL, STORE_WORDS = "\0", 500, 900_000
+MARK, WORDS_A_CALL, STORE_WORDS = "\0", 500, 600_000
+SPLITTER = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 BLOCK_SCHEMA = "range_no int, block_no int, ids_before long, n_docs int, n_ids long, low_bits int, width int, doc_ids array<long>, low binary, high binary, ids binary"
 
 
@@ -99,9 +102,26 @@ def _ones_of_byte() -> np.ndarray:
     return out
 
 
-def _encoder(path: str):
+def _splits_letters(path: str) -> bool:
+    """Whether the file's normalizer is NFC, one blank for white space and lower case, and its splitter takes runs of letters,
+    single numbers and runs of anything else, but for contractions after an apostrophe: what `word_parts` asks for."""
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    normal, split = (spec.get("normalizer") or {}).get("normalizers", []), (spec.get("pre_tokenizer") or {}).get("pretokenizers", [])
+    return (
+        [(n["type"], n.get("pattern"), n.get("content")) for n in normal] == [("NFC", None, None), ("Replace", {"Regex": r"\s+"}, " "), ("Lowercase", None, None)]
+        and [(s["type"], s.get("pattern"), s.get("invert"), s.get("add_prefix_space"), s.get("use_regex")) for s in split] == [("Split", {"Regex": SPLITTER}, True, None, None), ("ByteLevel", None, None, False, False)]
+        and split[0]["behavior"] == "Removed"
+    )
+
+
+@functools.lru_cache(maxsize=1)
+def _encoder(path: str, run: str):
     """Ids and counts of a string array by the library. A vocabulary with word ends drops white space, so that there
-    each distinct word goes to the library once; any other gets whole texts."""
+    each distinct word, or part of a word, goes to the library once; any other gets whole texts.
+
+    The words met stay for the tasks that this process gets of the same `run`, at most STORE_WORDS and one slice's.
+    """
     tokenizer, vocab = library_tokenizer(path), vocabulary(path)
 
     def whole(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -112,16 +132,37 @@ def _encoder(path: str):
     if not vocab.suffix:
         return lambda texts: whole(texts.to_pylist())
     mark = tokenizer.encode(MARK, add_special_tokens=False).ids
+    closes = np.array([label.endswith(vocab.suffix) for label in vocab.labels])
+
+    def flat_ids(words: list[str], between: str) -> np.ndarray:
+        # a few hundred words a call
+        texts = [between.join([*words[i : i + WORDS_A_CALL], ""]) for i in range(0, len(words), WORDS_A_CALL)]
+        return np.concatenate([np.zeros(0, np.int64), *[np.array(e.ids, np.int64) for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]])
 
     def words_encoded(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        # a few hundred words a call, parted by a mark whose one id no other text gives
+        # parted by a mark whose one id no other text gives
         if len(mark) != 1 or any(MARK in w for w in words):
             return whole(words)
-        texts = [f" {MARK} ".join([*words[i : i + WORDS_A_CALL], ""]) for i in range(0, len(words), WORDS_A_CALL)]
-        flat = np.concatenate([np.array(e.ids, np.int64) for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)])
+        flat = flat_ids(words, f" {MARK} ")
         marks = flat == mark[0]
         return flat[~marks], np.diff(np.flatnonzero(marks), prepend=-1) - 1
 
+    def parts_encoded(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        # a word of one piece needs no mark: its last id alone closes a word
+        one = one_piece(words)
+        flat = flat_ids([words[i] for i in np.flatnonzero(one)], " ")
+        last = np.flatnonzero(closes[flat])
+        if len(last) != one.sum() or len(last) and last[-1] != len(flat) - 1:
+            return words_encoded(words)
+        other_flat, other = words_encoded([words[i] for i in np.flatnonzero(~one)])
+        counts, starts = np.empty(len(words), np.int64), np.empty(len(words), np.int64)
+        counts[one], counts[~one] = np.diff(last, prepend=-1), other
+        starts[one], starts[~one] = np.cumsum(counts[one]) - counts[one], len(flat) + np.cumsum(other) - other
+        return np.concatenate([flat, other_flat])[ragged(starts, counts)], counts
+
+    if _splits_letters(path):
+        store = WordStore(parts_encoded, STORE_WORDS)
+        return lambda texts: encode_parts(store, texts, vocab.special)
     store = WordStore(words_encoded, STORE_WORDS)
     return lambda texts: encode_texts(store, texts, vocab.special)
 
@@ -131,11 +172,12 @@ def write_blocks(spark: SparkSession, docs: DataFrame, path: str, end_id: int, b
     ranges = shuffle_width(spark)
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).repartitionByRange(ranges, "doc_id").sortWithinPartitions("doc_id", "text")
     numbered = ordered.select(F.spark_partition_id().alias("range_no"), "doc_id", "text")
+    name = uuid.uuid4().hex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokenizer = library_tokenizer(path)
         dtype = np.uint16 if tokenizer.get_vocab_size() <= 1 << 16 and end_id < 1 << 16 else np.uint32
-        encode = _encoder(path)
+        encode = _encoder(path, name)
         docs_in, parts, ends, before, block_no, range_no = [], [], [], 0, 0, 0
 
         def flush():

@@ -1,4 +1,5 @@
 import hashlib
+import json
 import os
 import random
 import re
@@ -105,6 +106,55 @@ def test_blocks(spark, docs):
     assert boundaries.read_blocks(boundaries.write_blocks(spark, docs.limit(0), tokenizer_path(WORD), 2)).count() == 0
 
 
+class Watched:
+    """The library's tokenizer, with the words that it was given to encode."""
+
+    def __init__(self, tokenizer):
+        self.tokenizer, self.words = tokenizer, []
+
+    def __getattr__(self, name):
+        return getattr(self.tokenizer, name)
+
+    def encode_batch_fast(self, texts, **kw):
+        self.words += " ".join(texts).split()
+        return self.tokenizer.encode_batch_fast(texts, **kw)
+
+
+def test_blocks_give_the_library_each_part_of_a_word_once(monkeypatch):
+    watched = Watched(library_tokenizer(tokenizer_path(WORD)))
+    monkeypatch.setattr(boundaries, "library_tokenizer", lambda path: watched)
+    texts = pa.array(["Word, word. WORD", "WÖRD wörd!! (word)", "Word's"])
+    for task in range(2):  # of one run
+        flat, counts = boundaries._encoder(tokenizer_path(WORD), "some run")(texts)
+        ids = [watched.encode(t, add_special_tokens=False).ids for t in texts.to_pylist()]
+        assert (flat.tolist(), counts.tolist()) == (sum(ids, []), [len(i) for i in ids])
+    assert sorted(w for w in watched.words if w != boundaries.MARK) == sorted(["word", ",", ".", "wörd", "!!", "(word)", "Word's"])
+    boundaries._encoder(tokenizer_path(WORD), "another run")(texts)
+    assert watched.words.count("word") == 2
+
+
+@pytest.mark.parametrize("limit", [3, 600_000])
+def test_blocks_encode_any_words_as_the_library_does(monkeypatch, limit):
+    monkeypatch.setattr(boundaries, "STORE_WORDS", limit)
+    lib, rng = library_tokenizer(tokenizer_path(WORD)), random.Random(11)
+    letters = [*"abXYéÀßÿ×÷ªµ05'.,!*<>|_-\\ \t\n\x1c\x85\xa0\0", "İ", "Σ", "H\u0331", "h\u0331", "\u0301", "=\u0338", "你", "'s", "'LL", "<|endoftext|>", "<|ENDOFTEXT|>", "</w>", "The", "the."]
+    texts = [t or "" for t in ODD] + ["".join(rng.choice(letters) for _ in range(rng.randint(0, 25))) for _ in range(1500)] + [f"ab{chr(c)} {chr(c)}AB {chr(c)}" for c in range(0x21, 0x400)]
+    encode = boundaries._encoder(tokenizer_path(WORD), f"limit {limit}")
+    for part in (texts[:700], [], [""], texts[700:]):
+        flat, counts = encode(pa.array(part, pa.string()))
+        ids = [lib.encode(t, add_special_tokens=False).ids for t in part]
+        assert (flat.tolist(), counts.tolist()) == (sum(ids, []), [len(i) for i in ids])
+
+
+def test_only_a_known_splitter_takes_words_apart(tmp_path):
+    spec = json.load(open(tokenizer_path(WORD)))
+    spec["normalizer"]["normalizers"].pop()  # no lower case
+    (tmp_path / "cased.json").write_text(json.dumps(spec))
+    texts, path = pa.array(["Word word, WORD"]), str(tmp_path / "cased.json")
+    ids = library_tokenizer(path).encode(texts[0].as_py(), add_special_tokens=False).ids
+    assert boundaries._encoder(path, "cased")(texts)[0].tolist() == ids != boundaries._encoder(tokenizer_path(WORD), "lower")(texts)[0].tolist()
+
+
 def test_spans():
     text = "mail a.b@c.de, card 4111 1111 1111 1111 ip 10.0.0.256 10.0.0.1 call +49 (30) 1234567 iban DE89 3704 0044 0532 0130 00."
     found = [(k, text[a:b]) for k, a, b, _ in personal_data.find_spans(text) if k != "phone"]
